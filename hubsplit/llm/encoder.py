@@ -11,6 +11,8 @@ import os
 import re
 from array import array
 
+import numpy as np
+
 #: A space next to other white space does not start a chunk. U+180E counts as white space in older Unicode tables.
 _WIDE = re.compile(r"[\x85\xa0 ᠎ -     　]")
 _LONE_SPACE = re.compile(r"(?<=[^\s᠎]) (?=[^\s᠎])")
@@ -38,7 +40,7 @@ class Encoder:
 
     _made: dict[tuple, Encoder] = {}
 
-    def __init__(self, path: str, capacity: int = 300_000, plain_specials: bool = False):
+    def __init__(self, path: str, capacity: int = 600_000, plain_specials: bool = False):
         os.environ.setdefault("TOKENIZERS_PARALLELISM", "false")
         from tokenizers import Tokenizer
 
@@ -50,6 +52,8 @@ class Encoder:
         self.capacity = capacity
         self.memo: dict[str, bytes] = {}
         self.vocabulary = self.tokenizer.get_vocab_size()
+        line_end = self.tokenizer.encode("\n", add_special_tokens=False).ids
+        self.line_end = line_end[0] if len(line_end) == 1 else None
 
     @classmethod
     def shared(cls, path: str, plain_specials: bool = False) -> Encoder:
@@ -61,27 +65,44 @@ class Encoder:
     def _run(self, texts: list[str]) -> list[bytes]:
         return [array("I", e.ids).tobytes() for e in self.tokenizer.encode_batch_fast(texts, add_special_tokens=False)]
 
+    def _run_words(self, words: list[str]) -> list[bytes]:
+        """Ids of words that follow a space. Plain words share a text, a line each: the line end is a piece of its own there."""
+        if self.line_end is None:
+            return self._run([f" {w}" for w in words])
+        found: dict[str, bytes] = {}
+        plain = [w for w in words if w and w.isprintable()]
+        groups = [plain[i : i + 256] for i in range(0, len(plain), 256)]
+        texts = [" " + "\n ".join(g) + "\n" for g in groups]
+        for group, ids in zip(groups, self._run(texts), strict=True):
+            ends = np.flatnonzero(np.frombuffer(ids, "<u4") == self.line_end).tolist()
+            if len(ends) == len(group):
+                found.update(zip(group, (ids[4 * a : 4 * b] for a, b in zip([0, *(e + 1 for e in ends)], ends, strict=False)), strict=True))
+        rest = [w for w in words if w not in found]
+        found.update(zip(rest, self._run([f" {w}" for w in rest]), strict=True))
+        return [found[w] for w in words]
+
     def encode(self, texts: list[str | None]) -> list[bytes]:
         """Ids of each text as bytes; a null text has none."""
-        split: list[tuple[str, list[str]]] = []
+        firsts, parts, holes = [], [], []
+        missing: dict[str, bytes | None] = {}
+        get = self.memo.get
         for text in texts:
             text = text or ""
-            if not self.plain_specials and any(s in text for s in self.specials):
-                split.append((text, []))
-                continue
-            first, *rest = _chunks(text)
-            split.append((first, rest))
-        wanted: set[str] = set()
-        for _, rest in split:
-            wanted.update(rest)
-        missing = [w for w in wanted if w not in self.memo]
-        if len(self.memo) + len(missing) > self.capacity:
-            self.memo = {w: self.memo[w] for w in wanted if w in self.memo}
-        memo = self.memo
-        memo.update(zip(missing, self._run([f" {w}" for w in missing]), strict=True))
-        firsts = self._run([first for first, _ in split])
-        get = memo.__getitem__
-        return [head + b"".join(map(get, rest)) for head, (_, rest) in zip(firsts, split, strict=True)]
+            first, *rest = [text] if not self.plain_specials and any(s in text for s in self.specials) else _chunks(text)
+            known = list(map(get, rest))
+            hole = [i for i, ids in enumerate(known) if ids is None]
+            absent = [rest[i] for i in hole]
+            missing.update(dict.fromkeys(absent))
+            firsts.append(first)
+            parts.append(known)
+            holes.append((hole, absent))
+        missing = dict(zip(missing, self._run_words(list(missing)), strict=True))
+        for known, (hole, absent) in zip(parts, holes, strict=True):
+            for i, word in zip(hole, absent, strict=True):
+                known[i] = missing[word]
+        if len(self.memo) < self.capacity:
+            self.memo.update(missing)
+        return [head + b"".join(known) for head, known in zip(self._run(firsts), parts, strict=True)]
 
 
 def slices(texts: list, most_chars: int = 4_000_000, most_rows: int = 1000):

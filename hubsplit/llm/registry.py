@@ -2,15 +2,17 @@
 
 from __future__ import annotations
 
-from hubsplit.llm import mixing, packing, token_counts, token_output
+from hubsplit.llm import mixing, packing, quality, simhash, token_counts, token_output
 
 
 def queries():
     return {
         "op2_best_fit_packing": packing.op2_best_fit_packing,
+        "op3_quality_rules": quality.op3_quality_rules,
         "op4_mixing": mixing.op4_mixing,
         "op5_token_output": token_output.op5_token_output,
         "op8_token_counts": token_counts.op8_token_counts,
+        "op9_simhash_dedup": simhash.op9_simhash_dedup,
     }
 
 
