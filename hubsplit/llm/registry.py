@@ -2,11 +2,12 @@
 
 from __future__ import annotations
 
-from hubsplit.llm import mixing, packing, quality, simhash, token_counts, token_output
+from hubsplit.llm import language, mixing, packing, quality, simhash, token_counts, token_output
 
 
 def queries():
     return {
+        "op1_language_id": language.op1_language_id,
         "op2_best_fit_packing": packing.op2_best_fit_packing,
         "op3_quality_rules": quality.op3_quality_rules,
         "op4_mixing": mixing.op4_mixing,
