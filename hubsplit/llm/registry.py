@@ -2,7 +2,7 @@
 
 from __future__ import annotations
 
-from hubsplit.llm import embedding_dedup, language, mixing, packing, quality, simhash, token_counts, token_output
+from hubsplit.llm import embedding_dedup, language, mixing, packing, quality, simhash, token_counts, token_output, url_filter
 
 
 def queries():
@@ -15,6 +15,7 @@ def queries():
         "op7_embedding_dedup": embedding_dedup.op7_embedding_dedup,
         "op8_token_counts": token_counts.op8_token_counts,
         "op9_simhash_dedup": simhash.op9_simhash_dedup,
+        "op10_url_filter": url_filter.op10_url_filter,
     }
 
 
