@@ -40,7 +40,7 @@ class Encoder:
 
     _made: dict[tuple, Encoder] = {}
 
-    def __init__(self, path: str, capacity: int = 600_000, plain_specials: bool = False):
+    def __init__(self, path: str, capacity: int = 400_000, plain_specials: bool = False):
         os.environ.setdefault("TOKENIZERS_PARALLELISM", "false")
         from tokenizers import Tokenizer
 
@@ -81,6 +81,51 @@ class Encoder:
         found.update(zip(rest, self._run([f" {w}" for w in rest]), strict=True))
         return [found[w] for w in words]
 
+    def _resolve(self, words: list[str]) -> dict[str, bytes]:
+        """Ids of words that the memo lacks. A full stop or comma after letters, and a line end between two words, start pieces too."""
+        memo, made = self.memo, {}
+        stems: dict[str, tuple[str, str, str]] = {}
+        heads, tails = {}, {}
+        for w in words:
+            stem, line, tail = w.partition("\n")
+            if line and not (stem and tail and stem.isprintable() and tail.isprintable()):
+                heads[w] = None
+                continue
+            mark = stem[-1:]
+            if mark in (".", ",") and stem[:-1].isalpha():
+                stem = stem[:-1]
+            else:
+                mark = ""
+            if not mark and not line:
+                heads[w] = None
+                continue
+            stems[w] = (stem, mark, tail)
+            if stem not in memo:
+                heads[stem] = None
+            if line:
+                tails[tail] = None
+        made.update(zip(heads, self._run_words(list(heads)), strict=True))
+        if stems:
+            marks = dict(zip(("", ".", ","), self._run(["", ".", ","]), strict=True))
+            after = dict(zip(tails, self._run_starts(list(tails)), strict=True))
+            end = self._run(["\n"])[0]
+            for w, (stem, mark, tail) in stems.items():
+                ids = memo.get(stem)
+                made[w] = (made[stem] if ids is None else ids) + marks[mark] + (end + after[tail] if tail else b"")
+        return made
+
+    def _run_starts(self, words: list[str]) -> list[bytes]:
+        """Ids of words at the start of a line."""
+        joined = [words[i : i + 256] for i in range(0, len(words), 256)]
+        out: list[bytes] = []
+        for group, ids in zip(joined, self._run(["\n".join(g) + "\n" for g in joined]), strict=True):
+            ends = np.flatnonzero(np.frombuffer(ids, "<u4") == self.line_end).tolist()
+            if self.line_end is not None and len(ends) == len(group):
+                out += [ids[4 * a : 4 * b] for a, b in zip([0, *(e + 1 for e in ends)], ends, strict=False)]
+            else:
+                out += self._run(group)
+        return out
+
     def encode(self, texts: list[str | None]) -> list[bytes]:
         """Ids of each text as bytes; a null text has none."""
         firsts, parts, holes = [], [], []
@@ -96,7 +141,7 @@ class Encoder:
             firsts.append(first)
             parts.append(known)
             holes.append((hole, absent))
-        missing = dict(zip(missing, self._run_words(list(missing)), strict=True))
+        missing = self._resolve(list(missing))
         for known, (hole, absent) in zip(parts, holes, strict=True):
             for i, word in zip(hole, absent, strict=True):
                 known[i] = missing[word]

@@ -2,7 +2,7 @@
 
 from __future__ import annotations
 
-from hubsplit.llm import embedding_dedup, language, mixing, packing, quality, simhash, token_counts, token_output, url_filter
+from hubsplit.llm import embedding_dedup, language, mixing, packing, quality, simhash, suffix_dedup, token_counts, token_output, url_filter
 
 
 def queries():
@@ -12,6 +12,7 @@ def queries():
         "op3_quality_rules": quality.op3_quality_rules,
         "op4_mixing": mixing.op4_mixing,
         "op5_token_output": token_output.op5_token_output,
+        "op6_suffix_dedup": suffix_dedup.op6_suffix_dedup,
         "op7_embedding_dedup": embedding_dedup.op7_embedding_dedup,
         "op8_token_counts": token_counts.op8_token_counts,
         "op9_simhash_dedup": simhash.op9_simhash_dedup,

@@ -1,7 +1,7 @@
 """Token counts of documents in flat, unindexed token files, by a vectorised scan for the end-of-document id.
 
-The files of a folder, in order of name, are one stream of little-endian unsigned 32-bit ids; a document ends at each separator
-and may run over block and file borders. Each block yields its size, its separators and where the last one stands; a running
+The files of a folder, in order of name, are one stream of little-endian unsigned ids, 16 bits wide where the vocabulary allows
+and else 32; a document ends at each separator and may run over block and file borders. Each block yields its size, its separators and where the last one stands; a running
 sum and a running maximum over these few numbers per block give every block the ordinal of its first document and the place of
 the separator before it, which stitches the lengths. The token files are the only input of the scan.
 
@@ -22,7 +22,7 @@ from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
 from hubsplit.llm.encoder import Encoder, default_tokenizer, slices
-from hubsplit.llm.token_output import open_fs, put_file
+from hubsplit.llm.token_output import _narrow, id_width, open_fs, put_file
 from hubsplit.shared_dir import fresh_path, staged
 
 END_OF_TEXT = 50256
@@ -31,7 +31,7 @@ BLOCK_IDS = 1 << 20
 
 
 def write_flat(docs: DataFrame, folder: str, tokenizer_path: str | None = None, separator: int = END_OF_TEXT) -> DataFrame:
-    """Flat token files in ascending doc_id order; returns the staged order of the documents (file, place in it, doc_id)."""
+    """Flat token files in the order of the input's partitions, without a shuffle; returns the staged order of the documents (file, place in it, doc_id)."""
     path = tokenizer_path or default_tokenizer()
     fs, root = open_fs(folder)
     fs.create_dir(root, recursive=True)
@@ -39,6 +39,7 @@ def write_flat(docs: DataFrame, folder: str, tokenizer_path: str | None = None,
     def write(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         fs, root = open_fs(folder)
         encoder, end, part = Encoder.shared(path, plain_specials=True), struct.pack("<I", separator), TaskContext.get().partitionId()
+        width = id_width(encoder.vocabulary)
         held, order, size, made = [], [], 0, 0
 
         def close() -> pa.RecordBatch:
@@ -53,25 +54,25 @@ def write_flat(docs: DataFrame, folder: str, tokenizer_path: str | None = None,
             ids, texts = batch.column(0).to_pylist(), batch.column(1).to_pylist()
             for a, b in slices(texts):
                 for doc_id, encoded in zip(ids[a:b], encoder.encode(texts[a:b]), strict=True):
-                    held += (encoded, end)
+                    narrow = _narrow(encoded + end, width)
+                    held.append(narrow)
                     order.append(doc_id)
-                    size += len(encoded) + 4
+                    size += len(narrow)
                     if size >= FILE_BYTES:
                         yield close()
         if order:
             yield close()
 
-    ordered = docs.select("doc_id", "text").repartitionByRange("doc_id").sortWithinPartitions("doc_id", F.xxhash64("text"))
-    return staged(ordered.mapInArrow(write, "file string, place long, doc_id long"), "flat-order")
+    return staged(docs.select("doc_id", "text").mapInArrow(write, "file string, place long, doc_id long"), "flat-order")
 
 
-def scan_flat(spark: SparkSession, folder: str, separator: int = END_OF_TEXT, block_ids: int = BLOCK_IDS) -> DataFrame:
+def scan_flat(spark: SparkSession, folder: str, separator: int = END_OF_TEXT, block_ids: int = BLOCK_IDS, width: int = 2) -> DataFrame:
     """ordinal, start, n_tokens (with the separator), file and place of the separator, for every document of the stream."""
 
     def blocks(batches: Iterator[pa.RecordBatch], whole: bool) -> Iterator[pa.RecordBatch]:
         for batch in batches:
             for name, data in zip(batch.column(0).to_pylist(), batch.column(1), strict=True):
-                ids = np.frombuffer(data.as_buffer(), "<u4")
+                ids = np.frombuffer(data.as_buffer(), f"<u{width}")
                 for k, a in enumerate(range(0, max(len(ids), 1), block_ids)):
                     ends = np.flatnonzero(ids[a : a + block_ids] == separator)
                     if whole:

@@ -71,10 +71,9 @@ def train_dictionary(docs: DataFrame, tokenizer_path: str, end_id: int) -> bytes
     import zstandard
 
     encoder = Encoder.shared(tokenizer_path)
-    rows = (
-        docs.select(F.substring("text", 1, 4 * SAMPLE_IDS).alias("text"), F.xxhash64("doc_id").alias("h"))
-        .orderBy("h", F.xxhash64("text")).limit(SAMPLE_ROWS).collect()
-    )
+    ids = docs.select("doc_id").where("doc_id is not null").distinct().orderBy(F.xxhash64("doc_id"), "doc_id").limit(SAMPLE_ROWS)
+    sampled = docs.join(F.broadcast(ids), "doc_id").select("doc_id", F.substring("text", 1, 4 * SAMPLE_IDS).alias("text"))  # SAMPLE_ROWS ids
+    rows = sampled.orderBy("doc_id", "text").limit(SAMPLE_ROWS).collect()
     width = id_width(encoder.vocabulary)
     end = struct.pack("<I", end_id)
     samples = [_narrow((ids + end)[: 4 * SAMPLE_IDS], width) for ids in encoder.encode([r["text"] for r in rows])]
