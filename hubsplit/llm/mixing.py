@@ -14,6 +14,8 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
+from hubsplit.shared_dir import staged
+
 WORD = r"[^\x20\x09-\x0D]+"
 SEED = 7
 CEILING = 3
@@ -42,11 +44,15 @@ def source_targets(sizes: DataFrame, weights: tuple[int, ...] = (1, 2, 3), ceili
     return t.select("source", "source_size", F.least("_cap", F.col("_level") * F.col("_w")).alias("target"))
 
 
-def draw_copies(docs: DataFrame, seed: int = SEED) -> DataFrame:
-    """doc_id, source, size, source_size, target, copies for every row of (doc_id, source, size)."""
+def draw_copies(docs: DataFrame, seed: int = SEED, counted: DataFrame | None = None) -> DataFrame:
+    """All columns of ``docs`` (doc_id, source, size and any other) with source_size, target and copies.
+
+    ``counted`` may hold doc_id, source and size of the same rows, staged, so that counting need not read the rest.
+    """
     key = F.coalesce(F.concat(F.lit("="), F.col("source")), F.lit("-"))
-    rows = docs.select("doc_id", "source", "size", key.alias("_key"), F.substring(F.md5(F.coalesce(F.col("doc_id").cast("string"), F.lit(""))), 1, 4).alias("_bucket"))
-    buckets = rows.groupBy("_key", "source", "size", "_bucket").agg(F.count("*").alias("_n"))
+    bucket = F.substring(F.md5(F.coalesce(F.col("doc_id").cast("string"), F.lit(""))), 1, 4)
+    rows = docs.withColumns({"_key": key, "_bucket": bucket})
+    buckets = (rows if counted is None else counted.withColumns({"_key": key, "_bucket": bucket})).groupBy("_key", "source", "size", "_bucket").agg(F.count("*").alias("_n"))
     by_size = buckets.groupBy("_key", "source", "size").agg(F.sum("_n").alias("_n"))
     lower = by_size.select("_key", "size", (F.sum("_n").over(Window.partitionBy("_key").orderBy("size")) - F.col("_n")).alias("_lower"))
     targets = source_targets(by_size.groupBy("source").agg(F.sum(F.col("_n") * F.col("size")).alias("source_size")))
@@ -62,13 +68,11 @@ def draw_copies(docs: DataFrame, seed: int = SEED) -> DataFrame:
     ratio = F.when(F.col("source_size") > 0, F.col("target") / F.col("source_size")).otherwise(F.lit(0.0))
     rank = (F.col("_base") + F.col("_row")).cast("double")
     copies = F.floor(ratio * (rank + F.lit(1.0)) + offset) - F.floor(ratio * rank + offset)
-    return joined.select("doc_id", "source", "size", "source_size", "target", copies.cast("long").alias("copies"))
+    return joined.select(*docs.columns, "source_size", "target", copies.cast("long").alias("copies"))
 
 
 def op4_mixing(spark: SparkSession, sf_dir: str) -> DataFrame:
     docs = spark.read.parquet(f"{sf_dir}/documents.parquet").select("doc_id", "source", word_count(F.col("text")).alias("size"))
-    from hubsplit.shared_dir import staged
-
     drawn = draw_copies(staged(docs, "sizes"))
     return drawn.select("doc_id", "size", "source_size", "target", (F.col("copies") * F.col("size")).alias("taken"))
 

@@ -440,7 +440,8 @@ def merge_spans(spans: list[tuple[int, int]]) -> list[tuple[int, int]]:
 
 
 def deduplicate(docs: DataFrame, carry: list[str] | None = None, length: int = LENGTH, gram: int = GRAM) -> DataFrame:
-    """The carried columns of each row with ``_hs_kept`` (remaining bytes) and ``_hs_spans`` (maximal removed runs)."""
+    """The carried columns of each row with ``_hs_kept`` (remaining bytes), ``_hs_kept_text`` (the same without characters cut in
+    two) and ``_hs_spans`` (maximal removed runs)."""
     spark = docs.sparkSession
     carry = carry or ["doc_id"]
     parts = int(spark.conf.get("spark.sql.shuffle.partitions"))
@@ -463,12 +464,13 @@ def deduplicate(docs: DataFrame, carry: list[str] | None = None, length: int = L
                 edges = [0, *(x for span in own for x in span), len(data)]
                 kept.append(b"".join(data[s:e] for s, e in zip(edges[::2], edges[1::2], strict=True)))
                 spans.append([{"start": s, "end": e} for s, e in own])
-            yield pa.RecordBatch.from_arrays([*batch.columns[:n], pa.array(kept, pa.binary()), pa.array(spans, pa.list_(pa.struct([("start", pa.int64()), ("end", pa.int64())])))], names=[*carry, "_hs_kept", "_hs_spans"])
+            clean = pa.array([k.decode("utf-8", "ignore") for k in kept], pa.string())
+            yield pa.RecordBatch.from_arrays([*batch.columns[:n], pa.array(kept, pa.binary()), clean, pa.array(spans, pa.list_(pa.struct([("start", pa.int64()), ("end", pa.int64())])))], names=[*carry, "_hs_kept", "_hs_kept_text", "_hs_spans"])
 
     fields = ", ".join(f"`{c}` {docs.schema[c].dataType.simpleString()}" for c in carry)
     joined = docs.join(per_doc, docs["doc_id"] == F.col("_hs_id"), "left")
     joined = joined.select(*[docs[c] for c in carry], docs["text"].alias("_hs_text"), F.xxhash64(docs["text"]).alias("_hs_hash"), "_hs_found")
-    return joined.mapInArrow(apply, f"{fields}, _hs_kept binary, _hs_spans array<struct<start: long, end: long>>")
+    return joined.mapInArrow(apply, f"{fields}, _hs_kept binary, _hs_kept_text string, _hs_spans array<struct<start: long, end: long>>")
 
 
 def op6_suffix_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
