@@ -11,7 +11,10 @@ from hubsplit.llm import stages
 from hubsplit.shared_dir import staged
 
 STAGES = [
-    ("mixing", stages.mixing),
+    ("quality rules", stages.quality_rules),
+    ("SimHash near-dedup", stages.simhash_dedup),
+    ("suffix-array dedup", stages.suffix_array_dedup),
+    ("mixing to target weights", stages.mixing),
     ("best-fit packing", stages.packing),
 ]
 
@@ -22,5 +25,5 @@ ORACLE_SQL = None
 def run(spark: SparkSession, sf_dir: str) -> DataFrame:
     docs = spark.read.parquet(f"{sf_dir}/documents.parquet")
     for name, stage in STAGES[:-1]:
-        docs = staged(stage(spark, docs, sf_dir), "stage-" + name.replace(" ", "-"))
+        docs = staged(stage(spark, docs, sf_dir), "stage-" + name.split()[0].lower())
     return STAGES[-1][1](spark, docs, sf_dir)
