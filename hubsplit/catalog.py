@@ -1,15 +1,18 @@
-"""Name -> query and name -> DuckDB twin for everything outside the optional training-data subpackage."""
+"""Every query outside the optional training-data subpackage, by name, with its DuckDB twin where there is one."""
 
 from __future__ import annotations
 
+from hubsplit import registry
+from hubsplit.plans import partition_queries  # noqa: F401  each module registers its queries
+
 
 def flagship(spark, sf_dir):
-    return queries()["degrees"](spark, sf_dir)
+    return registry.QUERIES["replica_sets"](spark, sf_dir)
 
 
 def queries():
-    return {}
+    return dict(registry.QUERIES)
 
 
 def oracle_sql():
-    return {}
+    return dict(registry.SQL)
