@@ -3,11 +3,11 @@
 from __future__ import annotations
 
 from hubsplit import registry
-from hubsplit.plans import partition_queries  # noqa: F401  each module registers its queries
+from hubsplit.plans import partition_queries, program_queries  # noqa: F401  each module registers its queries
 
 
 def flagship(spark, sf_dir):
-    return registry.QUERIES["replica_sets"](spark, sf_dir)
+    return registry.QUERIES["cc_hybrid_near_copy"](spark, sf_dir)
 
 
 def queries():
