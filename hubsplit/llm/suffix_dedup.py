@@ -34,6 +34,7 @@ from hubsplit.shared_dir import staged
 
 LENGTH, GRAM = 50, 20
 SLICE_BYTES = 6_000_000
+BLOCK = 1 << 16
 #: An anchor is hot when it has more entries than an even share of a task divided by this.
 HOT_SHARE = 8
 _C, _M = np.uint64(0x9E3779B97F4A7C15), np.uint64(0xD6E8FEB86659FD93)
@@ -68,10 +69,32 @@ def gram_hashes(data: np.ndarray, n: int) -> np.ndarray:
 
 def anchor_positions(data: np.ndarray, starts: np.ndarray, ends: np.ndarray, length: int = LENGTH, gram: int = GRAM) -> tuple[np.ndarray, np.ndarray]:
     """Positions and hashes of the anchors of texts that stand one after another in ``data``; the last smallest gram of a string wins."""
-    if len(data) < length:
+    marked = np.zeros(len(data), bool)
+    inside = np.zeros(len(data) + 1, np.int32)
+    long = ends - starts >= length
+    np.add.at(inside, starts[long], 1)
+    np.add.at(inside, ends[long] - length + 1, -1)
+    valid = np.cumsum(inside) > 0
+    found, hashes = [], []
+    for a in range(0, len(data) - length + 1, BLOCK):  # blocks that stay in a core's cache
+        b = min(a + BLOCK, len(data) - length + 1)
+        if not valid[a:b].any():
+            continue
+        h = gram_hashes(data[a : b + length - 1], gram)
+        at = _last_smallest(h, length - gram + 1)[: b - a][valid[a:b]]
+        marked[a : b + length - 1] = False
+        marked[a + at] = True
+        here = np.flatnonzero(marked[a : b + length - 1])
+        found.append(here + a)
+        hashes.append(h[here])
+    if not found:
         return np.array([], np.int64), np.array([], np.uint64)
-    h = gram_hashes(data, gram)
-    window = length - gram + 1
+    at, first = np.unique(np.concatenate(found), return_index=True)
+    return at, np.concatenate(hashes)[first]
+
+
+def _last_smallest(h: np.ndarray, window: int) -> np.ndarray:
+    """Place of the smallest value of each window, the last of equal ones."""
     low, at, width = h, np.arange(len(h), dtype=np.int32), 1
     while 2 * width <= window:
         right = low[width:] <= low[:-width]
@@ -80,15 +103,11 @@ def anchor_positions(data: np.ndarray, starts: np.ndarray, ends: np.ndarray, len
     if width < window:
         d = window - width
         at = np.where(low[d:] <= low[:-d], at[d:], at[:-d])
-    inside = np.zeros(len(data) + 1, np.int32)
-    long = ends - starts >= length
-    np.add.at(inside, starts[long], 1)
-    np.add.at(inside, ends[long] - length + 1, -1)
-    valid = np.cumsum(inside)[: len(at)] > 0
-    marked = np.zeros(len(h), bool)
-    marked[at[valid]] = True
-    found = np.flatnonzero(marked)
-    return found, h[found]
+    return at
+
+
+def _by_group(move: tuple[int, int]) -> tuple[int, int]:
+    return move[0], -move[1]
 
 
 def suffix_array(text: list[int]) -> list[int]:
@@ -111,23 +130,39 @@ def suffix_array(text: list[int]) -> list[int]:
     final = [False] * n  # belongs to the group in hand or to a higher one
     g = len(symbols) - 1
     while g >= 0:
-        own = sorted(s for s in members[g] if group[s] == g)
-        members[g] = own
-        for s in own:
+        own = [s for s in members[g] if group[s] == g]
+        if len(own) == 1:
+            s = own[0]
             final[s] = True
-        counts: dict[int, int] = {}
-        for s in own:
             p = s - 1
             while p >= 0 and final[p]:
                 p = previous[p]
             previous[s] = p
-            if p >= 0:
-                counts[p] = counts.get(p, 0) + 1
-        # The previous smaller suffix extends its prefix by this group's, as often as counted.
-        moves: dict[tuple[int, int], list[int]] = {}
-        for p, k in counts.items():
-            moves.setdefault((group[p], k), []).append(p)
-        for old, k in sorted(moves, key=lambda m: (m[0], -m[1])):
+            if p < 0 or size[group[p]] == 1:
+                g = below[g]
+                continue
+            moves = {(group[p], 1): [p]}
+        else:
+            own.sort()
+            for s in own:
+                final[s] = True
+            counts: dict[int, int] = {}
+            for s in own:
+                p = s - 1
+                while p >= 0 and final[p]:
+                    p = previous[p]
+                previous[s] = p
+                if p >= 0:
+                    counts[p] = counts.get(p, 0) + 1
+            moves = {}
+            for p, k in counts.items():
+                at = (group[p], k)
+                if at in moves:
+                    moves[at].append(p)
+                else:
+                    moves[at] = [p]
+        # The previous smaller suffix extends its prefix by this group's, as often as counted; more often ranks higher.
+        for old, k in sorted(moves, key=_by_group) if len(moves) > 1 else moves:
             moved = moves[old, k]
             if len(moved) == size[old]:
                 continue  # the whole group moves, and nothing stands between its old place and its new one
@@ -135,10 +170,11 @@ def suffix_array(text: list[int]) -> list[int]:
             members.append(moved)
             size.append(len(moved))
             size[old] -= len(moved)
+            nxt = above[old]
             below.append(old)
-            above.append(above[old])
-            if above[old] >= 0:
-                below[above[old]] = new
+            above.append(nxt)
+            if nxt >= 0:
+                below[nxt] = new
             above[old] = new
             for p in moved:
                 group[p] = new
@@ -161,28 +197,39 @@ def suffix_array(text: list[int]) -> list[int]:
     return order[1:]
 
 
-def equal_strings(pieces: list[bytes], length: int = LENGTH) -> list[np.ndarray]:
-    """For each piece, the class of the string of ``length`` bytes at each place; equal strings have equal classes."""
+def equal_strings(pieces: list[bytes], lengths: list[int], cores: list[tuple[int, int, int]]) -> list[np.ndarray]:
+    """For each piece, the class of the string of ``length`` bytes at each place; equal strings have equal classes.
+
+    All strings of a piece share the bytes from ``core`` start to end, which stand as one symbol: (start, end, symbol's name).
+    Strings are only equal when their cores are, so the folded text has the same equal strings and is far shorter.
+    """
     text: list[int] = []
-    begin = []
-    for piece in pieces:
+    begin, count, span = [], [], []
+    for piece, length, (lo, hi, name) in zip(pieces, lengths, cores, strict=True):
         begin.append(len(text))
-        text.extend(piece)
+        text += piece[:lo]
+        text.append(256 + name)
+        text += piece[hi:]
         text.append(-1)
+        count.append(len(piece) - length + 1)
+        span.append(length - (hi - lo) + 1)
     order = np.array(suffix_array(text), np.int64)
-    data = np.array(text, np.int16)
-    room = np.zeros(len(text), bool)
-    for b, piece in zip(begin, pieces, strict=True):
-        room[b : b + len(piece) - length + 1] = True
-    order = order[room[order]]
+    data = np.array(text, np.int64)
+    size = np.zeros(len(text), np.int64)  # symbols of the string that starts here
+    for b, n, k in zip(begin, count, span, strict=True):
+        size[b : b + n] = k
+    order = order[size[order] > 0]
     new = np.ones(len(order), bool)
-    steps = np.arange(length)
+    steps = np.arange(max(span))
+    data = np.pad(data, (0, len(steps)), constant_values=-2)
     for a in range(1, len(order), 50_000):
         e = min(a + 50_000, len(order))
-        new[a:e] = (data[order[a:e, None] + steps] != data[order[a - 1 : e - 1, None] + steps]).any(axis=1)
+        x, y = order[a:e], order[a - 1 : e - 1]
+        differs = (data[x[:, None] + steps] != data[y[:, None] + steps]) & (steps < size[x][:, None])
+        new[a:e] = differs.any(axis=1) | (size[x] != size[y])
     classes = np.zeros(len(text), np.int64)
     classes[order] = np.cumsum(new) - 1
-    return [classes[b : b + len(piece) - length + 1] for b, piece in zip(begin, pieces, strict=True)]
+    return [classes[b : b + n] for b, n in zip(begin, count, strict=True)]
 
 
 def _pack(*columns: np.ndarray) -> bytes:
@@ -287,6 +334,28 @@ def shared_anchors(docs: DataFrame, parts: int, length: int = LENGTH, gram: int
     return dealt.mapInArrow(gather, "doc_id long, pos long")
 
 
+def _own_reach(padded: np.ndarray, p: np.ndarray, flank: int, gram: int) -> tuple[np.ndarray, np.ndarray]:
+    """How far strings may reach to each side of the anchors at ``p`` while no other gram in them is their anchor."""
+    h = gram_hashes(padded, gram)
+    near = h[p[:, None] + np.arange(2 * flank + 1)]
+    mine = near[:, flank : flank + 1]
+    lower, beats = near[:, flank - 1 :: -1] < mine, near[:, flank + 1 :] <= mine
+    reach = lambda x: np.where(x.any(axis=1), x.argmax(axis=1), flank)
+    return reach(lower), reach(beats)
+
+
+def _joined(owner: np.ndarray, mark: np.ndarray, start: np.ndarray, end: np.ndarray) -> tuple[np.ndarray, ...]:
+    """The same spans with those that touch made one, per document."""
+    order = np.lexsort((start, mark, owner))
+    owner, mark, start, end = (x[order].astype(np.int64) for x in (owner, mark, start, end))
+    fresh = np.r_[True, (owner[1:] != owner[:-1]) | (mark[1:] != mark[:-1])]
+    base = np.cumsum(fresh) << 40
+    far = np.maximum.accumulate(end + base)
+    head = np.flatnonzero(np.r_[True, start[1:] + base[1:] > far[:-1]])
+    last = np.r_[head[1:], len(order)] - 1
+    return owner[head], mark[head], start[head], far[last] - base[last]
+
+
 _ENTRY = ("<u8", "<i8", "<i8", "<i8", "u1", "u1")
 
 
@@ -306,8 +375,15 @@ def removed_spans(docs: DataFrame, anchors: DataFrame, hot: np.ndarray, parts: i
                 padded = np.zeros(len(text) + 2 * flank, np.uint8)
                 padded[flank : flank + len(text)] = np.frombuffer(text, np.uint8)
                 m = len(p)
-                left, right = np.minimum(flank, p), np.minimum(flank, len(text) - p - gram)
-                parts_of.append((padded[p[:, None] + np.arange(width)], np.full(m, doc[i]), np.full(m, digest[i]), p, left, right))
+                if not m:
+                    continue
+                left, right = _own_reach(padded, p, flank, gram)
+                left, right = np.minimum(left, p), np.minimum(right, len(text) - p - gram)
+                column = np.arange(width)
+                ctx = np.where((column >= (flank - left)[:, None]) & (column < (flank + gram + right)[:, None]), padded[p[:, None] + column], 0).astype(np.uint8)
+                parts_of.append((ctx, np.full(m, doc[i]), np.full(m, digest[i]), p, left, right))
+            if not parts_of:
+                continue
             ctx, owner, mark, place, left, right = (np.concatenate(c) for c in zip(*parts_of, strict=True))
             if not len(place):
                 continue
@@ -333,8 +409,7 @@ def removed_spans(docs: DataFrame, anchors: DataFrame, hot: np.ndarray, parts: i
             settled &= left + gram + right >= length
             made = []
             if settled.any():
-                spans = [x[settled] for x in (owner, mark, place - left, place + gram + right)]
-                made.append((int(key[0] % np.uint64(parts)), _pack(*(s.astype(np.int64) for s in spans)), 1))
+                made.append((int(key[0] % np.uint64(parts)), _pack(*_joined(*(x[settled] for x in (owner, mark, place - left, place + gram + right)))), 1))
             sent = np.flatnonzero(~settled & (left + gram + right >= length))
             bucket = (key[sent] % np.uint64(parts)).astype(np.int64)
             order = np.lexsort((key[sent], bucket))
@@ -402,23 +477,35 @@ def _owned(key, owner, mark, place, left, right, ctx, length: int, gram: int) ->
         edge = np.diff(np.pad(maybe.astype(np.int8), ((0, 0), (1, 1))), axis=1)
         rows, begin = np.nonzero(edge == 1)
         _, end = np.nonzero(edge == -1)
-        names: dict[bytes, int] = {}
+        anchors = group[mixed[rows]]
+        # The bytes that every shared string of an anchor holds: its core.
+        widest_b, widest_e = np.full(group.max() + 1, flank + 1), np.zeros(group.max() + 1, np.int64)
+        np.minimum.at(widest_b, anchors, begin)
+        np.maximum.at(widest_e, anchors, end)
+        core_lo, core_hi = flank - widest_b[anchors], flank - (widest_e[anchors] - 1) + length
+        names: dict[tuple, int] = {}
+        cores: dict[tuple, int] = {}
+        pieces, folds = [], []
         piece_of = np.empty(len(rows), np.int64)
-        for k, (row, b, e) in enumerate(zip(rows, begin, end, strict=True)):
-            piece = ctx[first[mixed[row]], flank - (e - 1) : flank - b + length].tobytes()
-            piece_of[k] = names.setdefault(piece, len(names))
-        if names:
-            classes = equal_strings(list(names), length)
-            total = 1 + max(int(c.max()) for c in classes)
-            cells, at, lows = [], [], []
-            for k, (row, b, e) in enumerate(zip(rows, begin, end, strict=True)):
-                cells.append(classes[piece_of[k]])
-                at.append(np.stack([np.full(e - b, mixed[row]), np.arange(e - 1, b - 1, -1)]))
-                lows.append(np.full(e - b, low[mixed[row]]))
-            cells, at, lows = np.concatenate(cells), np.concatenate(at, axis=1), np.concatenate(lows)
-            best = np.full(total, np.iinfo(np.int64).max)
-            np.minimum.at(best, cells, lows)
-            owners[at[0], at[1]] = best[cells]
+        at_row = first[mixed[rows]]
+        for k, (row, g, b, e, lo, hi) in enumerate(zip(at_row.tolist(), anchors.tolist(), begin.tolist(), end.tolist(), core_lo.tolist(), core_hi.tolist(), strict=True)):
+            from_ = flank - e + 1
+            piece = ctx[row, from_ : flank - b + length].tobytes()
+            got = names.setdefault((g, from_, piece), len(names))
+            if got == len(pieces):
+                pieces.append(piece)
+                folds.append((lo - from_, hi - from_, cores.setdefault((g, piece[lo - from_ : hi - from_]), len(cores))))
+            piece_of[k] = got
+        if pieces:
+            classes = equal_strings(pieces, [length] * len(pieces), folds)
+            sizes = end - begin
+            cells = np.concatenate([classes[k] for k in piece_of.tolist()])
+            owner_row = np.repeat(mixed[rows], sizes)
+            step = np.arange(len(owner_row)) - np.repeat(np.cumsum(sizes) - sizes, sizes)
+            offset = np.repeat(end - 1, sizes) - step
+            best = np.full(1 + int(cells.max()), np.iinfo(np.int64).max)
+            np.minimum.at(best, cells, low[owner_row])
+            owners[owner_row, offset] = best[cells]
     for a in range(0, len(owner), 200_000):
         e = min(a + 200_000, len(owner))
         gone = owners[which[a:e]] < owner[a:e, None]
@@ -426,7 +513,7 @@ def _owned(key, owner, mark, place, left, right, ctx, length: int, gram: int) ->
         row, b = np.nonzero(edge == 1)
         _, f = np.nonzero(edge == -1)
         row = row + a
-        yield owner[row], mark[row], place[row] - (f - 1), place[row] - b + length
+        yield _joined(owner[row], mark[row], place[row] - (f - 1), place[row] - b + length)
 
 
 def merge_spans(spans: list[tuple[int, int]]) -> list[tuple[int, int]]:
