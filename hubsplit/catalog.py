@@ -3,7 +3,9 @@
 from __future__ import annotations
 
 from hubsplit import registry
+from hubsplit.operators import graph_ops, relational  # noqa: F401
 from hubsplit.plans import partition_queries, program_queries  # noqa: F401  each module registers its queries
+from hubsplit.streaming import events  # noqa: F401
 
 
 def flagship(spark, sf_dir):
