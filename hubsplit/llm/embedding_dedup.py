@@ -145,7 +145,7 @@ def tile_pairs(points: DataFrame, tile: int = TILE) -> DataFrame:
 def links(points: DataFrame, threshold: float = THRESHOLD, tile: int = TILE) -> DataFrame:
     """(class, linked, root) from every tile pair: vectors linked to a class there, and the class its forest hangs it on."""
     pairs = staged(tile_pairs(points, tile).withColumn("pair", F.monotonically_increasing_id()), "tile-pairs")
-    sides = pairs.select("label", "dim", F.col("ca").alias("cell"), F.col("i").alias("sub"), "pair", F.lit(0).alias("side")).union(
+    sides = pairs.select("label", "dim", F.col("ca").alias("cell"), F.col("i").alias("sub"), "pair", F.when((F.col("ca") == F.col("cb")) & (F.col("i") == F.col("j")), 2).otherwise(0).alias("side")).union(
         pairs.where("ca <> cb or i <> j").select("label", "dim", "cb", "j", "pair", F.lit(1)))
     cells = points.groupBy("label", "dim", "cell").agg(F.ceil(F.count("*") / tile).alias("subs"))
     cut = points.join(cells, ["label", "dim", "cell"]).withColumn("sub", F.pmod(F.xxhash64("class"), F.col("subs")).cast("int"))
@@ -166,8 +166,10 @@ def links(points: DataFrame, threshold: float = THRESHOLD, tile: int = TILE) ->
                 return None
             table = pa.Table.from_batches(parts)
             side = table.column("side").to_numpy()
-            a = tile_of(table.filter(pa.array(side == 0)))
-            same = not (side == 1).any()
+            same = bool((side == 2).any())
+            if not same and (not (side == 0).any() or not (side == 1).any()):
+                return None  # a tile without vectors
+            a = tile_of(table.filter(pa.array(side != 1)))
             b = a if same else tile_of(table.filter(pa.array(side == 1)))
             i, j = compare(a, b, same, threshold)
             if not len(i):
