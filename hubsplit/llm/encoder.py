@@ -7,6 +7,8 @@ ids of its chunks in order. The tokenizers library encodes each distinct chunk;
 
 from __future__ import annotations
 
+import gc
+import json
 import os
 import re
 from array import array
@@ -16,6 +18,12 @@ import numpy as np
 #: A space next to other white space does not start a chunk. U+180E counts as white space in older Unicode tables.
 _WIDE = re.compile(r"[\x85\xa0 ᠎ -     　]")
 _LONE_SPACE = re.compile(r"(?<=[^\s᠎]) (?=[^\s᠎])")
+#: A word enters the memo the second time it is missed; a bounded table of flags remembers the first.
+_SEEN_MASK = (1 << 22) - 1
+#: Byte-level vocabularies name a printable byte by its own character and the others, in order, by those from U+0100 on.
+_PRINTABLE = {*range(33, 127), *range(161, 173), *range(174, 256)}
+_BYTE_NAMES = {b: chr(256 + k) for k, b in enumerate(b for b in range(256) if b not in _PRINTABLE)}
+_SPACE_NAME, _LINE_NAME = _BYTE_NAMES[32], _BYTE_NAMES[10]
 _NARROW = "\t\n\v\f\r\x1c\x1d\x1e\x1f"
 
 
@@ -40,7 +48,7 @@ class Encoder:
 
     _made: dict[tuple, Encoder] = {}
 
-    def __init__(self, path: str, capacity: int = 400_000, plain_specials: bool = False):
+    def __init__(self, path: str, capacity: int = 600_000, plain_specials: bool = False):
         os.environ.setdefault("TOKENIZERS_PARALLELISM", "false")
         from tokenizers import Tokenizer
 
@@ -51,9 +59,11 @@ class Encoder:
         self.specials = [t.content for t in self.tokenizer.get_added_tokens_decoder().values()]
         self.capacity = capacity
         self.memo: dict[str, bytes] = {}
+        self.seen = bytearray(_SEEN_MASK + 1)
         self.vocabulary = self.tokenizer.get_vocab_size()
         line_end = self.tokenizer.encode("\n", add_special_tokens=False).ids
         self.line_end = line_end[0] if len(line_end) == 1 else None
+        self.letters = self._letters_only()
 
     @classmethod
     def shared(cls, path: str, plain_specials: bool = False) -> Encoder:
@@ -65,12 +75,37 @@ class Encoder:
     def _run(self, texts: list[str]) -> list[bytes]:
         return [array("I", e.ids).tobytes() for e in self.tokenizer.encode_batch_fast(texts, add_special_tokens=False)]
 
+    def _letters_only(self):
+        """The same model behind a bare split at spaces, for words of letters alone: they are one piece whatever the pattern says."""
+        from tokenizers import Tokenizer, pre_tokenizers
+
+        parts = json.loads(self.tokenizer.to_str())
+        if parts["model"]["type"] != "BPE" or (parts["pre_tokenizer"] or {}).get("type") != "ByteLevel" or parts["normalizer"]:
+            return None
+        bare = Tokenizer(self.tokenizer.model)
+        bare.pre_tokenizer = pre_tokenizers.WhitespaceSplit()
+        return bare
+
+    def _run_letters(self, words: list[str], found: dict[str, bytes]) -> None:
+        """Byte-level names of the words, and of a line end between them, go straight to the model."""
+        names = [w if w.isascii() else w.encode().decode("latin-1").translate(_BYTE_NAMES) for w in words]
+        groups = range(0, len(words), 64)
+        texts = [_SPACE_NAME + f" {_LINE_NAME} {_SPACE_NAME}".join(names[i : i + 64]) + f" {_LINE_NAME}" for i in groups]
+        encoded = self.letters.encode_batch_fast(texts, add_special_tokens=False)
+        for i, e in zip(groups, encoded, strict=True):
+            ids, group = array("I", e.ids).tobytes(), words[i : i + 64]
+            ends = np.flatnonzero(np.frombuffer(ids, "<u4") == self.line_end).tolist()
+            if len(ends) == len(group):
+                found.update(zip(group, (ids[4 * a : 4 * b] for a, b in zip([0, *(e + 1 for e in ends)], ends, strict=False)), strict=True))
+
     def _run_words(self, words: list[str]) -> list[bytes]:
         """Ids of words that follow a space. Plain words share a text, a line each: the line end is a piece of its own there."""
         if self.line_end is None:
             return self._run([f" {w}" for w in words])
         found: dict[str, bytes] = {}
-        plain = [w for w in words if w and w.isprintable()]
+        if self.letters:
+            self._run_letters([w for w in words if w.isalpha()], found)
+        plain = [w for w in words if w and w not in found and w.isprintable()]
         groups = [plain[i : i + 256] for i in range(0, len(plain), 256)]
         texts = [" " + "\n ".join(g) + "\n" for g in groups]
         for group, ids in zip(groups, self._run(texts), strict=True):
@@ -128,6 +163,15 @@ class Encoder:
 
     def encode(self, texts: list[str | None]) -> list[bytes]:
         """Ids of each text as bytes; a null text has none."""
+        collecting = gc.isenabled()
+        gc.disable()  # lists of millions of bytes objects and no cycles: passes over them find nothing
+        try:
+            return self._encode(texts)
+        finally:
+            if collecting:
+                gc.enable()
+
+    def _encode(self, texts: list[str | None]) -> list[bytes]:
         firsts, parts, holes = [], [], []
         missing: dict[str, bytes | None] = {}
         get = self.memo.get
@@ -145,8 +189,12 @@ class Encoder:
         for known, (hole, absent) in zip(parts, holes, strict=True):
             for i, word in zip(hole, absent, strict=True):
                 known[i] = missing[word]
-        if len(self.memo) < self.capacity:
-            self.memo.update(missing)
+        seen = self.seen
+        for word, ids in missing.items():
+            slot = hash(word) & _SEEN_MASK
+            if seen[slot] and len(self.memo) < self.capacity:
+                self.memo[word] = ids
+            seen[slot] = 1
         return [head + b"".join(known) for head, known in zip(self._run(firsts), parts, strict=True)]
 
 
