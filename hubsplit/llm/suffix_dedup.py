@@ -33,7 +33,7 @@ from pyspark.sql import functions as F
 from hubsplit.shared_dir import staged
 
 LENGTH, GRAM = 50, 20
-SLICE_BYTES = 6_000_000
+SLICE_BYTES = 4_000_000
 BLOCK = 1 << 16
 #: An anchor is hot when it has more entries than an even share of a task divided by this.
 HOT_SHARE = 8
@@ -232,6 +232,11 @@ def equal_strings(pieces: list[bytes], lengths: list[int], cores: list[tuple[int
     return [classes[b : b + n] for b, n in zip(begin, count, strict=True)]
 
 
+def _name(h: np.ndarray, parts: int) -> np.ndarray:
+    """48 bits that name an anchor within its task; names that meet by chance only bring strings together that then differ."""
+    return (h // np.uint64(parts)) & np.uint64((1 << 48) - 1)
+
+
 def _pack(*columns: np.ndarray) -> bytes:
     """Columns of equal length, byte planes apart, compressed."""
     import zstandard
@@ -254,17 +259,22 @@ def _unpack(data: bytes, *kinds: str) -> list[np.ndarray]:
 
 
 def _text_slices(batches: Iterator[pa.RecordBatch]):
-    """(batch, first row, end row, texts as bytes) of bounded size; a longer text stands alone."""
+    """(batch, first row, end row, bytes of the texts one after another, where each begins and ends) of bounded size; a longer text stands alone.
+
+    The bytes are the batch's own buffer, so that no text is copied.
+    """
     for batch in batches:
-        texts = [(t.as_py() or "").encode("utf-8", "surrogatepass") for t in batch.column(1)]
-        a, held = 0, 0
-        for i, t in enumerate(texts):
-            if i > a and held + len(t) > SLICE_BYTES:
-                yield batch, a, i, texts[a:i]
-                a, held = i, 0
-            held += len(t)
-        if a < len(texts):
-            yield batch, a, len(texts), texts[a:]
+        column = batch.column(1).cast(pa.large_string()).fill_null("")
+        n = len(column)
+        _, places, values = column.buffers()
+        edge = np.frombuffer(places, np.int64)[column.offset : column.offset + n + 1] if n else np.zeros(1, np.int64)
+        data = np.frombuffer(values, np.uint8) if values is not None else np.zeros(0, np.uint8)
+        a = 0
+        while a < n:
+            b = max(a + 1, int(np.searchsorted(edge, edge[a] + SLICE_BYTES, side="right")) - 1)
+            b = min(b, n)
+            yield batch, a, b, data[edge[a] : edge[b]], edge[a : b + 1] - edge[a]
+            a = b
 
 
 def _rows(buckets: list[int], payloads: list[bytes], kinds: list[int]) -> pa.RecordBatch:
@@ -275,18 +285,16 @@ def shared_anchors(docs: DataFrame, parts: int, length: int = LENGTH, gram: int
     """(doc_id, pos) of anchors that occur in two documents; rows with null doc_id carry a hot anchor's hash in ``pos``."""
 
     def scan(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for batch, a, b, texts in _text_slices(batches):
+        for batch, a, b, data, edge in _text_slices(batches):
             ids = batch.column(0).slice(a, b - a)
             doc = ids.fill_null(0).to_numpy()
-            sizes = np.array([len(t) for t in texts], np.int64)
-            data = np.frombuffer(b"".join(texts), np.uint8)
-            ends = np.cumsum(sizes)
+            starts, ends = edge[:-1], edge[1:]
             known = ids.is_valid().to_numpy(zero_copy_only=False)
-            at, h = anchor_positions(data, (ends - sizes)[known], ends[known], length, gram)
+            at, h = anchor_positions(data, starts[known], ends[known], length, gram)
             if not len(at):
                 continue
             row = np.searchsorted(ends, at, side="right")
-            owner, place = doc[row], (at - (ends - sizes)[row]).astype(np.int64)
+            owner, place = doc[row], (at - starts[row]).astype(np.int64)
             order = np.argsort(h, kind="stable")
             h, owner, place = h[order], owner[order], place[order]
             head = np.flatnonzero(np.r_[True, h[1:] != h[:-1]])
@@ -301,7 +309,7 @@ def shared_anchors(docs: DataFrame, parts: int, length: int = LENGTH, gram: int
             order = np.lexsort((h_out, bucket))
             bucket, h_out, owner_out, place_out = bucket[order], h_out[order], owner_out[order], place_out[order]
             cut = np.r_[np.flatnonzero(np.r_[True, bucket[1:] != bucket[:-1]]), len(bucket)]
-            made = [(int(bucket[s]), _pack((h_out[s:e] // np.uint64(parts)), owner_out[s:e].astype(np.int64), place_out[s:e].astype(np.int64)), 0) for s, e in zip(cut[:-1], cut[1:], strict=True)]
+            made = [(int(bucket[s]), _pack(_name(h_out[s:e], parts).astype("<u8").view("u1").reshape(-1, 8)[:, :6], owner_out[s:e].astype(np.int64), place_out[s:e].astype(np.int64)), 0) for s, e in zip(cut[:-1], cut[1:], strict=True)]
             if seen.any():  # settled: any task may carry them
                 made.append((int(h[0] % np.uint64(parts)), _pack(owner[seen].astype(np.int64), place[seen].astype(np.int64)), 1))
             yield _rows([m[0] for m in made], [m[1] for m in made], [m[2] for m in made])
@@ -314,10 +322,11 @@ def shared_anchors(docs: DataFrame, parts: int, length: int = LENGTH, gram: int
                 if kind == 1:
                     yield emit(*_unpack(payload, "<i8", "<i8"))
                 else:
-                    held.setdefault(bucket, []).append(_unpack(payload, "<u8", "<i8", "<i8"))
+                    held.setdefault(bucket, []).append(_unpack(payload, "V6", "<i8", "<i8"))
         total = sum(len(x[0]) for xs in held.values() for x in xs)
         for bucket, entries in held.items():
             h, doc, pos = (np.concatenate(c) for c in zip(*entries, strict=True))
+            h = np.pad(h.view("u1").reshape(-1, 6), ((0, 0), (0, 2))).view("<u8").reshape(-1)
             order = np.argsort(h, kind="stable")
             h, doc, pos = h[order], doc[order], pos[order]
             head = np.flatnonzero(np.r_[True, h[1:] != h[:-1]])
@@ -346,6 +355,8 @@ def _own_reach(padded: np.ndarray, p: np.ndarray, flank: int, gram: int) -> tupl
 
 def _joined(owner: np.ndarray, mark: np.ndarray, start: np.ndarray, end: np.ndarray) -> tuple[np.ndarray, ...]:
     """The same spans with those that touch made one, per document."""
+    if not len(owner):
+        return tuple(np.zeros(0, np.int64) for _ in range(4))
     order = np.lexsort((start, mark, owner))
     owner, mark, start, end = (x[order].astype(np.int64) for x in (owner, mark, start, end))
     fresh = np.r_[True, (owner[1:] != owner[:-1]) | (mark[1:] != mark[:-1])]
@@ -356,7 +367,33 @@ def _joined(owner: np.ndarray, mark: np.ndarray, start: np.ndarray, end: np.ndar
     return owner[head], mark[head], start[head], far[last] - base[last]
 
 
-_ENTRY = ("<u8", "<i8", "<i8", "<i8", "u1", "u1")
+def _string_key(ctx: np.ndarray, anchor: np.ndarray) -> np.ndarray:
+    """The key of a string that is dealt by itself."""
+    return gram_hashes(ctx, ctx.shape[1])[:, 0] ^ anchor
+
+
+def _send(owner, mark, place, left, right, ctx) -> bytes:
+    """Contexts of one task: documents once, then per context its document, place, reach and bytes. Keys follow from the bytes."""
+    import zstandard
+
+    whose, which = np.unique(np.stack([owner, mark], axis=1).astype(np.int64), axis=0, return_inverse=True)
+    docs = _pack(np.ascontiguousarray(whose[:, 0]), np.ascontiguousarray(whose[:, 1]))
+    flat = _pack(which.reshape(-1).astype("<u4"), place.astype(np.int64), left.astype(np.uint8), right.astype(np.uint8))
+    return struct.pack("<II", len(docs), len(flat)) + docs + flat + zstandard.ZstdCompressor(level=5).compress(ctx.tobytes())
+
+
+def _receive(payload: bytes, width: int, flank: int, gram: int) -> tuple[np.ndarray, ...]:
+    import zstandard
+
+    n, m = struct.unpack_from("<II", payload)
+    whose, marks = _unpack(payload[8 : 8 + n], "<i8", "<i8")
+    which, place, left, right = _unpack(payload[8 + n : 8 + n + m], "<u4", "<i8", "u1", "u1")
+    ctx = np.frombuffer(zstandard.ZstdDecompressor().decompress(payload[8 + n + m :]), np.uint8).reshape(-1, width)
+    key = gram_hashes(ctx[:, flank : flank + gram], gram)[:, 0]
+    alone = right >= 128
+    if alone.any():
+        key[alone] = _string_key(ctx[alone], key[alone])
+    return key, whose[which], marks[which], place, left, right & 127, ctx
 
 
 def removed_spans(docs: DataFrame, anchors: DataFrame, hot: np.ndarray, parts: int, length: int = LENGTH, gram: int = GRAM) -> DataFrame:
@@ -365,15 +402,16 @@ def removed_spans(docs: DataFrame, anchors: DataFrame, hot: np.ndarray, parts: i
     width = length + flank
 
     def contexts(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for batch, a, b, texts in _text_slices(batches):
+        for batch, a, b, data, edge in _text_slices(batches):
             doc, digest, wanted = (batch.column(k).slice(a, b - a) for k in (0, 2, 3))
             doc, digest = doc.to_numpy(), digest.to_numpy()
             parts_of = []
-            for i, text in enumerate(texts):
+            for i in range(b - a):
+                text = data[edge[i] : edge[i + 1]]
                 p = np.unique(np.asarray(wanted[i].values, np.int64))
                 p = p[p + gram <= len(text)]
                 padded = np.zeros(len(text) + 2 * flank, np.uint8)
-                padded[flank : flank + len(text)] = np.frombuffer(text, np.uint8)
+                padded[flank : flank + len(text)] = text
                 m = len(p)
                 if not m:
                     continue
@@ -388,14 +426,15 @@ def removed_spans(docs: DataFrame, anchors: DataFrame, hot: np.ndarray, parts: i
             if not len(place):
                 continue
             key = gram_hashes(ctx[:, flank : flank + gram], gram)[:, 0]
-            wide = np.isin(key, hot)
+            alone = np.zeros(len(key), np.uint8)
+            wide = np.isin(_name(key, parts) * np.uint64(parts) + key % np.uint64(parts), hot)
             if wide.any():  # a hot anchor's strings are dealt one by one
                 pick, shift = np.nonzero(wide[:, None] & (np.arange(flank + 1) <= left[:, None]) & (flank - np.arange(flank + 1) <= right[:, None]))
                 column = np.arange(width)
                 single = np.where((column >= (flank - shift)[:, None]) & (column < (flank - shift + length)[:, None]), ctx[pick], 0).astype(np.uint8)
-                string = gram_hashes(single, width)[:, 0] ^ key[pick]
                 keep = ~wide
-                ctx, key = np.concatenate([ctx[keep], single]), np.concatenate([key[keep], string])
+                ctx, key = np.concatenate([ctx[keep], single]), np.concatenate([key[keep], _string_key(single, key[pick])])
+                alone = np.r_[np.zeros(keep.sum(), np.uint8), np.full(len(pick), 128, np.uint8)]
                 owner, mark, place = (np.concatenate([c[keep], c[pick]]) for c in (owner, mark, place))
                 left, right = np.concatenate([left[keep], shift]), np.concatenate([right[keep], flank - shift])
             # of equal contexts, those in larger documents are settled here
@@ -417,16 +456,11 @@ def removed_spans(docs: DataFrame, anchors: DataFrame, hot: np.ndarray, parts: i
             cut = np.r_[np.flatnonzero(np.r_[True, bucket[1:] != bucket[:-1]]), len(bucket)] if len(bucket) else np.array([], int)
             for s, e in zip(cut[:-1], cut[1:], strict=True):
                 k = sent[s:e]
-                flat = _pack(key[k], owner[k].astype(np.int64), mark[k].astype(np.int64), place[k].astype(np.int64), left[k].astype(np.uint8), right[k].astype(np.uint8))
-                import zstandard
-
-                made.append((int(bucket[s]), struct.pack("<I", len(flat)) + flat + zstandard.ZstdCompressor(level=1).compress(ctx[k].tobytes()), 0))
+                made.append((int(bucket[s]), _send(owner[k], mark[k], place[k], left[k], right[k].astype(np.uint8) | alone[k], ctx[k]), 0))
             if made:
                 yield _rows([m[0] for m in made], [m[1] for m in made], [m[2] for m in made])
 
     def resolve(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        import zstandard
-
         held: dict[int, list] = {}
         emit = lambda *columns: pa.RecordBatch.from_arrays([pa.array(c, pa.int64()) for c in columns], names=["doc_id", "text_hash", "start", "end"])
         for batch in batches:
@@ -434,9 +468,7 @@ def removed_spans(docs: DataFrame, anchors: DataFrame, hot: np.ndarray, parts: i
                 if kind == 1:
                     yield emit(*_unpack(payload, "<i8", "<i8", "<i8", "<i8"))
                     continue
-                (n,) = struct.unpack_from("<I", payload)
-                columns = _unpack(payload[4 : 4 + n], *_ENTRY)
-                held.setdefault(bucket, []).append((*columns, np.frombuffer(zstandard.ZstdDecompressor().decompress(payload[4 + n :]), np.uint8).reshape(-1, width)))
+                held.setdefault(bucket, []).append(_receive(payload, width, flank, gram))
         for entries in held.values():
             yield from (emit(*x) for x in _owned(*(np.concatenate(c) for c in zip(*entries, strict=True)), length, gram))
 
@@ -540,7 +572,7 @@ def deduplicate(docs: DataFrame, carry: list[str] | None = None, length: int = L
 
     def apply(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         n = len(carry)
-        for batch in batches:
+        for batch in (b.slice(k, 500) for b in batches for k in range(0, b.num_rows, 500)):
             kept, spans = [], []
             for text, digest, found in zip(batch.column(n), batch.column(n + 1).to_pylist(), batch.column(n + 2), strict=True):
                 data = (text.as_py() or "").encode("utf-8", "surrogatepass")
