@@ -199,7 +199,7 @@ def _kernel(program: Program, round_: int, active: set[int] | None):
         inbox = rows.filter(pa.array([t == "in" for t in tags]))
         part = Part(pid, edges, state)
         at = part.index_of(inbox.column("vid").to_numpy())
-        z = np.array(inbox.column("z").to_pylist(), np.int64).reshape(len(at), -1) if program.width and len(at) else np.zeros((0, program.width), np.int64)
+        z = np.array(inbox.column("z").to_pylist(), np.int64).reshape(len(at), -1) if program.merge[0] == "z" and len(at) else np.zeros((0, program.width), np.int64)
         box = Inbox(at, inbox.column("a").to_numpy(zero_copy_only=False), inbox.column("b").to_numpy(zero_copy_only=False), z)
         out, values, pending = program.compute(part, box, round_)
         kept = _rows("state", pid, len(part.vids), vid=part.vids, master_pid=part.master_pid, frontier=part.frontier, d_out=part.d_out, code=part.code, a=part.a, b=part.b, c=part.c, h=part.h, z=part.z if program.width else None)
