@@ -9,7 +9,7 @@ import pyarrow as pa
 from pyspark.sql import Window
 from pyspark.sql import functions as F
 
-from hubsplit.functions.hashing import hash32, hash32_py, hash32_sql
+from hubsplit.functions.hashing import hash32_py, hash32_sql
 from hubsplit.operators.relational import views
 from hubsplit.plans import partition as P
 from hubsplit.plans import programs as R
@@ -185,7 +185,7 @@ def cogrouped_map_parts(spark, d):
         return pa.table({"pid": pa.array([key[0].as_py()], pa.int32()), "n_edges": [e.num_rows], "n_vertices": [v.num_rows]})
 
     a = _cut(spark, d)
-    return a.groupBy("pid").cogroup(P.replicas_of(a).groupBy("pid")).applyInArrow(count, "pid int, n_edges long, n_vertices long")
+    return a.groupBy("pid").cogroup(P.replicas_of(a).select(F.col("pid").alias("part"), "vid").groupBy("part")).applyInArrow(count, "pid int, n_edges long, n_vertices long")
 
 
 @query("map_in_arrow_edges", _SIZES)
@@ -215,5 +215,3 @@ def sql_rank_by_nation(spark, d):
     return spark.sql("""SELECT n_name, s_suppkey, rank FROM (SELECT n_name, s_suppkey, rank, row_number() OVER (PARTITION BY n_name ORDER BY rank DESC, s_suppkey) AS r
         FROM ranks JOIN supplier ON vid = 4 * s_suppkey + 3 JOIN nation ON s_nationkey = n_nationkey) WHERE r = 1""")
 
-
-assert hash32
