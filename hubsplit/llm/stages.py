@@ -11,7 +11,7 @@ from pyspark.sql import functions as F
 
 from hubsplit.llm import mixing as mix
 from hubsplit.llm import packing as pack
-from hubsplit.llm import quality, simhash, suffix_dedup
+from hubsplit.llm import near_copies, quality, suffix_dedup
 from hubsplit.shared_dir import staged
 
 
@@ -22,10 +22,9 @@ def quality_rules(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFram
 
 
 def simhash_dedup(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """The document of smallest doc_id of each near-duplicate group; a null doc_id cannot name a copy, and its rows stay."""
-    prints = staged(simhash.fingerprints(docs), "prints")
-    copies = simhash.near_groups(prints).where("doc_id <> component_id").select(F.col("doc_id").alias("_hs_copy")).distinct()
-    return docs.join(copies, docs["doc_id"] == F.col("_hs_copy"), "left_anti").select(*docs.columns)
+    """The document of smallest doc_id of each group of near copies (five-word shingles, similarity 0.8); rows without a doc_id stay."""
+    classed, copies = near_copies.near_copies(docs)
+    return classed.join(copies, ["doc_id", "_hs_class"], "left_anti").select(*docs.columns)
 
 
 def suffix_array_dedup(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:

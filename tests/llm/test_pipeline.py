@@ -1,5 +1,10 @@
+import random
+
+import pytest
+
 import corpus_pipeline
-from hubsplit.llm import stages
+from hubsplit.llm import near_copies, simhash, stages
+from tests.llm.test_dedup import components
 
 
 def labels(spark):
@@ -24,3 +29,42 @@ def test_stages_keep_columns_and_take_effect(spark, odd_docs, saved):
 def test_pipeline_runs_whole_and_over_nothing(spark, odd_docs, no_docs, saved):
     assert corpus_pipeline.run(spark, saved(labels=labels(spark), documents=odd_docs)).count() > 0
     assert corpus_pipeline.run(spark, saved(labels=labels(spark), documents=no_docs)).count() == 0
+
+
+def shingle_set(text):
+    words = (text or "").lower().split()
+    return {tuple(words[i : i + 5]) for i in range(len(words) - 4)} or {tuple(words)}
+
+
+@pytest.mark.parametrize("sample", [0, 16_384])
+def test_near_dedup_finds_every_pair_of_similarity_eighty(spark, monkeypatch, sample):
+    """Against brute force: chains, exact copies, a passage that many unlike texts share, texts shorter than a shingle."""
+    monkeypatch.setattr(near_copies, "SAMPLE", sample)
+    rng = random.Random(3)
+    word = lambda: f"w{rng.randrange(4000)}"
+    passage = [word() for _ in range(30)]
+    texts = []
+    for k in range(60):
+        base = [word() for _ in range(rng.randrange(8, 260))] + passage * (k % 3 == 0)
+        for _ in range(rng.randrange(1, 6)):
+            texts.append(" ".join(base))
+            for _ in range(rng.choice([0, 1, 1, 2, 3, 5])):
+                base[rng.randrange(len(base))] = word()
+            if rng.random() < 0.3:
+                base = base[: rng.randrange(len(base) * 4 // 5, len(base)) + 1]
+    texts += ["one two", "One  TWO", "three", "", None, " \n"]
+    rng.shuffle(texts)
+    sets = [shingle_set(t) for t in texts]
+    links = [(i, j) for i in range(len(texts)) for j in range(i) if 9 * len(sets[i] & sets[j]) >= 4 * (len(sets[i]) + len(sets[j]))]
+    wide = [(i, j) for i, j in links if sets[i] != sets[j] and (simhash.fingerprint(texts[i]) ^ simhash.fingerprint(texts[j])).bit_count() > simhash.RADIUS]
+    assert len(wide) > 20  # pairs that fingerprints within two bits miss
+    label = components(len(texts), links)
+    docs = spark.createDataFrame([(i, t, "en", "a", 1) for i, t in enumerate(texts)], "doc_id long, text string, lang string, source string, n_chars long")
+    assert sorted(r["doc_id"] for r in stages.simhash_dedup(spark, docs, "").collect()) == sorted(set(label))
+
+
+def test_near_dedup_of_rows_without_or_with_the_same_doc_id(spark, no_docs):
+    a, b = " ".join(f"a{k}" for k in range(40)), " ".join(f"b{k}" for k in range(40))
+    docs = spark.createDataFrame([(1, a), (2, a), (2, b), (None, b)], "doc_id long, text string")
+    assert sorted(map(str, stages.simhash_dedup(spark, docs, "").collect())) == sorted(map(str, docs.where("doc_id is null or doc_id = 1 or text = '%s'" % b).collect()))
+    assert stages.simhash_dedup(spark, no_docs, "").count() == 0
