@@ -1,30 +1,36 @@
-"""Token ids of whole texts, with a bounded memo of the words already encoded.
+"""Token ids of whole texts: each distinct word of a slice of texts is encoded once.
 
 Byte-level BPE splits a text into pieces before it merges, and a single space between two characters that are not white
 space always starts a piece. Chunks between such spaces therefore encode independently, and the ids of a text are the
-ids of its chunks in order. The tokenizers library encodes each distinct chunk; the memo holds at most ``capacity`` of them.
+ids of its chunks in order. A slice of texts is split and its chunks numbered by Arrow; the tokenizers library encodes the distinct
+ones, and numpy lays their ids out in the order of the texts. A memo of at most ``MEMO_BYTES`` keeps words that came up more than once.
 """
 
 from __future__ import annotations
 
-import gc
 import json
 import os
 import re
 from array import array
+from collections.abc import Iterator
 
 import numpy as np
+import pyarrow as pa
+import pyarrow.compute as pc
 
 #: A space next to other white space does not start a chunk. U+180E counts as white space in older Unicode tables.
-_WIDE = re.compile(r"[\x85\xa0 ᠎ -     　]")
+_WIDE = "\x85\xa0 ᠎ -     　"
 _LONE_SPACE = re.compile(r"(?<=[^\s᠎]) (?=[^\s᠎])")
-#: A word enters the memo the second time it is missed; a bounded table of flags remembers the first.
-_SEEN_MASK = (1 << 22) - 1
 #: Byte-level vocabularies name a printable byte by its own character and the others, in order, by those from U+0100 on.
 _PRINTABLE = {*range(33, 127), *range(161, 173), *range(174, 256)}
 _BYTE_NAMES = {b: chr(256 + k) for k, b in enumerate(b for b in range(256) if b not in _PRINTABLE)}
 _SPACE_NAME, _LINE_NAME = _BYTE_NAMES[32], _BYTE_NAMES[10]
-_NARROW = "\t\n\v\f\r\x1c\x1d\x1e\x1f"
+#: Texts in which some space has white space or nothing beside it; all others are split at every space.
+_NARROW = "\\t\\n\\v\\f\\r\\x1c\\x1d\\x1e\\x1f"
+_UNEVEN = f"^ | $|  | [{_NARROW}]|[{_NARROW}] |[{_WIDE}]"
+#: A bound on the memo: its words, their ids, and the objects that hold them.
+MEMO_BYTES, _ENTRY_BYTES = 96 << 20, 180
+SLICE_BYTES, SLICE_ROWS = 6_000_000, 10_000
 
 
 def default_tokenizer() -> str:
@@ -33,22 +39,12 @@ def default_tokenizer() -> str:
     return public_tokenizers.path("byte_bpe_50k.json")
 
 
-def _chunks(text: str) -> list[str]:
-    parts = text.split(" ")
-    if "" in parts or (not text.isascii() and _WIDE.search(text)):
-        return _LONE_SPACE.split(text)
-    for c in _NARROW:
-        if c in text and (f" {c}" in text or f"{c} " in text):
-            return _LONE_SPACE.split(text)
-    return parts
-
-
 class Encoder:
     """Encodes texts to little-endian unsigned 32-bit ids; one instance per Python worker and tokenizer file."""
 
     _made: dict[tuple, Encoder] = {}
 
-    def __init__(self, path: str, capacity: int = 600_000, plain_specials: bool = False):
+    def __init__(self, path: str, memo_bytes: int = MEMO_BYTES, plain_specials: bool = False):
         os.environ.setdefault("TOKENIZERS_PARALLELISM", "false")
         from tokenizers import Tokenizer
 
@@ -57,9 +53,9 @@ class Encoder:
             self.tokenizer.encode_special_tokens = True
         self.plain_specials = plain_specials
         self.specials = [t.content for t in self.tokenizer.get_added_tokens_decoder().values()]
-        self.capacity = capacity
+        self.room = memo_bytes
         self.memo: dict[str, bytes] = {}
-        self.seen = bytearray(_SEEN_MASK + 1)
+        self.seen = np.zeros(1 << 22, bool)  # of words that came up in an earlier slice, by hash
         self.vocabulary = self.tokenizer.get_vocab_size()
         line_end = self.tokenizer.encode("\n", add_special_tokens=False).ids
         self.line_end = line_end[0] if len(line_end) == 1 else None
@@ -86,25 +82,27 @@ class Encoder:
         bare.pre_tokenizer = pre_tokenizers.WhitespaceSplit()
         return bare
 
-    def _run_letters(self, words: list[str], found: dict[str, bytes]) -> None:
-        """Byte-level names of the words, and of a line end between them, go straight to the model."""
+    def _run_letters(self, words: list[str]) -> tuple[np.ndarray, np.ndarray] | None:
+        """Number of ids of each word of letters alone that follows a space, and all ids one after another.
+
+        Byte-level names of the words, and of a line end between them, go straight to the model.
+        """
+        if not self.letters or self.line_end is None:
+            return None
         names = [w if w.isascii() else w.encode().decode("latin-1").translate(_BYTE_NAMES) for w in words]
-        groups = range(0, len(words), 64)
-        texts = [_SPACE_NAME + f" {_LINE_NAME} {_SPACE_NAME}".join(names[i : i + 64]) + f" {_LINE_NAME}" for i in groups]
-        encoded = self.letters.encode_batch_fast(texts, add_special_tokens=False)
-        for i, e in zip(groups, encoded, strict=True):
-            ids, group = array("I", e.ids).tobytes(), words[i : i + 64]
-            ends = np.flatnonzero(np.frombuffer(ids, "<u4") == self.line_end).tolist()
-            if len(ends) == len(group):
-                found.update(zip(group, (ids[4 * a : 4 * b] for a, b in zip([0, *(e + 1 for e in ends)], ends, strict=False)), strict=True))
+        texts = [_SPACE_NAME + f" {_LINE_NAME} {_SPACE_NAME}".join(names[i : i + 128]) + f" {_LINE_NAME}" for i in range(0, len(words), 128)]
+        held = array("I")
+        for e in self.letters.encode_batch_fast(texts, add_special_tokens=False):
+            held.extend(e.ids)
+        ids = np.frombuffer(held, "<u4")
+        ends = np.flatnonzero(ids == self.line_end)
+        return (np.diff(ends, prepend=-1) - 1, np.delete(ids, ends)) if len(ends) == len(words) else None
 
     def _run_words(self, words: list[str]) -> list[bytes]:
         """Ids of words that follow a space. Plain words share a text, a line each: the line end is a piece of its own there."""
         if self.line_end is None:
             return self._run([f" {w}" for w in words])
         found: dict[str, bytes] = {}
-        if self.letters:
-            self._run_letters([w for w in words if w.isalpha()], found)
         plain = [w for w in words if w and w not in found and w.isprintable()]
         groups = [plain[i : i + 256] for i in range(0, len(plain), 256)]
         texts = [" " + "\n ".join(g) + "\n" for g in groups]
@@ -161,51 +159,145 @@ class Encoder:
                 out += self._run(group)
         return out
 
-    def encode(self, texts: list[str | None]) -> list[bytes]:
-        """Ids of each text as bytes; a null text has none."""
-        collecting = gc.isenabled()
-        gc.disable()  # lists of millions of bytes objects and no cycles: passes over them find nothing
-        try:
-            return self._encode(texts)
-        finally:
-            if collecting:
-                gc.enable()
-
-    def _encode(self, texts: list[str | None]) -> list[bytes]:
-        firsts, parts, holes = [], [], []
-        missing: dict[str, bytes | None] = {}
-        get = self.memo.get
-        for text in texts:
-            text = text or ""
-            first, *rest = [text] if not self.plain_specials and any(s in text for s in self.specials) else _chunks(text)
-            known = list(map(get, rest))
-            hole = [i for i, ids in enumerate(known) if ids is None]
-            absent = [rest[i] for i in hole]
-            missing.update(dict.fromkeys(absent))
-            firsts.append(first)
-            parts.append(known)
-            holes.append((hole, absent))
-        missing = self._resolve(list(missing))
-        for known, (hole, absent) in zip(parts, holes, strict=True):
-            for i, word in zip(hole, absent, strict=True):
-                known[i] = missing[word]
-        seen = self.seen
-        for word, ids in missing.items():
-            slot = hash(word) & _SEEN_MASK
-            if seen[slot] and len(self.memo) < self.capacity:
-                self.memo[word] = ids
-            seen[slot] = 1
-        return [head + b"".join(known) for head, known in zip(self._run(firsts), parts, strict=True)]
-
-
-def slices(texts: list, most_chars: int = 4_000_000, most_rows: int = 1000):
-    """Row ranges of a batch that hold about ``most_chars`` characters, so that memory stays bounded; a longer text stands alone."""
-    begin, held = 0, 0
-    for i, text in enumerate(texts):
-        n = len(text) if text else 0
-        if i > begin and (held + n > most_chars or i - begin >= most_rows):
-            yield begin, i
-            begin, held = i, 0
-        held += n
-    if begin < len(texts):
-        yield begin, len(texts)
+    def encode(self, texts: list[str | None] | pa.Array) -> list[bytes]:
+        """Ids of each text as bytes; a null text has none. For slices of bounded size, see ``slices``."""
+        column = texts if isinstance(texts, pa.Array) else pa.array(texts, pa.large_string())
+        flat, ends = self._encode(column.cast(pa.large_string()).fill_null(""))
+        view = memoryview(flat).cast("B")
+        return [bytes(view[4 * a : 4 * b]) for a, b in zip([0, *ends[:-1]], ends, strict=False)]
+
+    def _lists(self, texts: pa.Array) -> tuple[pa.Array, np.ndarray]:
+        """Chunks of every text, those of uneven texts last, and each list's row."""
+        uneven = pc.match_substring_regex(texts, _UNEVEN)
+        whole = pa.array(np.zeros(len(texts), bool))
+        if not self.plain_specials:  # special strings are found before spaces are
+            for s in self.specials:
+                whole = pc.or_(whole, pc.match_substring(texts, s))
+        odd = pc.or_(uneven, whole)
+        rows = np.r_[np.flatnonzero(pc.invert(odd).to_numpy(zero_copy_only=False)), np.flatnonzero(odd.to_numpy(zero_copy_only=False))]
+        lists = [pc.split_pattern(texts.filter(pc.invert(odd)), " ")]
+        if pc.any(odd).as_py():
+            chunks = [[t] if keep else _LONE_SPACE.split(t) for t, keep in zip(texts.filter(odd).to_pylist(), whole.filter(odd).to_pylist(), strict=True)]
+            lists.append(pa.array(chunks, lists[0].type))
+        return pa.concat_arrays(lists), rows
+
+    def _encode(self, texts: pa.Array) -> tuple[np.ndarray, list[int]]:
+        """The ids of all texts one after another, and where each text ends."""
+        n = len(texts)
+        if not n:
+            return np.array([], np.uint32), []
+        lists, rows = self._lists(texts)
+        edge = lists.offsets.to_numpy()
+        first = np.zeros(edge[-1] - edge[0], bool)
+        first[edge[:-1] - edge[0]] = True
+        words = lists.flatten()
+        named = words.filter(pa.array(~first)).dictionary_encode()
+        body, mark, pieces = self._pieces(named.dictionary, np.bincount(named.indices.to_numpy(), minlength=len(named.dictionary)))
+        pieces.append(self._run(words.filter(pa.array(first)).to_pylist()))
+        size, ids = pieces.whole()
+        # every word is one piece, or one and a mark
+        place = np.empty((len(first), 2), np.int32)
+        place[~first, 0], place[~first, 1] = body[named.indices.to_numpy()], mark[named.indices.to_numpy()]
+        place[first, 0], place[first, 1] = len(size) - n + np.arange(n), -1
+        count = np.diff(edge)
+        if not np.array_equal(rows, np.arange(n)):  # lists stand in the order of `rows`
+            back = np.argsort(rows)
+            begin = edge[:-1] - edge[0]
+            place = place[np.repeat(begin[back] - np.cumsum(count[back]) + count[back], count[back]) + np.arange(len(place))]
+            count = count[back]
+        long = np.where(place >= 0, size[place], 0)
+        ends = np.cumsum(long.sum(axis=1))[np.cumsum(count) - 1]
+        code = place[place >= 0]
+        long, start = size[code], (np.cumsum(size) - size)[code]
+        total = np.cumsum(long)
+        out = ids[np.repeat(start - total + long, long) + np.arange(total[-1])] if total[-1] else ids[:0]
+        return np.ascontiguousarray(out), ends.tolist()
+
+    def _pieces(self, words: pa.Array, times: np.ndarray) -> tuple[np.ndarray, np.ndarray, Pieces]:
+        """For distinct words that follow a space: the piece of each, the piece of the full stop or comma after it (or -1), and the pieces.
+
+        Words of letters alone, with or without that mark, share their pieces; any others are resolved by themselves.
+        """
+        marked = pc.match_substring_regex(words, "[.,]$")
+        stems = pc.if_else(marked, pc.utf8_slice_codeunits(words, 0, -1), words)
+        plain = pc.utf8_is_alpha(stems).to_numpy(zero_copy_only=False)
+        if self.letters is None:
+            plain = np.zeros(len(words), bool)
+        atoms = stems.filter(pa.array(plain)).dictionary_encode()
+        names, which = atoms.dictionary.to_pylist(), atoms.indices.to_numpy()
+        held = list(map(self.memo.get, names))
+        new = np.fromiter((x is None for x in held), bool, len(held))
+        pieces, at = Pieces(), np.empty(len(names), np.int64)
+        at[~new] = pieces.append([x for x in held if x is not None])
+        fresh = [names[i] for i in np.flatnonzero(new).tolist()]
+        got = self._run_letters(fresh) if fresh else None
+        if got is None:
+            at[new] = pieces.append(self._run([f" {w}" for w in fresh]))
+        else:
+            at[new] = pieces.extend(*got)
+            slot = np.fromiter(map(hash, fresh), np.int64, len(fresh)) & (len(self.seen) - 1)
+            often = (np.bincount(which, weights=times[plain], minlength=len(names))[new] > 1) | self.seen[slot]
+            self.seen[slot] = True
+            self._remember(fresh, *got, often)
+        body, mark = np.empty(len(words), np.int32), np.full(len(words), -1, np.int32)
+        body[plain] = at[which]
+        signs = pieces.append(self._run([".", ","]))
+        both = plain & marked.to_numpy(zero_copy_only=False)
+        mark[both] = np.where(pc.ends_with(words.filter(pa.array(both)), ".").to_numpy(zero_copy_only=False), signs[0], signs[1])
+        odd = words.filter(pa.array(~plain)).to_pylist()
+        held = list(map(self.memo.get, odd))
+        rest = [w for w, x in zip(odd, held, strict=True) if x is None]
+        made = self._resolve(rest)
+        body[~plain] = pieces.append([made[w] if x is None else x for w, x in zip(odd, held, strict=True)])
+        for w, k in zip(odd, times[~plain].tolist(), strict=True):
+            if k > 1 and w in made:
+                self._keep(w, made[w])
+        return body, mark, pieces
+
+    def _remember(self, words: list[str], size: np.ndarray, ids: np.ndarray, often: np.ndarray) -> None:
+        """Words that came up more than once enter the memo while there is room."""
+        ends = 4 * np.cumsum(size)
+        data = ids.tobytes()
+        for i in np.flatnonzero(often).tolist():
+            if self.room <= 0:
+                return
+            self._keep(words[i], data[ends[i] - 4 * size[i] : ends[i]])
+
+    def _keep(self, word: str, ids: bytes) -> None:
+        if self.room > 0:
+            self.memo[word] = ids
+            self.room -= len(word) * (1 if word.isascii() else 2) + len(ids) + _ENTRY_BYTES
+
+
+class Pieces:
+    """Sequences of ids, numbered in the order they are given."""
+
+    def __init__(self):
+        self.sizes: list[np.ndarray] = []
+        self.ids: list[np.ndarray] = []
+        self.count = 0
+
+    def extend(self, size: np.ndarray, ids: np.ndarray) -> np.ndarray:
+        self.sizes.append(size)
+        self.ids.append(ids)
+        self.count += len(size)
+        return np.arange(self.count - len(size), self.count)
+
+    def append(self, given: list[bytes]) -> np.ndarray:
+        return self.extend(np.fromiter(map(len, given), np.int64, len(given)) // 4, np.frombuffer(b"".join(given), "<u4"))
+
+    def whole(self) -> tuple[np.ndarray, np.ndarray]:
+        return np.concatenate(self.sizes), np.concatenate(self.ids)
+
+
+def slices(texts: pa.Array, most_bytes: int = SLICE_BYTES, most_rows: int = SLICE_ROWS) -> Iterator[tuple[int, int]]:
+    """Row ranges of a column that hold about ``most_bytes``, so that memory stays bounded; a longer text stands alone."""
+    if not len(texts):
+        return
+    ends = np.cumsum(pc.fill_null(pc.binary_length(texts), 0).to_numpy(zero_copy_only=False).astype(np.int64))
+    begin, before = 0, 0
+    while begin < len(ends):
+        end = min(max(int(np.searchsorted(ends, before + most_bytes, side="right")), begin + 1), begin + most_rows)
+        yield begin, min(end, len(ends))
+        begin = min(end, len(ends))
+        before = int(ends[begin - 1])

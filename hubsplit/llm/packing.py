@@ -33,10 +33,10 @@ def token_pieces(docs: DataFrame, capacity: int = CAPACITY, tokenizer_path: str
     def cut(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         encoder, end = Encoder.shared(path), struct.pack("<I", end_id)
         for batch in batches:
-            ids, texts = batch.column(0).to_pylist(), batch.column(1).to_pylist()
+            ids, texts = batch.column(0).to_pylist(), batch.column(1)
             for a, b in slices(texts):
                 rows = []
-                for doc_id, encoded in zip(ids[a:b], encoder.encode(texts[a:b]), strict=True):
+                for doc_id, encoded in zip(ids[a:b], encoder.encode(texts.slice(a, b - a)), strict=True):
                     encoded += end
                     n = len(encoded) // 4
                     at, piece = 0, 0

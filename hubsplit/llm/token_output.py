@@ -19,10 +19,11 @@ from collections.abc import Iterator
 import numpy as np
 import pyarrow as pa
 from pyspark import TaskContext
-from pyspark.sql import DataFrame, SparkSession, Window
+from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from hubsplit.llm.encoder import Encoder, default_tokenizer, slices
+from hubsplit.llm.prefix import running_bases
 from hubsplit.shared_dir import fresh_path, staged
 
 MARK = b"HSZIDS01"
@@ -30,8 +31,9 @@ HEAD = struct.Struct("<8sII")
 FOOT = struct.Struct("<QQ32sI8s")
 #: A shard is closed at this many bytes of frames.
 SHARD_BYTES = 32 << 20
-#: The dictionary is trained on the rows with the smallest hashed id, this many at most, and this many ids of each.
-SAMPLE_ROWS, SAMPLE_IDS, DICTIONARY_BYTES = 2000, 4096, 64 << 10
+#: The dictionary is trained on the rows with the smallest hashed id, this many at most, and on one window of so many characters of each,
+#: whose place in the whole text a hash of the id draws. A bound on the training alone: every id is written whatever the dictionary.
+SAMPLE_ROWS, SAMPLE_CHARS, DICTIONARY_BYTES = 2000, 16_384, 64 << 10
 
 
 def open_fs(uri: str):
@@ -47,6 +49,11 @@ def put_file(fs, path: str, data: bytes) -> None:
     temporary = f"{path}.attempt-{at.taskAttemptId() if at else 0}"
     with fs.open_output_stream(temporary) as out:
         out.write(data)
+    move_file(fs, temporary, path)
+
+
+def move_file(fs, temporary: str, path: str) -> None:
+    """Put a whole file in its place; an earlier attempt's file is the same and goes."""
     try:
         fs.move(temporary, path)
     except OSError:
@@ -72,11 +79,12 @@ def train_dictionary(docs: DataFrame, tokenizer_path: str, end_id: int) -> bytes
 
     encoder = Encoder.shared(tokenizer_path)
     ids = docs.select("doc_id").where("doc_id is not null").distinct().orderBy(F.xxhash64("doc_id"), "doc_id").limit(SAMPLE_ROWS)
-    sampled = docs.join(F.broadcast(ids), "doc_id").select("doc_id", F.substring("text", 1, 4 * SAMPLE_IDS).alias("text"))  # SAMPLE_ROWS ids
+    place = F.pmod(F.xxhash64("doc_id", F.lit("window")), F.greatest(F.lit(1), F.length("text") - SAMPLE_CHARS + 1)).cast("int") + 1
+    sampled = docs.join(F.broadcast(ids), "doc_id").select("doc_id", F.substring(F.col("text"), place, F.lit(SAMPLE_CHARS)).alias("text"))  # SAMPLE_ROWS ids
     rows = sampled.orderBy("doc_id", "text").limit(SAMPLE_ROWS).collect()
     width = id_width(encoder.vocabulary)
     end = struct.pack("<I", end_id)
-    samples = [_narrow((ids + end)[: 4 * SAMPLE_IDS], width) for ids in encoder.encode([r["text"] for r in rows])]
+    samples = [_narrow(ids + end, width) for ids in encoder.encode([r["text"] for r in rows])]
     try:
         return zstandard.train_dictionary(DICTIONARY_BYTES, samples).as_bytes()
     except zstandard.ZstdError:
@@ -118,11 +126,12 @@ class ShardWriter:
 class Shard:
     """Random access to the documents of one shard."""
 
-    def __init__(self, data: bytes, dictionary: bytes):
+    def __init__(self, data, dictionary: bytes):
         import zstandard
 
         at, n, digest, crc, mark = FOOT.unpack_from(data, len(data) - FOOT.size)
         _, _, self.width = HEAD.unpack_from(data)
+        data = memoryview(data)
         index = data[at : len(data) - FOOT.size]
         if mark != MARK or zlib.crc32(index) != crc:
             raise ValueError("damaged shard")
@@ -132,7 +141,7 @@ class Shard:
         self.doc_ids = np.frombuffer(index, "<i8", n, n)
         self.offsets = np.frombuffer(index, "<u8", n + 1, 9 * n)
         self.counts = np.frombuffer(index, "<u8", n, 9 * n + 8 * (n + 1))
-        self.data = memoryview(data)
+        self.data = data
         self.decompressor = zstandard.ZstdDecompressor(dict_data=zstandard.ZstdCompressionDict(dictionary) if dictionary else None)
 
     def __len__(self) -> int:
@@ -167,9 +176,8 @@ def write_tokens(docs: DataFrame, folder: str, tokenizer_path: str | None = None
 
         for batch in batches:
             ids, texts = batch.column(0).to_pylist(), batch.column(1)
-            all_texts = texts.to_pylist()
-            for a, b in slices(all_texts):
-                for doc_id, encoded in zip(ids[a:b], encoder.encode(all_texts[a:b]), strict=True):
+            for a, b in slices(texts):
+                for doc_id, encoded in zip(ids[a:b], encoder.encode(texts.slice(a, b - a)), strict=True):
                     writer.add(doc_id, encoded + end)
                     if writer.held >= SHARD_BYTES:
                         close()
@@ -180,7 +188,8 @@ def write_tokens(docs: DataFrame, folder: str, tokenizer_path: str | None = None
             "n_tokens": pa.array([m[2] for m in made], pa.int64()), "n_bytes": pa.array([m[3] for m in made], pa.int64()),
         })
 
-    ordered = docs.repartitionByRange("doc_id").sortWithinPartitions("doc_id", F.xxhash64("text"))
+    # by text as well, so that rows of one id need not fall to one task
+    ordered = docs.repartitionByRange("doc_id", F.xxhash64("text")).sortWithinPartitions("doc_id", F.xxhash64("text"))
     return staged(ordered.mapInArrow(write, "shard string, n_docs long, n_tokens long, n_bytes long"), "tokens-manifest")
 
 
@@ -193,7 +202,7 @@ def read_tokens(spark: SparkSession, folder: str, manifest: DataFrame, with_ids:
     def parse(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
             for name, data in zip(batch.column(0).to_pylist(), batch.column(1), strict=True):
-                shard = Shard(data.as_buffer().to_pybytes(), dictionary)
+                shard = Shard(data.as_buffer(), dictionary)
                 for a in range(0, len(shard), 20_000):
                     span = range(a, min(a + 20_000, len(shard)))
                     ids = [shard.ids(i) for i in span]
@@ -214,10 +223,9 @@ def read_tokens(spark: SparkSession, folder: str, manifest: DataFrame, with_ids:
         parsed = spark.createDataFrame([], schema)
     else:
         parsed = files.select(F.element_at(F.split("path", "/"), -1).alias("shard"), "content").mapInArrow(parse, schema)
-    # One row per shard of tens of megabytes: the running sum over shards is small whatever the corpus.
-    bases = manifest.select("shard", (F.sum("n_tokens").over(Window.orderBy("shard")) - F.col("n_tokens")).alias("base"))
+    bases = running_bases(manifest.select("shard", F.substring_index("shard", "-", 2).alias("part"), "n_tokens"), "part", "shard", ["n_tokens"]).select("shard", F.col("before_n_tokens").alias("base"))
     kept = [F.col("doc_id"), (F.col("base") + F.col("within")).alias("start"), F.col("n_tokens"), F.col("ids_crc32"), F.col("shard")]
-    return parsed.join(bases, "shard").select(*kept, *([F.col("ids")] if with_ids else []))
+    return parsed.hint("merge").join(bases, "shard").select(*kept, *([F.col("ids")] if with_ids else []))
 
 
 def op5_token_output(spark: SparkSession, sf_dir: str) -> DataFrame:
