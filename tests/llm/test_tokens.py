@@ -3,7 +3,6 @@ import zlib
 from array import array
 
 import pytest
-from pyspark.sql import functions as F
 
 from hubsplit.llm import packing, token_counts, token_output
 from hubsplit.llm.encoder import Encoder, default_tokenizer
@@ -20,7 +19,7 @@ def test_chunked_encoding_equals_whole_texts():
     rng = random.Random(0)
     alphabet = ["a", "Be", " ", "  ", "\n", ".", ",", "é", "'s", "9", "\t", "中", " ", "!"]
     texts += ["".join(rng.choice(alphabet) for _ in range(rng.randrange(40))) for _ in range(400)]
-    e = Encoder(default_tokenizer(), capacity=50)
+    e = Encoder(default_tokenizer(), memo_bytes=2000)
     for _ in range(2):  # the second pass meets a full memo
         assert [x + array("I", [2]).tobytes() for x in e.encode(texts)] == reference(texts)
 
@@ -137,5 +136,3 @@ def test_histogram_plan_places_every_piece_once():
         large = sum(c for n, c in counts.items() if 2 * n > capacity)
         assert opened <= max(large, -(-sum(n * c for n, c in counts.items()) * 11 // (9 * capacity)) + 2)
 
-
-assert F
