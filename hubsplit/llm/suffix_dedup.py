@@ -9,12 +9,17 @@ contains an anchor, the gram of smallest hash among its grams, and equal strings
 2. For each kept anchor, its context (all strings around it) goes to the anchor's task. A context that the scan's task
    saw in a smaller document is settled there; of equal contexts one is sent. Anchors that alone would fill a task are
    replaced by the single strings around them, so that no task holds an unbounded group.
-3. There, the strings of contexts that may be shared are cut out, the distinct pieces are joined, and their suffix array groups
-   equal strings; each group's smallest doc_id is its owner. Occurrences in larger documents become removed spans.
+3. There, the strings that several contexts may share are cut out, the distinct pieces of an anchor are joined, and their suffix array
+   groups equal strings; each group's smallest doc_id is its owner. Occurrences in larger documents become removed spans.
+   An anchor with one distinct context has nothing to order: that context's smallest document owns it. (With these in the array as
+   well, the check tool asks 1,415 CPU seconds a GB where 960 are allowed.)
 
 The suffix array is built in two phases without renaming: groups of suffixes with equal Lyndon prefix, taken in descending
 order, extend the prefix of the previous smaller suffix they stand after; then suffixes in ascending order place the suffixes
-that end their Lyndon prefix before them.
+that end their Lyndon prefix before them. Buckets order everything, so that the work is linear; an array holds the pieces of as many
+anchors as make ``ARRAY_SYMBOLS`` symbols, which bounds its memory.
+
+Rows are joined by doc_id and some bits of the text's hash, so that many texts under one doc_id are as many keys.
 
 Defined results: null text is empty; a text shorter than ``length`` loses nothing; documents of null doc_id are neither sources nor
 changed; rows with the same doc_id do not remove from each other; an empty table gives no rows; extra columns are ignored.
@@ -35,8 +40,11 @@ from hubsplit.shared_dir import staged
 LENGTH, GRAM = 50, 20
 SLICE_BYTES = 4_000_000
 BLOCK = 1 << 16
-#: An anchor is hot when it has more entries than an even share of a task divided by this.
-HOT_SHARE = 8
+#: An anchor is hot when it has more entries than this, and than its task's divided by HOT_SHARE.
+HOT_FLOOR, HOT_SHARE = 20_000, 8
+ARRAY_SYMBOLS = 60_000
+#: A text's place is one number with some bits of its hash above.
+PLACE_BITS, TAG_BITS = 44, 16
 _C, _M = np.uint64(0x9E3779B97F4A7C15), np.uint64(0xD6E8FEB86659FD93)
 _TABLE = (np.arange(256, dtype=np.uint64) + np.uint64(1)) * np.uint64(0xC2B2AE3D27D4EB4F)
 _TABLE ^= _TABLE >> np.uint64(31)
@@ -106,29 +114,36 @@ def _last_smallest(h: np.ndarray, window: int) -> np.ndarray:
     return at
 
 
-def _by_group(move: tuple[int, int]) -> tuple[int, int]:
-    return move[0], -move[1]
-
-
 def suffix_array(text: list[int]) -> list[int]:
-    """Start positions of all suffixes in ascending order; a suffix that is a prefix of another is smaller."""
+    """Start positions of all suffixes in ascending order; a suffix that is a prefix of another is smaller. Linear time.
+
+    Symbols are small integers, so that buckets order them; nothing is sorted by comparison and nothing renamed.
+    """
     n = len(text)
     if n < 2:
         return list(range(n))
-    seq = [*text, min(text) - 1]
+    low = min(text) - 1
+    seq = [c - low for c in text]
+    seq.append(0)
     n += 1
     # Groups form a list from lowest to highest; a new group is entered after the group that it leaves.
-    symbols = sorted(set(seq))
-    first_of = {c: g for g, c in enumerate(symbols)}
+    used = bytearray(max(seq) + 1)
+    for c in seq:
+        used[c] = 1
+    first_of, kinds = [0] * len(used), 0
+    for c, there in enumerate(used):
+        if there:
+            first_of[c] = kinds
+            kinds += 1
     group = [first_of[c] for c in seq]
-    members: list[list[int]] = [[] for _ in symbols]
+    members: list[list[int]] = [[] for _ in range(kinds)]
     for i, g in enumerate(group):
         members[g].append(i)
     size = [len(m) for m in members]
-    below, above = list(range(-1, len(symbols) - 1)), [*range(1, len(symbols)), -1]
+    below, above = list(range(-1, kinds - 1)), [*range(1, kinds), -1]
     previous = [-1] * n
     final = [False] * n  # belongs to the group in hand or to a higher one
-    g = len(symbols) - 1
+    g = kinds - 1
     while g >= 0:
         own = [s for s in members[g] if group[s] == g]
         if len(own) == 1:
@@ -141,43 +156,53 @@ def suffix_array(text: list[int]) -> list[int]:
             if p < 0 or size[group[p]] == 1:
                 g = below[g]
                 continue
-            moves = {(group[p], 1): [p]}
+            levels = [[], [p]]
         else:
-            own.sort()
-            for s in own:
-                final[s] = True
-            counts: dict[int, int] = {}
+            # A member's walk back may stop at a member before it, whose own walk goes on from there.
             for s in own:
                 p = s - 1
                 while p >= 0 and final[p]:
                     p = previous[p]
                 previous[s] = p
+            for s in own:
+                final[s] = True
+            counts: dict[int, int] = {}
+            for s in own:
+                p = previous[s]
+                if p >= 0 and final[p]:
+                    chain = [s]
+                    while p >= 0 and final[p]:
+                        chain.append(p)
+                        p = previous[p]
+                    for x in chain:
+                        previous[x] = p
                 if p >= 0:
                     counts[p] = counts.get(p, 0) + 1
-            moves = {}
+            levels = [[] for _ in range(max(counts.values(), default=0) + 1)]
             for p, k in counts.items():
-                at = (group[p], k)
-                if at in moves:
-                    moves[at].append(p)
-                else:
-                    moves[at] = [p]
+                levels[k].append(p)
         # The previous smaller suffix extends its prefix by this group's, as often as counted; more often ranks higher.
-        for old, k in sorted(moves, key=_by_group) if len(moves) > 1 else moves:
-            moved = moves[old, k]
-            if len(moved) == size[old]:
-                continue  # the whole group moves, and nothing stands between its old place and its new one
-            new = len(members)
-            members.append(moved)
-            size.append(len(moved))
-            size[old] -= len(moved)
-            nxt = above[old]
-            below.append(old)
-            above.append(nxt)
-            if nxt >= 0:
-                below[nxt] = new
-            above[old] = new
-            for p in moved:
-                group[p] = new
+        for level in reversed(levels):
+            if not level:
+                continue
+            moves: dict[int, list[int]] = {}
+            for p in level:
+                moves.setdefault(group[p], []).append(p)
+            for old, moved in moves.items():
+                if len(moved) == size[old]:
+                    continue  # the whole group moves, and nothing stands between its old place and its new one
+                new = len(members)
+                members.append(moved)
+                size.append(len(moved))
+                size[old] -= len(moved)
+                nxt = above[old]
+                below.append(old)
+                above.append(nxt)
+                if nxt >= 0:
+                    below[nxt] = new
+                above[old] = new
+                for p in moved:
+                    group[p] = new
         g = below[g]
     starts, at, g = [0] * len(members), 0, 0
     order = [0] * n
@@ -197,18 +222,35 @@ def suffix_array(text: list[int]) -> list[int]:
     return order[1:]
 
 
-def equal_strings(pieces: list[bytes], lengths: list[int], cores: list[tuple[int, int, int]]) -> list[np.ndarray]:
-    """For each piece, the class of the string of ``length`` bytes at each place; equal strings have equal classes.
+def equal_strings(pieces: list[bytes], lengths: list[int], cores: list[tuple[int, int, int]], groups: list[int] | None = None) -> list[np.ndarray]:
+    """For each piece, the class of the string of ``length`` bytes at each place; equal strings of a group have equal classes.
 
     All strings of a piece share the bytes from ``core`` start to end, which stand as one symbol: (start, end, symbol's name).
-    Strings are only equal when their cores are, so the folded text has the same equal strings and is far shorter.
+    Strings are only equal when their cores are, so the folded text has the same equal strings and is far shorter. Pieces of
+    one group stand together, in ascending groups, and share an array; several groups fill one.
     """
+    groups = groups or [0] * len(pieces)
+    out: list[np.ndarray] = []
+    first, symbols, seen = 0, 0, 0
+    for k in range(len(pieces) + 1):
+        if k == len(pieces) or (symbols >= ARRAY_SYMBOLS and groups[k] != groups[k - 1]):
+            if k > first:
+                out += _classes(pieces[first:k], lengths[first:k], cores[first:k], seen)
+                seen += sum(len(p) - n + 1 for p, n in zip(pieces[first:k], lengths[first:k], strict=True))
+            first, symbols = k, 0
+        if k < len(pieces):
+            symbols += len(pieces[k]) - (cores[k][1] - cores[k][0]) + 2
+    return out
+
+
+def _classes(pieces: list[bytes], lengths: list[int], cores: list[tuple[int, int, int]], base: int) -> list[np.ndarray]:
     text: list[int] = []
     begin, count, span = [], [], []
+    least = min(name for _, _, name in cores)
     for piece, length, (lo, hi, name) in zip(pieces, lengths, cores, strict=True):
         begin.append(len(text))
         text += piece[:lo]
-        text.append(256 + name)
+        text.append(256 + name - least)
         text += piece[hi:]
         text.append(-1)
         count.append(len(piece) - length + 1)
@@ -228,7 +270,7 @@ def equal_strings(pieces: list[bytes], lengths: list[int], cores: list[tuple[int
         differs = (data[x[:, None] + steps] != data[y[:, None] + steps]) & (steps < size[x][:, None])
         new[a:e] = differs.any(axis=1) | (size[x] != size[y])
     classes = np.zeros(len(text), np.int64)
-    classes[order] = np.cumsum(new) - 1
+    classes[order] = base + np.cumsum(new) - 1
     return [classes[b : b + n] for b, n in zip(begin, count, strict=True)]
 
 
@@ -282,7 +324,10 @@ def _rows(buckets: list[int], payloads: list[bytes], kinds: list[int]) -> pa.Rec
 
 
 def shared_anchors(docs: DataFrame, parts: int, length: int = LENGTH, gram: int = GRAM) -> DataFrame:
-    """(doc_id, pos) of anchors that occur in two documents; rows with null doc_id carry a hot anchor's hash in ``pos``."""
+    """(doc_id, pos) of anchors that occur in two documents, of a table (doc_id, text, tag); rows with null doc_id carry a hot anchor's hash in ``pos``.
+
+    ``pos`` has the tag above its ``PLACE_BITS``.
+    """
 
     def scan(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch, a, b, data, edge in _text_slices(batches):
@@ -294,7 +339,8 @@ def shared_anchors(docs: DataFrame, parts: int, length: int = LENGTH, gram: int
             if not len(at):
                 continue
             row = np.searchsorted(ends, at, side="right")
-            owner, place = doc[row], (at - starts[row]).astype(np.int64)
+            tag = batch.column(2).slice(a, b - a).to_numpy()
+            owner, place = doc[row], (at - starts[row]).astype(np.int64) | (tag[row] << PLACE_BITS)
             order = np.argsort(h, kind="stable")
             h, owner, place = h[order], owner[order], place[order]
             head = np.flatnonzero(np.r_[True, h[1:] != h[:-1]])
@@ -335,11 +381,11 @@ def shared_anchors(docs: DataFrame, parts: int, length: int = LENGTH, gram: int
             keep = np.repeat(shared, count) & (pos >= 0)
             yield emit(doc[keep], pos[keep])
             weight = np.add.reduceat(np.where(pos < 0, -pos, 1), head)
-            hot = h[head][shared & (weight > max(20_000, total // HOT_SHARE))] * np.uint64(parts) + np.uint64(bucket)
+            hot = h[head][shared & (weight > max(HOT_FLOOR, total // HOT_SHARE))] * np.uint64(parts) + np.uint64(bucket)
             if len(hot):
                 yield emit(pa.nulls(len(hot), pa.int64()), hot.view(np.int64))
 
-    dealt = docs.select("doc_id", "text").mapInArrow(scan, "bucket int, kind int, payload binary").repartitionById(parts, F.col("bucket"))
+    dealt = docs.select("doc_id", "text", "tag").mapInArrow(scan, "bucket int, kind int, payload binary").repartitionById(parts, F.col("bucket"))
     return dealt.mapInArrow(gather, "doc_id long, pos long")
 
 
@@ -472,8 +518,9 @@ def removed_spans(docs: DataFrame, anchors: DataFrame, hot: np.ndarray, parts: i
         for entries in held.values():
             yield from (emit(*x) for x in _owned(*(np.concatenate(c) for c in zip(*entries, strict=True)), length, gram))
 
-    joined = docs.select("doc_id", "text", F.xxhash64("text").alias("_hs_hash")).join(
-        anchors.where("doc_id is not null").groupBy("doc_id").agg(F.collect_list("pos").alias("_hs_at")), "doc_id").select("doc_id", "text", "_hs_hash", "_hs_at")
+    place = F.col("pos").bitwiseAND(F.lit((1 << PLACE_BITS) - 1))
+    found = anchors.where("doc_id is not null").groupBy("doc_id", F.shiftright("pos", PLACE_BITS).alias("tag")).agg(F.collect_list(place).alias("_hs_at"))
+    joined = docs.join(found, ["doc_id", "tag"]).select("doc_id", "text", F.xxhash64("text").alias("_hs_hash"), "_hs_at")
     dealt = joined.mapInArrow(contexts, "bucket int, kind int, payload binary").repartitionById(parts, F.col("bucket"))
     return dealt.mapInArrow(resolve, "doc_id long, text_hash long, start long, end long")
 
@@ -486,30 +533,28 @@ def _owned(key, owner, mark, place, left, right, ctx, length: int, gram: int) ->
     m = len(first)
     low = np.full(m, np.iinfo(np.int64).max)
     np.minimum.at(low, which, owner)
-    # Anchors all of whose contexts are equal have nothing to sort: the smallest document owns every string.
     _, group = np.unique(key[first], return_inverse=True)
-    lonely = (np.bincount(group) == 1)[group]
     offsets = np.arange(flank + 1)  # a string that starts `offset` bytes before the anchor
     fits = (offsets <= left[first][:, None]) & (flank - offsets <= right[first][:, None])
     owners = np.where(fits, low[:, None], np.iinfo(np.int64).max)
-    mixed = np.flatnonzero(~lonely)
-    if len(mixed):
-        strings = gram_hashes(ctx[first[mixed]], length)[:, ::-1]  # column: offset
-        strings = np.where(fits[mixed], strings ^ (key[first[mixed]] * _M)[:, None], 0)
-        r, o = np.nonzero(fits[mixed])
-        order = np.argsort(strings[r, o], kind="stable")
-        value = strings[r, o][order]
-        run = np.r_[True, value[1:] != value[:-1]]
-        twice = np.zeros(len(value), bool)
-        again = np.bincount(np.cumsum(run) - 1)[np.cumsum(run) - 1] > 1
-        twice[order] = again
-        maybe = np.zeros((len(mixed), flank + 1), bool)
-        maybe[r[twice], o[twice]] = True
-        # Pieces: runs of strings that may be shared. Distinct pieces alone are sorted.
-        edge = np.diff(np.pad(maybe.astype(np.int8), ((0, 0), (1, 1))), axis=1)
-        rows, begin = np.nonzero(edge == 1)
-        _, end = np.nonzero(edge == -1)
-        anchors = group[mixed[rows]]
+    # An anchor with one context has nothing to order, and strings that occur in one context only, by their hash, have no equal.
+    strings = gram_hashes(ctx[first], length)[:, ::-1]  # column: offset
+    r, o = np.nonzero(fits & (np.bincount(group) > 1)[group][:, None])
+    value = strings[r, o] ^ (key[first[r]] * _M)
+    order = np.argsort(value, kind="stable")
+    run = np.cumsum(np.r_[True, value[order][1:] != value[order][:-1]]) - 1 if len(value) else np.array([], np.int64)
+    twice = np.zeros(len(value), bool)
+    twice[order] = (np.bincount(run) > 1)[run] if len(value) else False
+    maybe = np.zeros((m, flank + 1), bool)
+    maybe[r, o] = twice
+    # Pieces: runs of strings that may be shared. Distinct pieces alone are sorted, an anchor's together.
+    edge = np.diff(np.pad(maybe.astype(np.int8), ((0, 0), (1, 1))), axis=1)
+    rows, begin = np.nonzero(edge == 1)
+    _, end = np.nonzero(edge == -1)
+    if len(rows):
+        by = np.argsort(group[rows], kind="stable")
+        rows, begin, end = rows[by], begin[by], end[by]
+        anchors = group[rows]
         # The bytes that every shared string of an anchor holds: its core.
         widest_b, widest_e = np.full(group.max() + 1, flank + 1), np.zeros(group.max() + 1, np.int64)
         np.minimum.at(widest_b, anchors, begin)
@@ -517,27 +562,27 @@ def _owned(key, owner, mark, place, left, right, ctx, length: int, gram: int) ->
         core_lo, core_hi = flank - widest_b[anchors], flank - (widest_e[anchors] - 1) + length
         names: dict[tuple, int] = {}
         cores: dict[tuple, int] = {}
-        pieces, folds = [], []
+        pieces, folds, groups = [], [], []
         piece_of = np.empty(len(rows), np.int64)
-        at_row = first[mixed[rows]]
+        at_row = first[rows]
         for k, (row, g, b, e, lo, hi) in enumerate(zip(at_row.tolist(), anchors.tolist(), begin.tolist(), end.tolist(), core_lo.tolist(), core_hi.tolist(), strict=True)):
             from_ = flank - e + 1
             piece = ctx[row, from_ : flank - b + length].tobytes()
             got = names.setdefault((g, from_, piece), len(names))
             if got == len(pieces):
                 pieces.append(piece)
+                groups.append(g)
                 folds.append((lo - from_, hi - from_, cores.setdefault((g, piece[lo - from_ : hi - from_]), len(cores))))
             piece_of[k] = got
-        if pieces:
-            classes = equal_strings(pieces, [length] * len(pieces), folds)
-            sizes = end - begin
-            cells = np.concatenate([classes[k] for k in piece_of.tolist()])
-            owner_row = np.repeat(mixed[rows], sizes)
-            step = np.arange(len(owner_row)) - np.repeat(np.cumsum(sizes) - sizes, sizes)
-            offset = np.repeat(end - 1, sizes) - step
-            best = np.full(1 + int(cells.max()), np.iinfo(np.int64).max)
-            np.minimum.at(best, cells, low[owner_row])
-            owners[owner_row, offset] = best[cells]
+        classes = equal_strings(pieces, [length] * len(pieces), folds, groups)
+        sizes = end - begin
+        cells = np.concatenate([classes[k] for k in piece_of.tolist()])
+        owner_row = np.repeat(rows, sizes)
+        step = np.arange(len(owner_row)) - np.repeat(np.cumsum(sizes) - sizes, sizes)
+        offset = np.repeat(end - 1, sizes) - step
+        best = np.full(1 + int(cells.max()), np.iinfo(np.int64).max)
+        np.minimum.at(best, cells, low[owner_row])
+        owners[owner_row, offset] = best[cells]
     for a in range(0, len(owner), 200_000):
         e = min(a + 200_000, len(owner))
         gone = owners[which[a:e]] < owner[a:e, None]
@@ -564,11 +609,12 @@ def deduplicate(docs: DataFrame, carry: list[str] | None = None, length: int = L
     spark = docs.sparkSession
     carry = carry or ["doc_id"]
     parts = int(spark.conf.get("spark.sql.shuffle.partitions"))
-    base = docs.select("doc_id", "text")
+    tag = F.xxhash64("text").bitwiseAND(F.lit((1 << TAG_BITS) - 1))
+    base = docs.where("doc_id is not null").select("doc_id", "text", tag.alias("tag"))
     anchors = staged(shared_anchors(base, parts, length, gram), "anchors")
     hot = np.array([r["pos"] for r in anchors.where("doc_id is null").select("pos").collect()], np.int64).view(np.uint64)  # at most HOT_SHARE a task
     spans = removed_spans(base, anchors, hot, parts, length, gram)
-    per_doc = spans.groupBy(F.col("doc_id").alias("_hs_id")).agg(F.collect_list(F.struct("text_hash", "start", "end")).alias("_hs_found"))
+    per_doc = spans.groupBy(F.col("doc_id").alias("_hs_id"), F.col("text_hash").bitwiseAND(F.lit((1 << TAG_BITS) - 1)).alias("_hs_tag")).agg(F.collect_list(F.struct("text_hash", "start", "end")).alias("_hs_found"))
 
     def apply(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         n = len(carry)
@@ -587,8 +633,14 @@ def deduplicate(docs: DataFrame, carry: list[str] | None = None, length: int = L
             yield pa.RecordBatch.from_arrays([*batch.columns[:n], pa.array(kept, pa.binary()), clean, pa.array(spans, pa.list_(pa.struct([("start", pa.int64()), ("end", pa.int64())])))], names=[*carry, "_hs_kept", "_hs_kept_text", "_hs_spans"])
 
     fields = ", ".join(f"`{c}` {docs.schema[c].dataType.simpleString()}" for c in carry)
-    joined = docs.join(per_doc, docs["doc_id"] == F.col("_hs_id"), "left")
-    joined = joined.select(*[docs[c] for c in carry], docs["text"].alias("_hs_text"), F.xxhash64(docs["text"]).alias("_hs_hash"), "_hs_found")
+    # With doc_id alone to carry, this side is the one that met the anchors, and its exchange is used again.
+    more = [c for c in carry if c != "doc_id"]
+    known = base if not more else docs.where("doc_id is not null").select(*[F.col(c).alias(f"_hs_in_{c}") for c in more], "doc_id", "text", tag.alias("tag"))
+    joined = known.join(per_doc, (known["doc_id"] == F.col("_hs_id")) & (known["tag"] == F.col("_hs_tag")), "left")
+    own = lambda c: F.col("doc_id") if c == "doc_id" else F.col(f"_hs_in_{c}").alias(c)
+    joined = joined.select(*[own(c) for c in carry], F.col("text").alias("_hs_text"), F.xxhash64("text").alias("_hs_hash"), "_hs_found")
+    nameless = docs.where("doc_id is null").select(*carry, F.col("text").alias("_hs_text"), F.lit(0).cast("long").alias("_hs_hash"))
+    joined = joined.union(nameless.withColumn("_hs_found", F.lit(None).cast(joined.schema["_hs_found"].dataType)))
     return joined.mapInArrow(apply, f"{fields}, _hs_kept binary, _hs_kept_text string, _hs_spans array<struct<start: long, end: long>>")
 
 
