@@ -1,9 +1,10 @@
 """Quality rules: an ordered decision list learned by sequential covering from labelled statistics.
 
-Rules are conjunctions of thresholds on statistics of a text. Each is grown on two thirds of the labelled rows, one condition at a
-time by information gain on the bad rows still uncovered, then pruned from its end on the other third; it is accepted while its
-precision on that third is high enough, and the rows it covers are set aside. The list becomes an ordered chain of Spark
-conditional expressions: the first rule that fits rejects, and a text that none fits is kept.
+Rules are conjunctions of thresholds on statistics of a text. They are learned on the labelled rows that pass the base rule, since
+the base rule decides the others alone. Each is grown on two thirds of them, one condition at a time by information gain on
+the bad rows still uncovered, then pruned from its end on the other third. It is accepted while chance would hardly find so many bad
+rows there (the hypergeometric tail) and nearly all rows it covers are bad; those are then set aside. The list becomes an ordered chain
+of Spark conditional expressions: the first rule that fits rejects, and a text that none fits is kept.
 
 The list is fitted on the ``SAMPLE_ROWS`` labelled rows with the smallest hashed id. It is a documented bound on the fit alone; the
 statistics and verdicts cover every text whole.
@@ -15,6 +16,7 @@ they occur; an empty table gives no rows; extra columns are ignored.
 
 from __future__ import annotations
 
+import math
 from collections.abc import Iterator
 
 import numpy as np
@@ -24,8 +26,8 @@ from pyspark.sql import functions as F
 
 SAMPLE_ROWS = 20_000
 MIN_WORDS, MAX_REPEAT_PERCENT, WINDOW = 20, 30, 8
-#: A rule needs this precision on the pruning rows, and must cover this many bad rows in each part.
-PRECISION, SUPPORT, MAX_RULES, MAX_CONDITIONS = 0.97, 5, 24, 4
+#: A rule's chance on the pruning rows, its precision on all rows it covers, and how many bad rows it must cover while it grows.
+CHANCE, PRECISION, SUPPORT, MAX_RULES, MAX_CONDITIONS = 1e-3, 0.9, 5, 24, 4
 STATS = ("n_words", "word_chars", "n_symbols", "n_dup_lines", "n_repeat_words", "n_lines", "n_upper", "n_digits", "n_marks")
 _SPACE, _SYMBOLS, _UPPER, _DIGITS, _MARKS = b" \t\n\r\x0b\x0c", b"#*$%&|<>", b"ABCDEFGHIJKLMNOPQRSTUVWXYZ", b"0123456789", b"!?.,;:'\"()-_/\\@~^`=+[]{}"
 
@@ -117,6 +119,12 @@ def _best_condition(x: np.ndarray, bad: np.ndarray) -> tuple[float, Condition |
     return best
 
 
+def chance_of(total: int, bad: int, drawn: int, hit: int) -> float:
+    """Probability that ``drawn`` of ``total`` rows taken at random hold at least ``hit`` of the ``bad`` ones."""
+    ways = math.comb(total, drawn)
+    return sum(math.comb(bad, k) * math.comb(total - bad, drawn - k) for k in range(hit, min(bad, drawn) + 1)) / ways
+
+
 def learn_rules(x: np.ndarray, bad: np.ndarray, precision: float = PRECISION) -> list[list[Condition]]:
     """An ordered list of rejecting rules. Rows come in a fixed order; every third one prunes."""
     prunes = np.arange(len(bad)) % 3 == 2
@@ -141,7 +149,7 @@ def learn_rules(x: np.ndarray, bad: np.ndarray, precision: float = PRECISION) ->
             worth.append(((p - (total - p)) / total if total else -1.0, p, total, n))
         _, p, total, n = max(worth, key=lambda w: (w[0], w[1]))
         covered = _fits(rule[:n], x) & open_rows
-        if total == 0 or p < SUPPORT or p / total < precision or bad[covered].mean() < precision:
+        if total == 0 or chance_of(int(held.sum()), int(bad[held].sum()), total, p) > CHANCE or p / total < precision or bad[covered].mean() < precision:
             break
         rules.append(rule[:n])
         open_rows &= ~covered
@@ -155,7 +163,7 @@ def fit(docs: DataFrame, labels: DataFrame, sample_rows: int = SAMPLE_ROWS) -> l
     named = {c: F.col(c) for c in ("doc_id", "text")}
     rows = with_stats(docs.select(*named.values()).join(F.broadcast(wanted), "doc_id"), ["doc_id", "_hs_quality"])
     rows = rows.dropDuplicates().orderBy(F.xxhash64("doc_id"), "doc_id").limit(sample_rows)
-    data = rows.select((F.col("_hs_quality") == 0).alias("bad"), *[f.alias(k) for k, f in features().items()]).toPandas()
+    data = rows.where(~base_failed()).select((F.col("_hs_quality") == 0).alias("bad"), *[f.alias(k) for k, f in features().items()]).toPandas()
     if not len(data) or data["bad"].nunique() < 2:
         return []
     return learn_rules(data[list(features())].to_numpy(float), data["bad"].to_numpy(bool))
