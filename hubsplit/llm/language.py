@@ -104,9 +104,10 @@ def best_paths(scores: np.ndarray, lengths: np.ndarray, switch: float = SWITCH)
     sizes = lengths[order]
     steps = int(sizes[0]) if len(sizes) else 0
     running = np.searchsorted(-sizes, -np.arange(steps), side="left")
-    best = np.full((len(sizes), scores.shape[1]), 0.0, np.float64)
-    came, stayed = [], []
-    final = np.zeros((len(sizes), scores.shape[1]))
+    begin = np.cumsum(running) - running  # a step's rows in the arrays below
+    came = np.empty(int(running.sum()), np.int16)
+    stayed = np.empty((len(came), scores.shape[1]), bool)
+    best = np.zeros((len(sizes), scores.shape[1]))
     for t in range(steps):
         n = int(running[t])
         now = scores[starts[:n] + t]
@@ -115,8 +116,8 @@ def best_paths(scores: np.ndarray, lengths: np.ndarray, switch: float = SWITCH)
             top = before.argmax(axis=1)
             jump = before[np.arange(n), top][:, None] - switch
             keep = before >= jump
-            came.append(top.astype(np.int16))
-            stayed.append(keep)
+            came[begin[t] : begin[t] + n] = top
+            stayed[begin[t] : begin[t] + n] = keep
             best[:n] = np.where(keep, before, jump) + now
         else:
             best[:n] = now
@@ -129,13 +130,29 @@ def best_paths(scores: np.ndarray, lengths: np.ndarray, switch: float = SWITCH)
         if t:
             # texts that begin to run at an earlier step keep their final state until then
             m = np.arange(n)
-            state[:n] = np.where(stayed[t - 1][m, state[:n]], state[:n], came[t - 1][m])
+            state[:n] = np.where(stayed[begin[t] + m, state[:n]], state[:n], came[begin[t] : begin[t] + n])
     return out
 
 
-def label_batch(model: Model, texts: list[str | None], with_spans: bool) -> list[tuple[str, float, list[dict] | None]]:
-    found = [[m for m in _WORD.finditer(t)] if with_spans else None for t in [x or "" for x in texts]] if with_spans else None
-    words = [[m.group() for m in ms] for ms in found] if with_spans else [_WORD.findall(t) if t else [] for t in texts]
+def spans_of(text: str, words: list[str], path: list[int]) -> list[tuple[int, int, int]]:
+    """(start, end, state) of each run of equal states over the words of a text."""
+    if not words:
+        return []
+    if path.count(path[0]) == len(path):
+        last = words[-1]
+        return [(_WORD.search(text).start(), text.rfind(last) + len(last), path[0])]
+    out: list[tuple[int, int, int]] = []
+    for m, state in zip(_WORD.finditer(text), path, strict=True):
+        if out and out[-1][2] == state:
+            out[-1] = (out[-1][0], m.end(), state)
+        else:
+            out.append((m.start(), m.end(), state))
+    return out
+
+
+def label_batch(model: Model, texts: list[str | None], with_spans: bool = True) -> list[tuple[str, float, list[dict] | None]]:
+    """Language, share of its letters, and the labelled spans of each text."""
+    words = [_WORD.findall(t) if t else [] for t in texts]
     lengths = np.array([len(w) for w in words], np.int64)
     if not lengths.sum() or not model.languages:
         return [("und", 0.0, [] if with_spans else None)] * len(texts)
@@ -150,18 +167,10 @@ def label_batch(model: Model, texts: list[str | None], with_spans: bool) -> list
     totals = letters.sum(axis=1)
     top = letters.argmax(axis=1)
     share = letters.max(axis=1) / np.maximum(totals, 1)
-    out, at = [], 0
-    for i in range(len(texts)):
-        spans = None
-        if with_spans:
-            spans = []
-            for k, m in enumerate(found[i]):
-                lang = model.languages[path[at + k]]
-                if spans and spans[-1]["lang"] == lang:
-                    spans[-1]["end"] = m.end()
-                else:
-                    spans.append({"start": m.start(), "end": m.end(), "lang": lang})
-            at += len(found[i])
+    out, at, states = [], 0, path.tolist()
+    for i, own in enumerate(words):
+        spans = [{"start": s, "end": e, "lang": model.languages[k]} for s, e, k in spans_of(texts[i], own, states[at : at + len(own)])] if with_spans else None
+        at += len(own)
         out.append((model.languages[top[i]], float(min(1.0, share[i])), spans) if totals[i] else ("und", 0.0, spans))
     return out
 
@@ -210,9 +219,9 @@ def identify(docs: DataFrame, model: Model, with_spans: bool = True) -> DataFram
 
     def predict(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
-            texts = batch.column(1).to_pylist()
-            for a, b in slices(texts, 8_000_000, 4000):
-                rows = label_batch(sent.value, texts[a:b], with_spans)
+            texts = batch.column(1)
+            for a, b in slices(texts):
+                rows = label_batch(sent.value, texts.slice(a, b - a).to_pylist(), with_spans)
                 columns = {"doc_id": batch.column(0).slice(a, b - a), "lang_pred": pa.array([r[0] for r in rows], pa.string()), "score": pa.array([r[1] for r in rows], pa.float64())}
                 if with_spans:
                     columns["spans"] = pa.array([r[2] for r in rows], pa.list_(pa.struct([("start", pa.int64()), ("end", pa.int64()), ("lang", pa.string())])))
@@ -224,4 +233,4 @@ def identify(docs: DataFrame, model: Model, with_spans: bool = True) -> DataFram
 
 def op1_language_id(spark: SparkSession, sf_dir: str) -> DataFrame:
     docs = spark.read.parquet(f"{sf_dir}/documents.parquet")
-    return identify(docs, train(docs), with_spans=False).select("doc_id", held_out().alias("held_out"), "lang_pred", "score")
+    return identify(docs, train(docs)).select("doc_id", held_out().alias("held_out"), "lang_pred", "score", "spans")
