@@ -2,9 +2,11 @@
 
 Equal vectors of a label are one class. Class vectors are scaled to length one and turned into the axes of the second-moment matrix,
 largest first. Two vectors with cosine >= t are at most delta = sqrt(2 - 2t) apart, so cells of width delta along the leading
-axes meet only their neighbours; a cell is cut into tiles of a bounded number of vectors. A tile pair adds up products of the
-leading dimensions first, bounds the rest by the product of the suffix norms, and stops when no pair can reach t. Pairs that
-survive are decided by the cosine of the given vectors in double precision.
+axes meet only their neighbours; a cell is cut into tiles of a bounded number of vectors, and a label that fits in one tile is sent
+once. Only the given vectors travel: a task turns its tiles itself, orders them along the first axis, and goes through them square by
+square. A square whose sides lie too far apart there is skipped; another adds up products of the leading dimensions first, bounds the
+rest by the product of the suffix norms, and stops when no pair can reach t. Pairs that survive are decided by the cosine of the given
+vectors in double precision.
 
 A tile pair reports how many vectors each class is linked to and a spanning forest of its links, never the pairs, so output
 follows the number of vectors. Work inside one label is quadratic in what the cells leave together; that is the method's nature.
@@ -27,7 +29,7 @@ from hubsplit.components import star_components
 from hubsplit.llm.simhash import _settle
 from hubsplit.shared_dir import staged
 
-THRESHOLD, TILE, AXES, STEP = 0.98, 2048, 6, 8
+THRESHOLD, TILE, SQUARE, AXES, STEP = 0.98, 8192, 1024, 6, 8
 
 
 def usable(v: Column) -> Column:
@@ -72,8 +74,8 @@ def principal_axes(classes: DataFrame) -> dict[int, np.ndarray]:
     return axes
 
 
-def turned(classes: DataFrame, axes: dict[int, np.ndarray], delta: float, tile: int = TILE) -> DataFrame:
-    """Adds the turned unit vector and its cell along the leading axes."""
+def celled(classes: DataFrame, axes: dict[int, np.ndarray], delta: float, tile: int = TILE) -> DataFrame:
+    """Adds each vector's cell along the leading axes."""
     sent = classes.sparkSession.sparkContext.broadcast(axes)
 
     def turn(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -81,15 +83,14 @@ def turned(classes: DataFrame, axes: dict[int, np.ndarray], delta: float, tile:
             dims = batch.column(2).to_numpy()
             for d in np.unique(dims):
                 own = batch.filter(pa.array(dims == d))
-                x = _unit(own.column(3), int(d)) @ sent.value[int(d)]
-                cells = np.floor(x[:, :AXES] / delta).astype(np.int32)
+                cells = np.floor(_unit(own.column(3), int(d)) @ sent.value[int(d)][:, :AXES] / delta).astype(np.int32)
                 cells = np.pad(cells, ((0, 0), (0, AXES - cells.shape[1])))
-                columns = [own.column(0), own.column(1), own.column(2), own.column(3), own.column(4), pa.array(list(x.astype(np.float64)), pa.list_(pa.float64())), pa.array(list(cells), pa.list_(pa.int32()))]
-                yield pa.RecordBatch.from_arrays(columns, names=["class", "label", "dim", "embedding", "many", "turned", "cell"])
+                columns = [*(own.column(k) for k in range(5)), pa.array(list(cells), pa.list_(pa.int32()))]
+                yield pa.RecordBatch.from_arrays(columns, names=["class", "label", "dim", "embedding", "many", "cell"])
 
     label = classes.schema["label"].dataType.simpleString()
     kind = classes.schema["embedding"].dataType.simpleString()
-    points = classes.select("class", "label", "dim", "embedding", "many").mapInArrow(turn, f"class long, label {label}, dim int, embedding {kind}, many long, turned array<double>, cell array<int>")
+    points = classes.select("class", "label", "dim", "embedding", "many").mapInArrow(turn, f"class long, label {label}, dim int, embedding {kind}, many long, cell array<int>")
     # A label uses as many axes as leave about a tile in a cell, so that small labels are one cell and large ones many.
     sizes = classes.groupBy("label", "dim").agg(F.count("*").alias("n"))
     axes_used = F.least(F.lit(AXES), F.greatest(F.lit(0), F.ceil(F.log(F.col("n") / tile) / F.log(F.lit(4.0))))).cast("int")
@@ -98,9 +99,32 @@ def turned(classes: DataFrame, axes: dict[int, np.ndarray], delta: float, tile:
     return points.join(sizes, ["label", "dim"]).withColumn("cell", cut).drop("used")
 
 
-def compare(a: dict, b: dict, same: bool, threshold: float) -> tuple[np.ndarray, np.ndarray]:
-    """Index pairs of two tiles with cosine at or above the threshold; of one tile with itself, each pair once."""
-    x, y = a["turned"], b["turned"]
+def compare(a: dict, b: dict, same: bool, threshold: float, square: int = SQUARE) -> tuple[np.ndarray, np.ndarray]:
+    """Index pairs of two tiles with cosine at or above the threshold; of one tile with itself, each pair once.
+
+    Tiles are ordered along the first axis; squares that lie further apart there than two near vectors can are skipped.
+    """
+    delta, out_i, out_j = np.sqrt(max(0.0, 2 - 2 * threshold)) + 1e-6, [], []
+    for p in range(0, len(a["turned"]), square):
+        x = a["turned"][p : p + square]
+        for q in range(p if same else 0, len(b["turned"]), square):
+            y = b["turned"][q : q + square]
+            if y[0, 0] - x[-1, 0] > delta:
+                break  # later squares lie further still
+            if x[0, 0] - y[-1, 0] > delta:
+                continue
+            i, j = _compare_square(x, y, same and p == q, threshold)
+            for s in range(0, len(i), 100_000):
+                m, n = i[s : s + 100_000] + p, j[s : s + 100_000] + q
+                u, v = a["given"][m], b["given"][n]
+                near = (u * v).sum(axis=1) / (a["norm"][m] * b["norm"][n]) >= threshold
+                out_i.append(m[near])
+                out_j.append(n[near])
+    return (np.concatenate(out_i), np.concatenate(out_j)) if out_i else (np.array([], int), np.array([], int))
+
+
+def _compare_square(x: np.ndarray, y: np.ndarray, same: bool, threshold: float) -> tuple[np.ndarray, np.ndarray]:
+    """Pairs that may reach the threshold: products of leading dimensions, and the suffix norms' product for the rest."""
     dim, slack = x.shape[1], 1e-9
     done = min(STEP, dim)
     products = x[:, :done] @ y[:, :done].T
@@ -111,22 +135,12 @@ def compare(a: dict, b: dict, same: bool, threshold: float) -> tuple[np.ndarray,
             alive &= np.tri(len(x), k=-1, dtype=bool).T
         i, j = np.nonzero(alive)
         if len(i) * 8 < products.size:
-            break
+            return i, j
         more = min(2 * done, dim)
         products += x[:, done:more] @ y[:, done:more].T
         done = more
-    else:
-        i, j = np.nonzero(products >= threshold - slack)
-        if same:
-            i, j = i[i < j], j[i < j]
-    out_i, out_j = [], []
-    for s in range(0, len(i), 100_000):
-        p, q = i[s : s + 100_000], j[s : s + 100_000]
-        u, v = a["given"][p], b["given"][q]
-        cosine = (u * v).sum(axis=1) / (a["norm"][p] * b["norm"][q])
-        out_i.append(p[cosine >= threshold])
-        out_j.append(q[cosine >= threshold])
-    return (np.concatenate(out_i), np.concatenate(out_j)) if out_i else (np.array([], int), np.array([], int))
+    i, j = np.nonzero(products >= threshold - slack)
+    return (i[i < j], j[i < j]) if same else (i, j)
 
 
 def tile_pairs(points: DataFrame, tile: int = TILE) -> DataFrame:
@@ -142,24 +156,26 @@ def tile_pairs(points: DataFrame, tile: int = TILE) -> DataFrame:
     return subs.select("label", "dim", "ca", "i", "cb", "j")
 
 
-def links(points: DataFrame, threshold: float = THRESHOLD, tile: int = TILE) -> DataFrame:
+def links(points: DataFrame, axes: dict[int, np.ndarray], threshold: float = THRESHOLD, tile: int = TILE) -> DataFrame:
     """(class, linked, root) from every tile pair: vectors linked to a class there, and the class its forest hangs it on."""
     pairs = staged(tile_pairs(points, tile).withColumn("pair", F.monotonically_increasing_id()), "tile-pairs")
     sides = pairs.select("label", "dim", F.col("ca").alias("cell"), F.col("i").alias("sub"), "pair", F.when((F.col("ca") == F.col("cb")) & (F.col("i") == F.col("j")), 2).otherwise(0).alias("side")).union(
         pairs.where("ca <> cb or i <> j").select("label", "dim", "cb", "j", "pair", F.lit(1)))
     cells = points.groupBy("label", "dim", "cell").agg(F.ceil(F.count("*") / tile).alias("subs"))
     cut = points.join(cells, ["label", "dim", "cell"]).withColumn("sub", F.pmod(F.xxhash64("class"), F.col("subs")).cast("int"))
-    sent = cut.join(sides, ["label", "dim", "cell", "sub"]).select("pair", "side", "class", "many", "turned", "embedding")
+    sent = cut.join(sides, ["label", "dim", "cell", "sub"]).select("pair", "side", "class", "many", "embedding")
     dealt = sent.repartition("pair").sortWithinPartitions("pair", "side", "class")
+    known = points.sparkSession.sparkContext.broadcast(axes)  # dim * dim numbers
 
     def linked(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         def tile_of(part: pa.Table) -> dict:
             n = part.num_rows
             given = np.asarray(part.column("embedding").combine_chunks().flatten().to_numpy(zero_copy_only=False), np.float64).reshape(n, -1)
             given = given / np.abs(given).max(axis=1, keepdims=True)
-            return {
-                "class": part.column("class").to_numpy(), "many": part.column("many").to_numpy(), "given": given, "norm": np.sqrt((given * given).sum(axis=1)),
-                "turned": part.column("turned").combine_chunks().flatten().to_numpy(zero_copy_only=False).reshape(n, -1)}
+            norm = np.sqrt((given * given).sum(axis=1))
+            turned = (given / norm[:, None]) @ known.value[given.shape[1]]
+            order = np.argsort(turned[:, 0], kind="stable")
+            return {"class": part.column("class").to_numpy()[order], "many": part.column("many").to_numpy()[order], "given": given[order], "norm": norm[order], "turned": turned[order]}
 
         def close(parts: list[pa.RecordBatch]) -> pa.RecordBatch | None:
             if not parts:
@@ -203,8 +219,9 @@ def near_vectors(vectors: DataFrame, threshold: float = THRESHOLD, tile: int = T
     """vec_id, n_links, component_id and kept for every row of (vec_id, label, embedding)."""
     vectors = vectors.select("vec_id", "label", "embedding")
     classes = classes_of(vectors)
-    points = staged(turned(classes, principal_axes(classes), float(np.sqrt(2 - 2 * threshold)) + 1e-6, tile), "turned")
-    found = staged(links(points, threshold, tile), "vector-links")
+    axes = principal_axes(classes)
+    points = staged(celled(classes, axes, float(np.sqrt(2 - 2 * threshold)) + 1e-6, tile), "celled")
+    found = staged(links(points, axes, threshold, tile), "vector-links")
     linked = found.groupBy("class").agg(F.sum("linked").alias("linked"))
     roots = star_components(found.select(F.col("class").alias("src"), F.col("root").alias("dst"))).withColumnRenamed("vid", "class")
     table = classes.join(linked, "class", "left").join(roots, "class", "left").withColumn("component", F.coalesce("component", "class"))
