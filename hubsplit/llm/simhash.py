@@ -26,6 +26,8 @@ from hubsplit.shared_dir import staged
 
 SHINGLE, RADIUS, SEED = 3, 2, 42
 TILE = 1024
+#: A tile group above so many fingerprints is dealt to several tasks.
+GROUP = 1 << 17
 
 
 def fingerprint(text: str | None, shingle: int = SHINGLE) -> int:
@@ -38,8 +40,15 @@ def fingerprint(text: str | None, shingle: int = SHINGLE) -> int:
     if len(words) <= shingle:
         return xxhash.xxh64_intdigest(b" ".join(words), SEED)
     hashes = map(xxhash.xxh64_intdigest, map(b" ".join, zip(*(islice(words, k, None) for k in range(shingle)))), repeat(SEED))
+    return majority_bits(np.fromiter(islice(hashes, 65_536), np.uint64) for _ in repeat(None))
+
+
+def majority_bits(parts: Iterator[np.ndarray]) -> int:
+    """The bits that more than half of the hashes have; an empty part ends the sequence."""
     ones, n = np.zeros(64, np.int64), 0
-    while len(part := np.fromiter(islice(hashes, 65_536), np.uint64)):
+    for part in parts:
+        if not len(part):
+            break
         ones += np.unpackbits(part.astype("<u8").view(np.uint8).reshape(-1, 8), axis=1, bitorder="little").sum(axis=0, dtype=np.int64)
         n += len(part)
     return int(np.packbits(2 * ones > n, bitorder="little").view("<u8")[0])
@@ -101,8 +110,12 @@ def link_group(fps: np.ndarray, radius: int = RADIUS, tile: int = TILE) -> np.nd
     return labels
 
 
-def link_tiles(classes: DataFrame, radius: int = RADIUS) -> DataFrame:
-    """Links (src, dst) between distinct fingerprints (column fp) within the radius: a spanning forest of each tile group."""
+def link_tiles(classes: DataFrame, radius: int = RADIUS, most: int = GROUP) -> DataFrame:
+    """Links (src, dst) between distinct fingerprints (column fp) within the radius: a spanning forest of each tile group.
+
+    A group above ``most`` fingerprints is dealt as pairs of its cells: a fingerprint goes to one of k cells by hash, and to the k
+    tasks that compare its cell with another, so that no task holds the group.
+    """
 
     def linked(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         held: list[np.ndarray] = []
@@ -117,15 +130,15 @@ def link_tiles(classes: DataFrame, radius: int = RADIUS) -> DataFrame:
             return [(fps[moved], fps[root[moved]])] if len(moved) else []
 
         for batch in batches:
-            table, bits, fps = (batch.column(k).to_numpy(zero_copy_only=False) for k in range(3))
+            group, bits, fps = (batch.column(k).to_numpy(zero_copy_only=False) for k in range(3))
             found: list[tuple[np.ndarray, np.ndarray]] = []
-            starts = np.flatnonzero(np.r_[True, (table[1:] != table[:-1]) | (bits[1:] != bits[:-1])]) if len(table) else np.array([], int)
-            ends = np.r_[starts[1:], len(table)]
+            starts = np.flatnonzero(np.r_[True, (group[1:] != group[:-1]) | (bits[1:] != bits[:-1])]) if len(group) else np.array([], int)
+            ends = np.r_[starts[1:], len(group)]
             last = len(starts) - 1
             several = [k for k in range(len(starts)) if k in (0, last) or ends[k] - starts[k] > 1] if len(starts) < 3 else [0, *(np.flatnonzero(ends[1:-1] - starts[1:-1] > 1) + 1).tolist(), last]
             for k in several:
                 s, e = starts[k], ends[k]
-                at = (int(table[s]), int(bits[s]))
+                at = (int(group[s]), int(bits[s]))
                 if at != key:
                     found += close(held)
                     held, key = [], at
@@ -136,7 +149,15 @@ def link_tiles(classes: DataFrame, radius: int = RADIUS) -> DataFrame:
             yield pa.RecordBatch.from_arrays([pa.array(a), pa.array(b)], names=["src", "dst"])
 
     keyed = classes.select("fp", F.explode(tile_keys(F.col("fp"), radius)).alias("k")).select(F.col("k.table").alias("table"), F.col("k.bits").alias("bits"), "fp")
-    dealt = keyed.repartition("table", "bits").sortWithinPartitions("table", "bits", F.bit_count("fp"), "fp")
+    # Groups above `most` are at most tables * fingerprints / most, each one row of metadata.
+    large = keyed.groupBy("table", "bits").agg(F.count("*").alias("n")).where(F.col("n") > most).select("table", "bits", F.ceil(F.col("n") / (most // 2)).cast("int").alias("cells"))
+    dealt = keyed.join(large, ["table", "bits"], "left")
+    cell = F.pmod(F.xxhash64("fp"), F.col("cells")).cast("int")
+    # the pair of cells (i, j), i <= j, as one number; a cell meets every cell, itself included
+    pair = F.transform(F.sequence(F.lit(0), F.col("cells") - 1), lambda j: F.least(cell, j) * F.col("cells") + F.greatest(cell, j) + 1)
+    dealt = dealt.select("table", "bits", "fp", F.explode(F.when(F.col("cells").isNull(), F.array(F.lit(0))).otherwise(pair)).alias("pair"))
+    dealt = dealt.select((F.col("pair").cast("long") * 1000 + F.col("table")).alias("group"), "bits", "fp")
+    dealt = dealt.repartition("group", "bits").sortWithinPartitions("group", "bits", F.bit_count("fp"), "fp")
     return dealt.mapInArrow(linked, "src long, dst long")
 
 

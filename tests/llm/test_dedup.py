@@ -133,22 +133,60 @@ def test_repeated_strings_of_random_mixtures(spark, saved, monkeypatch, hot):
             at = rng.randrange(len(text))
             text = text[:at] + "#" + text[at + 1 :]
         rows.append((rng.randrange(100) if k % 9 else k, text))
-    if hot:
+    if hot:  # anchors with two entries and more are dealt string by string
         monkeypatch.setattr(suffix_dedup, "HOT_SHARE", 10**9)
+        monkeypatch.setattr(suffix_dedup, "HOT_FLOOR", 1)
     df = spark.createDataFrame(rows, "doc_id long, text string")
-    if hot:
-        import inspect
+    assert (suffix_dedup.shared_anchors(tagged(df), 4).where("doc_id is null").count() > 0) == hot
+    assert sorted(removal(spark, saved(documents=df)), key=KEY) == sorted(slow_removal(rows), key=KEY)
+
+
+def tagged(docs):
+    return docs.withColumn("tag", F.xxhash64("text").bitwiseAND(F.lit((1 << suffix_dedup.TAG_BITS) - 1)))
 
-        assert "20_000" in inspect.getsource(suffix_dedup.shared_anchors)
+
+def test_many_texts_under_one_doc_id(spark, saved):
+    rng = random.Random(5)
+    passage = "".join(rng.choice("abcdefgh ") for _ in range(90))
+    rows = [(7 if k else 1, f"{k} " + passage + "x" * (k % 4)) for k in range(60)] + [(7, "0 " + passage)] * 3 + [(9, passage)]
+    df = spark.createDataFrame(rows, "doc_id long, text string")
     assert sorted(removal(spark, saved(documents=df)), key=KEY) == sorted(slow_removal(rows), key=KEY)
 
 
+def test_the_array_decides_between_contexts(monkeypatch):
+    """Two contexts of one anchor that agree to the left of a byte: its classes alone say which strings are shared."""
+    asked = []
+    whole = suffix_dedup.equal_strings
+    monkeypatch.setattr(suffix_dedup, "equal_strings", lambda pieces, *a: asked.append(len(pieces)) or whole(pieces, *a))
+    one = np.frombuffer(b"q" * 30 + b"abcdefghijklmnopqrst" + b"z" * 30, np.uint8)
+    two = one.copy()
+    two[60] = 1
+    flank = np.full(2, 30, np.uint8)
+    found = list(suffix_dedup._owned(np.array([5, 5], np.uint64), np.array([1, 2]), np.zeros(2, np.int64), np.array([100, 200]), flank, flank, np.stack([one, two]), 50, 20))
+    assert asked == [1] and [x.tolist() for x in found[0]] == [[2], [0], [170], [230]]
+
+
+def test_text_is_exchanged_once(spark, saved, odd_docs):
+    """The exchange that brings texts to their anchors is used again for the removal."""
+    docs = spark.read.parquet(saved(documents=odd_docs) + "/documents.parquet").select("doc_id", "text")
+    old = spark.conf.get("spark.sql.autoBroadcastJoinThreshold")
+    spark.conf.set("spark.sql.autoBroadcastJoinThreshold", "-1")
+    try:
+        out = suffix_dedup.deduplicate(docs)
+        out.collect()
+    finally:
+        spark.conf.set("spark.sql.autoBroadcastJoinThreshold", old)
+    final = out._jdf.queryExecution().executedPlan().toString().split("Initial Plan")[0]
+    assert "ReusedExchange" in final
+
+
 def test_hot_anchors_are_dealt_string_by_string(spark):
     """The same spans when every anchor counts as hot."""
     rng = random.Random(2)
     passage = "".join(rng.choice("abcdefgh ") for _ in range(140))
     rows = [(k, "".join(rng.choice("klmnop ") for _ in range(30)) + passage[rng.randrange(40) : 100 + rng.randrange(40)]) for k in range(40)]
     docs = spark.createDataFrame(rows, "doc_id long, text string")
+    docs = tagged(docs)
     anchors = suffix_dedup.shared_anchors(docs, 4).cache()
     data = passage.encode()
     h = suffix_dedup.gram_hashes(np.frombuffer(data, np.uint8), suffix_dedup.GRAM)
@@ -201,3 +239,16 @@ def test_near_vectors(spark, tile):
 
 def test_near_vectors_of_nothing(spark):
     assert embedding_dedup.near_vectors(spark.createDataFrame([], "vec_id long, embedding array<float>, label int")).count() == 0
+
+
+def test_large_tile_groups_are_dealt_as_pairs_of_cells(spark):
+    """The same components when every group above eight fingerprints is split."""
+    rng = random.Random(6)
+    base = [rng.getrandbits(64) for _ in range(12)]
+    fps = sorted({b ^ (1 << rng.randrange(40)) ^ (1 << rng.randrange(40)) for b in base for _ in range(30)})
+    df = spark.createDataFrame([(x - (1 << 64) if x >> 63 else x,) for x in fps], "fp long")
+    label = components(len(fps), [(i, j) for i in range(len(fps)) for j in range(i) if (fps[i] ^ fps[j]).bit_count() <= 2])
+    for most in (8, 1 << 17):
+        found = [(r["src"], r["dst"]) for r in simhash.link_tiles(df, 2, most).collect()]
+        at = {x - (1 << 64) if x >> 63 else x: k for k, x in enumerate(fps)}
+        assert components(len(fps), [(at[a], at[b]) for a, b in found]) == label
