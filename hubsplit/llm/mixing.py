@@ -44,10 +44,10 @@ def source_targets(sizes: DataFrame, weights: tuple[int, ...] = (1, 2, 3), ceili
     return t.select("source", "source_size", F.least("_cap", F.col("_level") * F.col("_w")).alias("target"))
 
 
-def draw_copies(docs: DataFrame, seed: int = SEED, counted: DataFrame | None = None) -> DataFrame:
+def draw_copies(docs: DataFrame, seed: int = SEED, counted: DataFrame | None = None, ties: tuple[str, ...] = ()) -> DataFrame:
     """All columns of ``docs`` (doc_id, source, size and any other) with source_size, target and copies.
 
-    ``counted`` may hold doc_id, source and size of the same rows, staged, so that counting need not read the rest.
+    ``ties`` orders rows of equal doc_id, source and size, so that reruns agree on which of them is taken. ``counted`` may hold doc_id, source and size of the same rows, staged, so that counting need not read the rest.
     """
     key = F.coalesce(F.concat(F.lit("="), F.col("source")), F.lit("-"))
     bucket = F.substring(F.md5(F.coalesce(F.col("doc_id").cast("string"), F.lit(""))), 1, 4)
@@ -62,7 +62,7 @@ def draw_copies(docs: DataFrame, seed: int = SEED, counted: DataFrame | None = N
         buckets.select("_key", "size", "_bucket", (F.sum("_n").over(inner) - F.col("_n")).alias("_inner"))
         .join(lower, ["_key", "size"]).join(targets, "_key")
         .select("_key", "size", "_bucket", (F.col("_inner") + F.col("_lower")).alias("_base"), "source_size", "target"))
-    ranked = rows.withColumn("_row", F.row_number().over(Window.partitionBy("_key", "size", "_bucket").orderBy("doc_id")) - 1)
+    ranked = rows.withColumn("_row", F.row_number().over(Window.partitionBy("_key", "size", "_bucket").orderBy("doc_id", *ties)) - 1)
     joined = ranked.join(base, ["_key", "size", "_bucket"])
     offset = F.conv(F.substring(F.md5(F.concat(F.col("_key"), F.lit(f"|{seed}"))), 1, 8), 16, 10).cast("double") / F.lit(4294967296.0)
     ratio = F.when(F.col("source_size") > 0, F.col("target") / F.col("source_size")).otherwise(F.lit(0.0))

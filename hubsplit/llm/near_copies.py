@@ -1,12 +1,14 @@
 """Near copies: all pairs of texts whose sets of five-word shingles have a Jaccard similarity of at least 0.8.
 
-Fingerprints cannot promise this (pairs at 0.8 differ by any number of bits), so candidates come from prefixes: when all sets are
-sorted by one common order, two sets that are similar enough share one of their first n - ceil(0.8 n) + 1 elements. The order puts
-shingles that are frequent in a sample last; it decides what a run costs and not what it finds. Candidates are narrowed
-by bounds that hold for every similar pair (sizes, positions, parities of 1024 buckets), and each is then decided on the whole sets.
-
-Equal sets are one class before anything is compared. A first round compares the nearest rows of a key only; the second compares what is
-not in one component by then, so that a large group of near copies costs its size. Texts without words are one class.
+The SimHash operator comes first: five-word fingerprints within ``REACH`` bits are linked by its tiled comparison, and each link is
+decided on the whole sets. Fingerprints cannot promise every pair (pairs at 0.8 differ by any number of bits), so what they cannot reach
+comes from prefixes: when all sets are sorted by one common order, two sets that are similar enough share one of their first
+n - ceil(0.8 n) + 1 elements. The order puts shingles that are frequent in a sample last; it decides what a run costs and not what it
+finds. Candidates are narrowed by bounds that hold for every similar pair (sizes, positions, parities of 1024 buckets), and each
+is then decided on the whole sets.
+
+Equal sets are one class before anything is compared. A first round of prefixes compares the nearest rows of a key only; the second
+compares what is not in one component by then, so that a large group of near copies costs its size. Texts without words are one class.
 """
 
 from __future__ import annotations
@@ -21,15 +23,18 @@ from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
 from hubsplit.components import star_components
+from hubsplit.llm import simhash
 from hubsplit.shared_dir import drop_path, staged, staged_path
 
 SHINGLE, SEED, BUCKETS = 5, 42, 1024
 SAMPLE, FREQUENT, MOST_FREQUENT = 16_384, 3, 50_000
 NEIGHBOURS, ROWS = 32, 500
+#: Differing bits of five-word fingerprints that the first links allow; whole sets decide them.
+REACH = 3
 
 
-def shingles(text: str | None) -> np.ndarray:
-    """Sorted distinct hashes of the five-word shingles; fewer words hash as one sequence, no words give none."""
+def shingle_hashes(text: str | None) -> np.ndarray:
+    """Hashes of the five-word shingles, repeats included; fewer words hash as one sequence, no words give none."""
     import xxhash
 
     words = (text or "").encode("utf-8", "surrogatepass").lower().split()
@@ -38,7 +43,12 @@ def shingles(text: str | None) -> np.ndarray:
     if len(words) <= SHINGLE:
         return np.array([xxhash.xxh64_intdigest(b" ".join(words), SEED)], np.uint64).view(np.int64)
     grams = map(b" ".join, zip(*(islice(words, k, None) for k in range(SHINGLE))))
-    return np.unique(np.fromiter(map(xxhash.xxh64_intdigest, grams, repeat(SEED)), np.uint64).view(np.int64))
+    return np.fromiter(map(xxhash.xxh64_intdigest, grams, repeat(SEED)), np.uint64).view(np.int64)
+
+
+def shingles(text: str | None) -> np.ndarray:
+    """The same as a set: sorted and distinct."""
+    return np.unique(shingle_hashes(text))
 
 
 def parities(found: np.ndarray) -> bytes:
@@ -65,19 +75,21 @@ def few_rows(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
 
 
 def with_classes(docs: DataFrame) -> DataFrame:
-    """docs with the name of the set of shingles, its size and its parities."""
+    """docs with the name of the set of shingles, its size, its parities, and the fingerprint of all shingles."""
     at = docs.columns.index("text")
 
     def hashed(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         import xxhash
 
         for batch in few_rows(batches):
-            sets = [shingles(t.as_py()) for t in batch.column(at)]
+            hashes = [shingle_hashes(t.as_py()) for t in batch.column(at)]
+            sets = [np.unique(h) for h in hashes]
+            prints = np.array([simhash.majority_bits(iter([h.view(np.uint64)])) for h in hashes], np.uint64).view(np.int64)
             names = np.array([xxhash.xxh3_64_intdigest(s.tobytes(), SEED) for s in sets], np.uint64).view(np.int64)
-            new = [pa.array(names), pa.array([len(s) for s in sets], pa.int32()), pa.array([parities(s) for s in sets], pa.binary())]
-            yield pa.RecordBatch.from_arrays([*batch.columns, *new], names=[*batch.schema.names, "_hs_class", "_hs_n", "_hs_odd"])
+            new = [pa.array(names), pa.array([len(s) for s in sets], pa.int32()), pa.array([parities(s) for s in sets], pa.binary()), pa.array(prints)]
+            yield pa.RecordBatch.from_arrays([*batch.columns, *new], names=[*batch.schema.names, "_hs_class", "_hs_n", "_hs_odd", "_hs_fp"])
 
-    new = [T.StructField("_hs_class", T.LongType()), T.StructField("_hs_n", T.IntegerType()), T.StructField("_hs_odd", T.BinaryType())]
+    new = [T.StructField("_hs_class", T.LongType()), T.StructField("_hs_n", T.IntegerType()), T.StructField("_hs_odd", T.BinaryType()), T.StructField("_hs_fp", T.LongType())]
     return docs.mapInArrow(hashed, T.StructType([*docs.schema.fields, *new]))
 
 
@@ -202,12 +214,23 @@ def similar(pairs: DataFrame, classed: DataFrame) -> DataFrame:
     return links
 
 
+def by_fingerprint(classed: DataFrame) -> DataFrame:
+    """Pairs (a, b) of classes from the SimHash operator: a forest of fingerprints within ``REACH`` bits, and classes of one fingerprint."""
+    classes = classed.where("_hs_n > 0").select("_hs_class", "_hs_fp").distinct()
+    named = staged(classes.groupBy(F.col("_hs_fp").alias("fp")).agg(F.min("_hs_class").alias("first")), "fingerprints")
+    links = simhash.link_tiles(named.select("fp"), REACH)
+    end = lambda column, name: named.select(F.col("fp").alias(column), F.col("first").alias(name))
+    apart = links.join(end("src", "a"), "src").join(end("dst", "b"), "dst").select("a", "b")
+    alike = classes.join(end("_hs_fp", "a"), "_hs_fp").where("a <> _hs_class").select("a", F.col("_hs_class").alias("b"))
+    return apart.union(alike).distinct()
+
+
 def near_copies(docs: DataFrame) -> tuple[DataFrame, DataFrame]:
     """Staged docs with their class, and the copies (doc_id, _hs_class): all but the smallest doc_id of each component."""
     classed = staged(with_classes(docs), "classed")
     rows = prefixes(classed, frequent_shingles(classed))
     shared = staged(shared_keys(rows), "shared")
-    near = similar(candidates(shared.withColumn("comp", F.col("class")), NEIGHBOURS), classed)
+    near = staged(similar(by_fingerprint(classed), classed).union(similar(candidates(shared.withColumn("comp", F.col("class")), NEIGHBOURS), classed)), "near")
     roots = star_components(near.toDF("src", "dst")).toDF("class", "root")
     rooted = shared.join(roots, "class", "left").select("key", "class", "n", "pos", F.coalesce("root", "class").alias("comp"))
     rest = similar(candidates(rooted), classed)

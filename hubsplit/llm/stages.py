@@ -40,8 +40,9 @@ def mixing(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """A row for each copy the mix takes; a document with no copy goes."""
     size = mix.word_count(F.col("text")).alias("size")
     counted = staged(docs.select("doc_id", "source", size), "sizes")
-    inner = docs.select(F.struct(*docs.columns).alias("_hs_row"), "doc_id", "source", size)
-    drawn = mix.draw_copies(inner, counted=counted).where("copies > 0")
+    tie = F.xxhash64(*[F.to_json(F.struct(c)) if dict(docs.dtypes)[c].startswith("map") else F.col(c) for c in docs.columns]).alias("_hs_tie")
+    inner = docs.select(F.struct(*docs.columns).alias("_hs_row"), "doc_id", "source", size, tie)
+    drawn = mix.draw_copies(inner, counted=counted, ties=("_hs_tie",)).where("copies > 0")
     taken = drawn.select("_hs_row", F.explode(F.sequence(F.lit(1), F.col("copies").cast("int"))).alias("_hs_copy"))
     return taken.select(*[F.col("_hs_row")[c].alias(c) for c in docs.columns])
 
