@@ -14,7 +14,7 @@ from pyspark.sql import functions as F
 from hubsplit.shared_dir import drop_path, staged, staged_path
 
 
-def star_components(edges: DataFrame, max_rounds: int = 100) -> DataFrame:
+def star_components(edges: DataFrame, max_rounds: int = 1000) -> DataFrame:
     """(vid, component) for each end of an edge (src, dst): the smallest vertex id of its component. Null ends and loops are ignored."""
     spark = edges.sparkSession
     now = staged(edges.where("src <> dst").select(F.greatest("src", "dst").alias("a"), F.least("src", "dst").alias("b")).distinct(), "stars")

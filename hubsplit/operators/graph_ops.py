@@ -50,12 +50,12 @@ def symmetrise(spark, d):
     return build(spark, d, "copurchase").symmetric()
 
 
-_NEXT = "SELECT l_partkey AS src, lead(l_partkey) OVER (PARTITION BY l_orderkey ORDER BY l_linenumber, l_partkey, l_suppkey) AS dst, CAST(l_quantity AS BIGINT) AS q FROM lineitem WHERE l_quantity >= 32"
+_NEXT = "SELECT l_partkey AS src, lead(l_partkey) OVER (PARTITION BY l_orderkey ORDER BY l_linenumber, l_partkey, l_suppkey) AS dst, CAST(l_quantity AS BIGINT) AS q FROM lineitem"
 
 
 def _next_lines(spark, d):
     w = Window.partitionBy("l_orderkey").orderBy("l_linenumber", "l_partkey", "l_suppkey")
-    li = table(spark, d, "lineitem", "l_orderkey", "l_linenumber", "l_partkey", "l_suppkey", "l_quantity").where("l_quantity >= 32")
+    li = table(spark, d, "lineitem", "l_orderkey", "l_linenumber", "l_partkey", "l_suppkey", "l_quantity")
     return li.select(F.col("l_partkey").alias("src"), F.lead("l_partkey").over(w).alias("dst"), F.col("l_quantity").cast("long").alias("q"), "l_linenumber")
 
 
@@ -173,7 +173,7 @@ def _cut(spark, d):
 
 @query("grouped_map_parts", _SIZES)
 def grouped_map_parts(spark, d):
-    def count(key, t: pa.Table) -> pa.Table:
+    def count(key: tuple, t: pa.Table) -> pa.Table:
         return pa.table({"pid": pa.array([key[0].as_py()], pa.int32()), "n": [t.num_rows]})
 
     return _cut(spark, d).groupBy("pid").applyInArrow(count, "pid int, n long")
@@ -181,7 +181,7 @@ def grouped_map_parts(spark, d):
 
 @query("cogrouped_map_parts", with_cut(view="returns") + "SELECT a.pid, CAST(count(*) AS BIGINT) AS n_edges, CAST((SELECT count(*) FROM r WHERE r.pid = a.pid) AS BIGINT) AS n_vertices FROM a GROUP BY a.pid")
 def cogrouped_map_parts(spark, d):
-    def count(key, e: pa.Table, v: pa.Table) -> pa.Table:
+    def count(key: tuple, e: pa.Table, v: pa.Table) -> pa.Table:
         return pa.table({"pid": pa.array([key[0].as_py()], pa.int32()), "n_edges": [e.num_rows], "n_vertices": [v.num_rows]})
 
     a = _cut(spark, d)
@@ -201,11 +201,11 @@ def map_in_arrow_edges(spark, d):
 # --- results joined back ----------------------------------------------------------------------------------------------------------------
 
 
-@query("sql_component_revenue", S.components_sql("returns") + ", m AS (SELECT component, vid FROM cc) SELECT m.component, CAST(sum(CAST(round(l_extendedprice * 100) AS BIGINT)) AS BIGINT) AS cents FROM lineitem JOIN m ON m.vid = 2 * l_orderkey WHERE l_returnflag = 'R' AND l_quantity >= 45 GROUP BY m.component")
+@query("sql_component_revenue", S.components_sql("returns") + ", m AS (SELECT component, vid FROM cc) SELECT m.component, CAST(sum(CAST(round(l_extendedprice * 100) AS BIGINT)) AS BIGINT) AS cents FROM lineitem JOIN m ON m.vid = 2 * l_orderkey WHERE l_returnflag = 'R' GROUP BY m.component")
 def sql_component_revenue(spark, d):
     R.connected_components(make_layout(build(spark, d, "returns"), P.CUTS["ldch"], N)).values.createOrReplaceTempView("components")
     views(spark, d, "lineitem")
-    return spark.sql("SELECT c.component, sum(CAST(round(l_extendedprice * 100) AS BIGINT)) AS cents FROM lineitem JOIN components c ON c.vid = 2 * l_orderkey WHERE l_returnflag = 'R' AND l_quantity >= 45 GROUP BY c.component")
+    return spark.sql("SELECT c.component, sum(CAST(round(l_extendedprice * 100) AS BIGINT)) AS cents FROM lineitem JOIN components c ON c.vid = 2 * l_orderkey WHERE l_returnflag = 'R' GROUP BY c.component")
 
 
 @query("sql_rank_by_nation", S.fixedpoint_sql("commerce", 4) + "SELECT n_name, s_suppkey, rank FROM p4 JOIN supplier ON vid = 4 * s_suppkey + 3 JOIN nation ON s_nationkey = n_nationkey QUALIFY row_number() OVER (PARTITION BY n_name ORDER BY rank DESC, s_suppkey) = 1")

@@ -12,7 +12,12 @@ def breakdown(ledger: DataFrame) -> DataFrame:
     both = ledger.join(slowest, "round")
     return both.groupBy("round").agg(
         F.min("compute_ms").alias("compute_min"), F.round(F.avg("compute_ms"), 6).alias("compute_mean"), F.max("compute_ms").alias("compute_max"), F.round(F.avg(F.col("slowest") - F.col("compute_ms")), 6).alias("sync_mean"),
-        F.sum("pairs").alias("pairs"), F.round(F.max("edges") / F.avg("edges"), 6).alias("work_imbalance"), F.round(F.sum("edges") / (F.max("slowest") / 1000), 3).alias("peps"))
+        F.sum("pairs").alias("pairs"), F.round(F.try_divide(F.max("edges"), F.avg("edges")), 6).alias("work_imbalance"), F.round(F.try_divide(F.sum("edges"), F.max("slowest") / 1000), 3).alias("peps"))
+
+
+def ledger_rows(ledger: list[dict]) -> list[tuple]:
+    """(round, pid, compute_ms, network_ms, edges, pairs) of every part that ran in a round."""
+    return [(r["round"], p[0], p[1], r["network_ms"], p[2], p[3]) for r in ledger for p in r["parts"]]
 
 
 def totals(ledger: list[dict]) -> dict:

@@ -1,7 +1,8 @@
 """Vertex-cuts, edge-cuts, replicas, masters and routing as DataFrame plans.
 
-Only hash expressions and equi-joins: a cut of any size is one or two shuffles of its edges. The degrees of hubs, of which there can
-be no more than edges / threshold, are few after pre-aggregation; adaptive execution splits the skewed keys of their joins.
+Only hash expressions and equi-joins: a cut of any size is one or two shuffles of its edges, and no shuffle meets a hub's edges under
+one key. Hubs are the vertices above a degree that no more than ``HUB_LIMIT`` vertices can have; they are broadcast, and decide every edge
+they touch at once. Only edges between two other vertices are joined by key.
 """
 
 from __future__ import annotations
@@ -10,8 +11,12 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from hubsplit.functions.hashing import SALT, hash32, hash32_sql
+from hubsplit.shared_dir import staged, staged_path
 from hubsplit.sources.graphs import Graph
 
+#: At most so many hubs, 16 bytes each, are broadcast; a vertex below the floor is no hub in any graph.
+HUB_LIMIT, HUB_FLOOR = 1_000_000, 1_000
+
 # --- degrees ---------------------------------------------------------------------------------------------------------------------
 
 
@@ -67,11 +72,19 @@ class LowDegreeHash(VertexCut):
         self.canonical, self.degree = canonical, degree
 
     def owner_end(self, edges: DataFrame) -> DataFrame:
-        deg = degrees(edges).select("vid", F.col(self.degree).alias("deg"))
+        edges = edges if staged_path(edges) else staged(edges.select("src", "dst", "w"), "edges")
+        deg = staged(degrees(edges).select("vid", F.col(self.degree).alias("deg")), "degrees")
         a, b = (F.least("src", "dst"), F.greatest("src", "dst")) if self.canonical else (F.col("src"), F.col("dst"))
-        e = edges.withColumns({"_a": a, "_b": b})
-        e = e.join(deg.select(F.col("vid").alias("_a"), F.col("deg").alias("_da")), "_a").join(deg.select(F.col("vid").alias("_b"), F.col("deg").alias("_db")), "_b")
-        return e.withColumn("owner", F.when(F.col("_da") <= F.col("_db"), F.col("_a")).otherwise(F.col("_b"))).select("src", "dst", "w", "owner")
+        above = max(HUB_FLOOR, (deg.agg(F.sum("deg")).first()[0] or 0) // HUB_LIMIT)  # fewer than HUB_LIMIT vertices have more
+        hubs = deg.where(F.col("deg") > above)
+        at = lambda df, end, name: df.select(F.col("vid").alias(end), F.col("deg").alias(name))
+        e = edges.withColumns({"_a": a, "_b": b}).join(F.broadcast(at(hubs, "_a", "_ha")), "_a", "left").join(F.broadcast(at(hubs, "_b", "_hb")), "_b", "left")
+        # With a hub at one end, the other end has the lower degree.
+        near = e.where("_ha is not null or _hb is not null").withColumn("owner", F.when(F.col("_ha").isNull() | (F.col("_ha") <= F.col("_hb")), F.col("_a")).otherwise(F.col("_b")))
+        low = deg.where(F.col("deg") <= above)
+        rest = e.where("_ha is null and _hb is null").join(at(low, "_a", "_da"), "_a").join(at(low, "_b", "_db"), "_b")
+        rest = rest.withColumn("owner", F.when(F.col("_da") <= F.col("_db"), F.col("_a")).otherwise(F.col("_b")))
+        return near.select("src", "dst", "w", "owner").union(rest.select("src", "dst", "w", "owner"))
 
     def assign(self, edges, n):
         return self.owner_end(edges).select("src", "dst", "w", (self._h("owner") % n).cast("int").alias("pid"))

@@ -316,5 +316,3 @@ def part_bytes(spark, d):
 def kron_edges(spark, d):
     return build(spark, d, "kron").edges
 
-
-assert set(BUILDERS)

@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+import numpy as np
 from pyspark.sql import functions as F
 
 from hubsplit.plans import partition as P
@@ -9,7 +10,7 @@ from hubsplit.plans import programs as R
 from hubsplit.plans import rivals as V
 from hubsplit.plans import sql_twins as S
 from hubsplit.plans.partition_queries import N, with_cut
-from hubsplit.plans.runtime import make_layout
+from hubsplit.plans.runtime import each_part, fold, make_layout, run, spread
 from hubsplit.registry import query
 from hubsplit.sources.graphs import build, ctes
 
@@ -81,7 +82,8 @@ _SP = "SELECT vid, dist FROM sp"
 
 def most_linked(graph) -> int:
     """The source of most edges; of several, the smallest id."""
-    return graph.edges.groupBy("src").agg(F.count("*").alias("k")).orderBy(F.desc("k"), "src").first()["src"]
+    first = graph.edges.groupBy("src").agg(F.count("*").alias("k")).orderBy(F.desc("k"), "src").first()
+    return first["src"] if first else 0
 
 
 def _source(spark, d, view):
@@ -106,9 +108,7 @@ def _path_queries():
             query(f"sssp_edgecut_{name}", sql)(lambda spark, d, v=view, w=weighted: R.shortest_paths(_layout(spark, d, v, None, "edge_cut"), _source(spark, d, v), w).values)
         if name == "road_w":
             def block(spark, d):
-                g = build(spark, d, "road")
-                placed = V.assign_blocks(V.partition_bfs(g, 0.002), N, "largest_first")
-                return R.shortest_paths(make_layout(g, None, N, "edge_cut", placed), 0, True).values
+                return R.shortest_paths(V.block_layout(build(spark, d, "road"), N), 0, True).values
 
             query("sssp_block_road_w", sql)(block)
 
@@ -120,7 +120,31 @@ _path_queries()
 def sssp_directed_commerce(spark, d):
     g = build(spark, d, "commerce")
     source = g.edges.where("src % 4 = 1").agg(F.min("src")).first()[0]
-    return R.shortest_paths(make_layout(g, P.CUTS["ldch"], N), source, False, local="heap").values
+    return R.shortest_paths(make_layout(g, P.CUTS["ldch"], N), 0 if source is None else source, False).values
+
+
+@query("sssp_relax_road_w", S.paths_sql("road", "0", "w", True) + _SP)
+def sssp_relax_road_w(spark, d):
+    """The local search by waves instead of the priority queue."""
+    return R.shortest_paths(_layout(spark, d, "road"), 0, True, local="relax").values
+
+
+@query("sssp_tree_road_w", S.paths_sql("road", "0", "w", True) + "SELECT u.dst AS vid, min(u.src) AS parent FROM u JOIN sp a ON a.vid = u.src JOIN sp b ON b.vid = u.dst WHERE a.dist + u.w = b.dist AND a.dist < b.dist GROUP BY u.dst")
+def sssp_tree_road_w(spark, d):
+    layout = _layout(spark, d, "road")
+    return R.predecessors(layout.edges, R.shortest_paths(layout, 0, True).values)
+
+
+_SWEEP = S.paths_sql("road", "0", "one", True) + """, far AS (SELECT vid FROM sp ORDER BY dist DESC, vid LIMIT 1), sq(vid, dist) USING KEY (vid) AS (
+        SELECT vid, CAST(0 AS BIGINT) AS dist FROM far UNION SELECT x.dst, CAST(min(sq.dist + 1) AS BIGINT) FROM sq JOIN u x ON x.src = sq.vid
+        LEFT JOIN recurring.sq r ON r.vid = x.dst WHERE r.dist IS NULL OR sq.dist + 1 < r.dist GROUP BY x.dst)
+    SELECT CAST((SELECT max(dist) FROM sq) AS BIGINT) AS hops, (SELECT vid FROM far) AS from_vid, (SELECT vid FROM sq ORDER BY dist DESC, vid LIMIT 1) AS to_vid"""
+
+
+@query("graph_diameter_road", _SWEEP)
+def graph_diameter_road(spark, d):
+    """Diameter by a double sweep of the hybrid program."""
+    return spark.createDataFrame([R.diameter(_layout(spark, d, "road"), 0)], "hops long, from_vid long, to_vid long")
 
 
 @query("sssp_multi_source", f"""WITH RECURSIVE {ctes('commerce', True)}, sp(vid, dist) USING KEY (vid) AS (SELECT CAST(x AS BIGINT) AS vid, CAST(0 AS BIGINT) AS dist FROM (SELECT unnest([0, 4, 8]) AS x)
@@ -164,31 +188,54 @@ def pr_hybrid_topk(spark, d):
     return _ranked(R.pagerank(_layout(spark, d, "commerce")).values).orderBy(F.desc("rank"), "vid").limit(20)
 
 
-def _near_reference(spark, d, view, values, damping, rounds, bound):
-    ref = V.pagerank_sync(build(spark, d, view), rounds, damping).values.withColumnRenamed("rank", "ref")
-    return values.join(ref, "vid", "full_outer").select("vid", F.coalesce(F.abs(F.col("rank") - F.col("ref")) <= bound, F.lit(False)).alias("agrees"))
+#: Rounds of the equation after which it is nearer to its limit than the accumulative tolerance.
+_LIMIT = 150
 
 
-@query("pr_hybrid_kron_agrees", f"WITH {ctes('kron')} SELECT vid, true AS agrees FROM v")
+def _limit_sql(view):
+    return S.pagerank_limit_sql(view, _LIMIT) + "SELECT vid, round(rank, 8) AS rank FROM pr"
+
+
+def _limited(r):
+    return r.values.select("vid", F.round("rank", 8).alias("rank"))
+
+
+@query("pr_hybrid_kron_agrees", _limit_sql("kron"))
 def pr_hybrid_kron_agrees(spark, d):
-    """Cyclic graph: within the residual bound of the equation after as many rounds."""
-    values = R.pagerank(_layout(spark, d, "kron"), damping=0.5, tol=1e-3).values
-    return _near_reference(spark, d, "kron", values, 0.5, 12, 2e-3)
+    """A cyclic power-law graph, damping 0.85, to a tolerance of 1e-10: the ranks themselves."""
+    return _limited(R.pagerank(_layout(spark, d, "kron")))
 
 
-@query("adaptive_pagerank", f"WITH {ctes('pagelink_sym')} SELECT vid, true AS agrees FROM v")
+@query("pr_hybrid_pagelink_sym", _limit_sql("pagelink_sym"))
+def pr_hybrid_pagelink_sym(spark, d):
+    """Local fixpoints: inner vertices settle in their part before a round ends."""
+    return _limited(R.pagerank(_layout(spark, d, "pagelink_sym"), local_sweeps=None))
+
+
+@query("adaptive_pagerank", _limit_sql("pagelink_sym"))
 def adaptive_pagerank(spark, d):
-    """Receipts below a threshold wait at their replica: fewer pairs, and the limit stays within copies times the threshold."""
-    values = R.pagerank(_layout(spark, d, "pagelink_sym"), damping=0.5, tol=1e-3, min_delta=1e-5).values
-    return _near_reference(spark, d, "pagelink_sym", values, 0.5, 14, 5e-3)
+    """Each part sends its largest receipts only and holds tiny ones back; the limit is the same."""
+    return _limited(R.pagerank(_layout(spark, d, "pagelink_sym"), local_sweeps=None, min_delta=1e-14, top_k=48))
+
+
+_AT_K = 20
+_TOP = f"(SELECT vid FROM p%d ORDER BY round(rank, 9) DESC, vid LIMIT {_AT_K})"
 
 
-@query("pr_l1_error", "SELECT true AS bounded")
+@query("rank_overlap_at_k", S.pagerank_sql("commerce", 5) + f"SELECT CAST(count(*) AS BIGINT) AS common FROM {_TOP % 5} a JOIN {_TOP % 1} b USING (vid)")
+def rank_overlap_at_k(spark, d):
+    """How many of the limit's first twenty the first round of the equation names as well."""
+    top = lambda df: _ranked(df).orderBy(F.desc("rank"), "vid").limit(_AT_K).select("vid")
+    return top(R.pagerank(_layout(spark, d, "commerce")).values).join(top(V.pagerank_sync(build(spark, d, "commerce"), 1).values), "vid").agg(F.count("*").alias("common"))
+
+
+@query("pr_l1_error", S.pagerank_sql("pagelink", 3) + "SELECT round(sum(abs(p3.rank - p1.rank)), 7) AS l1, round(max(abs(p3.rank - p1.rank)), 7) AS linf FROM p3 JOIN p1 USING (vid)")
 def pr_l1_error(spark, d):
-    """L1 distance of the accumulative rank from the equation's is at most pending / (1 - damping)."""
-    got = R.pagerank(_layout(spark, d, "pagelink"), tol=1e-9).values
-    ref = V.pagerank_sync(build(spark, d, "pagelink"), 3).values.withColumnRenamed("rank", "ref")
-    return got.join(ref, "vid", "full_outer").agg((F.sum(F.abs(F.coalesce("rank", F.lit(0.0)) - F.coalesce("ref", F.lit(0.0)))) <= 1e-9).alias("bounded"))
+    """L1 and largest distance of the equation's first round from the accumulative ranks."""
+    got = R.pagerank(_layout(spark, d, "pagelink")).values
+    ref = V.pagerank_sync(build(spark, d, "pagelink"), 1).values.withColumnRenamed("rank", "ref")
+    gap = F.abs(F.col("rank") - F.col("ref"))
+    return got.join(ref, "vid").agg(F.round(F.sum(gap), 7).alias("l1"), F.round(F.max(gap), 7).alias("linf"))
 
 
 # --- simulation -------------------------------------------------------------------------------------------------------------------
@@ -218,9 +265,7 @@ def _sim_queries():
             query("gsim_sql_P3", sql)(lambda spark, d, v=view, t=pattern: V.simulate_sql(build(spark, d, v), t))
 
             def block(spark, d, v=view, t=pattern):
-                g = build(spark, d, v)
-                placed = V.assign_blocks(V.partition_bfs(g), N)
-                return R.graph_simulation(make_layout(g, None, N, "edge_cut", placed), t).values
+                return R.graph_simulation(V.block_layout(build(spark, d, v), N), t).values
 
             query("gsim_block_P3", sql)(block)
 
@@ -241,7 +286,7 @@ def gsim_counts(spark, d):
     return V.successor_counts(g, V.candidates(g, _P1))
 
 
-@query("gsim_match_flag", "SELECT 'P1' AS pattern, true AS matched UNION ALL SELECT 'P6', false")
+@query("gsim_match_flag", S.simulation_sql(_P1_VIEW, _P1.nodes, _P1.arcs, 4) + f"SELECT 'P1' AS pattern, (SELECT count(DISTINCT u) FROM s4) = {len(_P1.nodes)} AS matched UNION ALL SELECT 'P6', false")
 def gsim_match_flag(spark, d):
     flags = [(p, bool(R.graph_simulation(_layout(spark, d, R.PATTERNS[p][0]), R.PATTERNS[p][1]).values.head(1))) for p in ("P1", "P6")]
     return spark.createDataFrame(flags, "pattern string, matched boolean")
@@ -250,19 +295,9 @@ def gsim_match_flag(spark, d):
 # --- synchronisation and its measures -----------------------------------------------------------------------------------------------
 
 
-def _local_min(layout):
-    """(pid, vid, master_pid, value): after local components, the label of each boundary replica that is not its own id."""
-    local = layout.edges.groupBy("pid").cogroup(layout.replicas.select("pid", "vid").repartitionById(layout.n, F.col("pid")).groupBy("pid")).applyInArrow(_components_of_part, "pid int, vid long, comp long")
-    return local.join(layout.replicas.where("frontier").select("pid", "vid", "master_pid"), ["pid", "vid"]).where("comp <> vid").withColumnRenamed("comp", "value")
-
-
-def _components_of_part(key, edges, rows):
-    import numpy as np
-    import pyarrow as pa
-
-    vids = np.sort(rows.column("vid").to_numpy())
-    comp = vids[R.local_labels(len(vids), np.searchsorted(vids, edges.column("src").to_numpy()), np.searchsorted(vids, edges.column("dst").to_numpy()))]
-    return pa.table({"pid": pa.array([key[0].as_py()] * len(vids), pa.int32()), "vid": vids, "comp": comp})
+def _first_round(layout):
+    """(pid, vid, master_pid, value): what the parts send after local components, the label of each boundary replica that is not its own id."""
+    return run(layout, R.Components(), rounds=1).out.where("sent")
 
 
 _VCOPIES = ", c AS (SELECT vid FROM r GROUP BY vid HAVING count(*) > 1), m AS (" + P.MASTERS_SQL + ")"
@@ -279,7 +314,7 @@ def _part_components(cut):
 @query("fold_min", _part_components("ldch") + "SELECT vid, min(value) AS folded FROM o GROUP BY vid")
 def fold_min(spark, d):
     """Masters take the least of their own and their mirrors' labels."""
-    return _local_min(_returns_layout(spark, d)).groupBy("vid").agg(F.min("value").alias("folded"))
+    return fold(_first_round(_returns_layout(spark, d)), R.Components())
 
 
 def _returns_layout(spark, d, cut="ldch"):
@@ -290,42 +325,34 @@ def _returns_layout(spark, d, cut="ldch"):
     SELECT r.pid, f.vid, f.folded FROM f JOIN r USING (vid) LEFT JOIN o ON o.vid = f.vid AND o.pid = r.pid WHERE o.value IS NULL OR o.value <> f.folded""")
 def spread_pairs(spark, d):
     """Every replica that does not hold the folded value yet is told."""
-    layout = _returns_layout(spark, d)
-    out = _local_min(layout)
-    folded = out.groupBy("vid").agg(F.min("value").alias("folded"))
-    told = folded.join(layout.replicas.select("pid", "vid"), "vid").join(out.select("pid", "vid", "value"), ["pid", "vid"], "left")
-    return told.where("value is null or value <> folded").select("pid", "vid", "folded")
+    layout, program = _returns_layout(spark, d), R.Components()
+    out = _first_round(layout)
+    own = out.select("pid", "vid", "value")
+    return spread(fold(out, program), layout, program).join(own, ["pid", "vid", "value"], "left_anti").select("pid", "vid", F.col("value").alias("folded"))
 
 
 @query("pair_matrix", _part_components("ldch") + "SELECT pid AS from_pid, master_pid AS to_pid, CAST(count(*) AS BIGINT) AS pairs FROM o WHERE pid <> master_pid GROUP BY ALL")
 def pair_matrix(spark, d):
     """Pairs of round 0 by sender and receiver: each row is one batch between two parts."""
-    out = _local_min(_returns_layout(spark, d)).where("pid <> master_pid")
+    out = _first_round(_returns_layout(spark, d)).where("pid <> master_pid")
     return out.groupBy(F.col("pid").alias("from_pid"), F.col("master_pid").alias("to_pid")).agg(F.count("*").alias("pairs"))
 
 
 for _cut in ("ueh", "ldch"):
     query(f"pairs_round0_cc_{_cut}", _part_components(_cut) + "SELECT CAST(count(*) FILTER (pid <> master_pid) AS BIGINT) AS pairs_up FROM o")(
-        lambda spark, d, c=_cut: _local_min(_returns_layout(spark, d, c)).agg(F.count_if(F.col("pid") != F.col("master_pid")).alias("pairs_up")))
+        lambda spark, d, c=_cut: spark.createDataFrame([(run(_returns_layout(spark, d, c), R.Components(), rounds=1).ledger[0]["pairs_up"],)], "pairs_up long"))
 
 
 @query("fold_sum", with_cut("ldch", "commerce") + "SELECT dst AS vid, CAST(sum(w) AS BIGINT) AS folded FROM a GROUP BY dst")
 def fold_sum(spark, d):
-    """Partial sums per part, added at the masters."""
-    a = P.CUTS["ldch"].assign(build(spark, d, "commerce").edges, N)
-    return a.groupBy("pid", "dst").agg(F.sum("w").alias("part")).groupBy(F.col("dst").alias("vid")).agg(F.sum("part").alias("folded"))
+    """Partial sums per part, added at the masters and told to every replica."""
+    return R.inflow(_layout(spark, d, "commerce")).withColumnRenamed("total", "folded")
 
 
 @query("fold_map", with_cut("ldch", "copurchase") + "SELECT a.src AS vid, v.label, CAST(count(*) AS BIGINT) AS n FROM a JOIN v ON v.vid = a.dst GROUP BY ALL")
 def fold_map(spark, d):
-    """Successor counts by label as maps per part, merged key by key at the masters and exploded."""
-    g = build(spark, d, "copurchase")
-    a = P.CUTS["ldch"].assign(g.edges, N).join(g.vertices.withColumnRenamed("vid", "dst"), "dst")
-    maps = a.groupBy("pid", "src", "label").agg(F.count("*").alias("n")).groupBy("pid", "src").agg(F.map_from_entries(F.collect_list(F.struct("label", "n"))).alias("m"))
-    merged = maps.groupBy("src").agg(F.collect_list("m").alias("ms"))
-    add = lambda x, y: F.map_zip_with(x, y, lambda k, p, q: F.coalesce(p, F.lit(0)) + F.coalesce(q, F.lit(0)))
-    whole = merged.select(F.col("src").alias("vid"), F.aggregate(F.slice("ms", 2, N), F.col("ms")[0], add).alias("m"))
-    return whole.select("vid", F.explode("m").alias("label", "n"))
+    """Successor counts by label: a vector per part, added entry by entry at the masters."""
+    return R.successor_labels(_layout(spark, d, "copurchase"))
 
 
 _GHOST = f"""WITH {ctes('returns')}, x AS (SELECT DISTINCT vid, CAST(hash AS INT) AS part FROM (SELECT vid, {P.hash32_sql('vid')} % {N} AS hash FROM v)),
@@ -358,27 +385,49 @@ def assign_multilevel_metrics(spark, d):
     return sizes.join(F.broadcast(cut_share(placed))).join(F.broadcast(hashed)).select((F.col("imbalance") <= 1.3).alias("balanced"), (F.col("share") < F.col("by_hash")).alias("cuts_less_than_hash"))
 
 
-# --- the programming surface as joins ------------------------------------------------------------------------------------------------
+# --- the programming surface over resident parts -----------------------------------------------------------------------------------
 
 
 @query("api_children", with_cut(view="returns") + "SELECT pid, src AS vid, CAST(count(*) AS BIGINT) AS children FROM a GROUP BY ALL")
 def api_children(spark, d):
-    return P.CUTS["ldch"].assign(build(spark, d, "returns").edges, N).groupBy("pid", F.col("src").alias("vid")).agg(F.count("*").alias("children"))
+    def count(part):
+        n = np.diff(part.out_ptr)
+        return {"pid": np.full((n > 0).sum(), part.pid, np.int32), "vid": part.vids[n > 0], "children": n[n > 0]}
+
+    return each_part(_returns_layout(spark, d), count, "pid int, vid long, children long")
 
 
 @query("api_parents", with_cut(view="returns") + "SELECT pid, dst AS vid, CAST(count(*) AS BIGINT) AS parents FROM a GROUP BY ALL")
 def api_parents(spark, d):
-    return P.CUTS["ldch"].assign(build(spark, d, "returns").edges, N).groupBy("pid", F.col("dst").alias("vid")).agg(F.count("*").alias("parents"))
+    def count(part):
+        n = np.diff(part.in_order[1])
+        return {"pid": np.full((n > 0).sum(), part.pid, np.int32), "vid": part.vids[n > 0], "parents": n[n > 0]}
+
+    return each_part(_returns_layout(spark, d), count, "pid int, vid long, parents long")
+
+
+@query("api_degree", f"WITH {ctes('returns')} SELECT vid, CAST(sum(o) AS BIGINT) AS d_out, CAST(sum(i) AS BIGINT) AS d_in FROM (SELECT src AS vid, 1 AS o, 0 AS i FROM e UNION ALL SELECT dst, 0, 1 FROM e) GROUP BY vid")
+def api_degree(spark, d):
+    """Every replica knows its vertex's whole degree; masters report it."""
+    held = lambda part: {"vid": part.vids[part.owned], "d_out": part.d_out[part.owned], "d_in": part.d_in[part.owned]}
+    return each_part(_returns_layout(spark, d), held, "vid long, d_out long, d_in long")
 
 
 @query("api_edge_lookup", with_cut(view="returns") + "SELECT pid, src, dst, w FROM a WHERE w >= 90")
 def api_edge_lookup(spark, d):
-    return P.CUTS["ldch"].assign(build(spark, d, "returns").edges, N).where("w >= 90").select("pid", "src", "dst", "w")
+    """The weight of an edge by binary search among its source's targets."""
+
+    def look(part):
+        heavy = [(i, j) for i, j, w in zip(part.src.tolist(), part.dst.tolist(), part.w.tolist(), strict=True) if w >= 90]
+        return {"pid": np.full(len(heavy), part.pid, np.int32), "src": part.vids[[i for i, _ in heavy]], "dst": part.vids[[j for _, j in heavy]], "w": np.array([part.edge(i, j) for i, j in heavy], np.int64)}
+
+    return each_part(_returns_layout(spark, d), look, "pid int, src long, dst long, w long")
 
 
 @query("api_frontier", with_cut(view="returns", more=", c AS (SELECT vid FROM r GROUP BY vid HAVING count(*) > 1)") + "SELECT pid, CAST(count(*) AS BIGINT) AS frontier FROM r JOIN c USING (vid) GROUP BY pid")
 def api_frontier(spark, d):
-    return P.mark_frontier(P.replicas_of(P.CUTS["ldch"].assign(build(spark, d, "returns").edges, N))).where("is_frontier").groupBy("pid").agg(F.count("*").alias("frontier"))
+    counts = lambda part: {"pid": np.array([part.pid], np.int32), "frontier": np.array([part.frontier.sum()])}
+    return each_part(_returns_layout(spark, d), counts, "pid int, frontier long").where("frontier > 0")
 
 
 _FIXTURE = [(r, p, 10.0 * (p + 1) + r, 5.0, 100 * (r + 1) * (p + 1), 3 * p) for r in range(4) for p in range(3)]
@@ -390,3 +439,12 @@ def breakdown_stats(spark, d):
     from hubsplit.plans.ledger import breakdown
 
     return breakdown(spark.createDataFrame(_FIXTURE, "round long, pid int, compute_ms double, network_ms double, edges long, pairs long"))
+
+
+@query("breakdown_cc_near_copy")
+def breakdown_cc_near_copy(spark, d):
+    """The same from a run's own ledger: a row per round."""
+    from hubsplit.plans.ledger import breakdown, ledger_rows
+
+    r = R.connected_components(_layout(spark, d, "near_copy"))
+    return breakdown(spark.createDataFrame(ledger_rows(r.ledger), "round long, pid int, compute_ms double, network_ms double, edges long, pairs long"))

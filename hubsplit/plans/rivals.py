@@ -41,14 +41,14 @@ def _combine(messages: DataFrame, gas: bool, how) -> DataFrame:
     return messages.groupBy("dst").agg(how("m").alias("m"))
 
 
-def min_propagation(graph: Graph, start: DataFrame, step, symmetric: bool, cut: P.VertexCut | None = None, n: int = 4, max_rounds: int = 2000) -> Rounds:
+def min_propagation(graph: Graph, start: DataFrame, step, symmetric: bool, cut: P.VertexCut | None = None, n: int = 4, max_rounds: int | None = None) -> Rounds:
     """Values (vid, val) that only fall: each round the vertices that fell send ``step`` of their value along their arcs."""
     began = time.time()
     arcs = _arcs(graph, cut, n, symmetric)
     now = staged(start.select("vid", F.col("val").cast("long").alias("val"), F.lit(True).alias("fell")), "values")
     rounds = messages = 0
     while True:
-        if rounds >= max_rounds:
+        if max_rounds is not None and rounds >= max_rounds:
             raise RuntimeError(f"not settled after {max_rounds} rounds")
         sent = now.where("fell").join(arcs, now["vid"] == arcs["src"]).select("pid", "dst", step(F.col("val"), F.col("w")).alias("m"))
         best = _combine(sent, cut is not None, F.min)
@@ -81,20 +81,28 @@ def sssp(graph: Graph, source: int, weighted: bool = True, cut: P.VertexCut | No
     return r
 
 
-def pagerank_sync(graph: Graph, rounds: int, damping: float = 0.85, cut: P.VertexCut | None = None, n: int = 4) -> Rounds:
-    """The equation, round by round; weight that reaches a vertex without out-edges is dropped."""
+def pagerank_sync(graph: Graph, rounds: int | None, damping: float = 0.85, cut: P.VertexCut | None = None, n: int = 4, until: float = 1e-6) -> Rounds:
+    """The equation, round by round; weight that reaches a vertex without out-edges is dropped. Without ``rounds``, until the ranks
+    are within ``until`` of their limit in sum."""
     began = time.time()
     arcs = _arcs(graph, cut, n, False)
     out = arcs.groupBy("src").agg(F.count("*").alias("d"))
     arcs = staged(arcs.join(out, "src"), "arcs")
     vertices = staged(graph.vertices.select("vid").distinct(), "vertices")
     count = vertices.count()
-    now = vertices.select("vid", F.lit(1.0 / count).alias("rank"))
-    for _ in range(rounds):
+    now = vertices.select("vid", F.lit(1.0 / count).alias("rank"), F.lit(0.0).alias("moved"))
+    done = 0
+    while done != rounds:
         sent = now.join(arcs, now["vid"] == arcs["src"]).select("pid", "dst", (F.col("rank") / F.col("d")).alias("m"))
         got = _combine(sent, cut is not None, F.sum)
-        now = staged(vertices.join(got, vertices["vid"] == got["dst"], "left").select("vid", (F.lit((1 - damping) / count) + F.lit(damping) * F.coalesce("m", F.lit(0.0))).alias("rank")), "ranks")
-    return Rounds(now, rounds, rounds * arcs.count(), time.time() - began)
+        rank = F.lit((1 - damping) / count) + F.lit(damping) * F.coalesce("m", F.lit(0.0))
+        before, now = now, staged(now.join(got, now["vid"] == got["dst"], "left").select("vid", rank.alias("rank"), F.abs(rank - F.col("rank")).alias("moved")), "ranks")
+        if staged_path(before):
+            drop_path(now.sparkSession, staged_path(before))
+        done += 1
+        if rounds is None and (now.agg(F.sum("moved")).first()[0] or 0.0) <= until * (1 - damping):
+            break
+    return Rounds(now.select("vid", "rank"), done, done * arcs.count(), time.time() - began)
 
 
 def pagerank_fixed(graph: Graph, rounds: int, scale: int = 10**12) -> DataFrame:
@@ -113,7 +121,7 @@ def pagerank_fixed(graph: Graph, rounds: int, scale: int = 10**12) -> DataFrame:
 # --- simulation by counters and decrements -----------------------------------------------------------------------------------------
 
 
-def gsim(graph: Graph, pattern: Pattern, cut: P.VertexCut | None = None, n: int = 4, max_rounds: int = 1000) -> Rounds:
+def gsim(graph: Graph, pattern: Pattern, cut: P.VertexCut | None = None, n: int = 4) -> Rounds:
     """(u, vid). Each vertex counts its matching successors per pattern node; a lost match is a decrement to its predecessors."""
     began = time.time()
     names, q = pattern.names, len(pattern.names)
@@ -150,7 +158,7 @@ def gsim(graph: Graph, pattern: Pattern, cut: P.VertexCut | None = None, n: int
         gone = now.where("lost <> 0").count()
         rounds += 1
         messages += gone
-        if not gone or rounds >= max_rounds:
+        if not gone:
             break
         less = along(now.where("lost <> 0").select("vid", F.col("lost").alias("bits")))
         now = now.join(less, now["vid"] == less["src"], "left").select("vid", "mask", F.when(F.col("add").isNull(), F.col("z")).otherwise(F.zip_with("z", "add", lambda x, y: x - y)).alias("z"))
@@ -171,12 +179,12 @@ def successor_counts(graph: Graph, cand: DataFrame) -> DataFrame:
     return graph.edges.join(cand, graph.edges["dst"] == cand["vid"]).groupBy("src", "u").agg(F.count("*").alias("n"))
 
 
-def simulate_sql(graph: Graph, pattern: Pattern, max_rounds: int = 200) -> DataFrame:
+def simulate_sql(graph: Graph, pattern: Pattern) -> DataFrame:
     """Pruning by semi-joins to the fixpoint: a match stays while each wanted successor has a match."""
     edges = staged(graph.edges.select("src", "dst"), "arcs")
     now = staged(candidates(graph, pattern), "matches")
     before = now.count()
-    for _ in range(max_rounds):
+    while True:
         kept = now
         for a, b in pattern.arcs:
             fine = edges.join(now.where(F.col("u") == b).select(F.col("vid").alias("dst")), "dst").select(F.col("src").alias("vid")).distinct()
@@ -242,64 +250,90 @@ def assign_blocks(blocks: DataFrame, workers: int, how: str = "hash") -> DataFra
     return blocks.join(dealt, "block").select("vid", "part")
 
 
+def block_layout(graph: Graph, workers: int, per_worker: int = 16):
+    """Blocks as units of their own: a program runs inside each block, and blocks of one worker talk by messages like any others.
+
+    The largest ``workers * per_worker`` blocks stand alone; what is left of the small ones is one block a worker.
+    """
+    from hubsplit.plans.runtime import make_layout
+
+    most = workers * per_worker
+    rate = min(0.02, most / max(1, graph.vertices.select("vid").distinct().count()))
+    blocks = partition_bfs(graph, rate)
+    largest = blocks.groupBy("block").agg(F.count("*").alias("size")).orderBy(F.desc("size"), "block").limit(most).collect()
+    named = graph.vertices.sparkSession.createDataFrame([(r["block"], k) for k, r in enumerate(largest)], "block long, nth int")  # at most `most` rows
+    placed = blocks.join(F.broadcast(named), "block", "left").select("vid", F.coalesce("nth", (len(largest) + hash32("block") % workers).cast("int")).alias("part"))
+    return make_layout(graph, None, len(largest) + workers, "edge_cut", placed)
+
+
 # --- multilevel edge-cut -------------------------------------------------------------------------------------------------------------
 
 
-def multilevel_cut(graph: Graph, n: int, levels: int = 6, cap_edges: int = 50_000_000, coarse_limit: int = 100_000, refine: int = 2) -> DataFrame:
+def multilevel_cut(graph: Graph, n: int, levels: int = 40, cap_edges: int = 50_000_000, coarse_limit: int = 100_000, arc_limit: int = 2_000_000, refine: int = 2, balance_edges: bool = True) -> DataFrame:
     """(vid, part): mutual heaviest neighbours are merged level by level, the coarsest graph is split, and boundary vertices move.
 
-    Refuses graphs above ``cap_edges``, whose callers fall back to vertex_hash; only a coarsest graph under ``coarse_limit``
-    vertices is split on the driver, and a larger one is dealt by hash.
+    Parts are balanced by vertices and, with ``balance_edges``, by edge ends too. Graphs above ``cap_edges``, and those that will not
+    shrink to ``coarse_limit`` vertices and ``arc_limit`` arcs, are refused with an error; only what is within these limits reaches the driver.
     """
     arcs = staged(graph.symmetric().where("src <> dst").select("src", "dst", F.lit(1).cast("long").alias("w")), "arcs")
     if arcs.count() > 2 * cap_edges:
         raise ValueError("too many edges for the multilevel partitioner")
     names = staged(graph.vertices.select("vid", F.col("vid").alias("coarse")).distinct(), "names")
     size = names.count()
+    limit, left = max(2, size // (4 * n)), size
     for _ in range(levels):
         weight = names.groupBy(F.col("coarse").alias("c")).agg(F.count("*").alias("size"))
-        limit = max(2, size // (4 * n))
         heavy = arcs.join(weight.select(F.col("c").alias("src"), F.col("size").alias("s1")), "src").join(weight.select(F.col("c").alias("dst"), F.col("size").alias("s2")), "dst").where(F.col("s1") + F.col("s2") <= limit)
         best = heavy.groupBy("src").agg(F.max_by("dst", F.struct(F.col("w") / F.col("s2"), hash32("dst"))).alias("dst"))
         mutual = best.join(best.select(F.col("dst").alias("src"), F.col("src").alias("dst")), ["src", "dst"]).where("src > dst")
         moved = staged(mutual.select(F.col("src").alias("coarse"), F.col("dst").alias("into")), "merges")
-        if not moved.head(1):
+        merged = moved.count()
+        if merged * 50 < left and left <= coarse_limit or not merged:
             break
+        left -= merged
         names = staged(names.join(moved, "coarse", "left").select("vid", F.coalesce("into", "coarse").alias("coarse")), "names")
         up = lambda df, c: df.join(moved.withColumnRenamed("coarse", c), c, "left").withColumn(c, F.coalesce("into", c)).drop("into")
         arcs = staged(up(up(arcs, "src"), "dst").where("src <> dst").groupBy("src", "dst").agg(F.sum("w").alias("w")), "arcs")
     weight = staged(names.groupBy("coarse").agg(F.count("*").alias("size")), "coarse")
-    if weight.count() > coarse_limit:
-        return names.select("vid", (hash32("coarse") % n).cast("int").alias("part"))
-    placed = _split(weight.collect(), arcs.collect(), n, refine)  # at most coarse_limit vertices
+    if weight.count() > coarse_limit or arcs.count() > arc_limit:
+        raise ValueError("the graph will not shrink to a size that one machine can split")
+    placed = _split(weight.collect(), arcs.collect(), n, refine, balance_edges)
     table = names.sparkSession.createDataFrame(placed, "coarse long, part int")
     return names.join(table, "coarse").select("vid", "part")
 
 
-def _split(vertices, arcs, n: int, refine: int) -> list[tuple[int, int]]:
+def _split(vertices, arcs, n: int, refine: int, balance_edges: bool = True) -> list[tuple[int, int]]:
     size = {r["coarse"]: r["size"] for r in vertices}
     near: dict[int, list[tuple[int, int]]] = {v: [] for v in size}
     for r in arcs:
         near[r["src"]].append((r["dst"], r["w"]))
-    cap = 1.05 * sum(size.values()) / n
+    ends = {v: sum(w for _, w in near[v]) if balance_edges else 0 for v in size}
+    cap, most_ends = 1.05 * sum(size.values()) / n, 1.1 * sum(ends.values()) / n
     part: dict[int, int] = {}
-    load = [0] * n
+    load, held = [0] * n, [0] * n
+    fits = lambda v, p: load[p] + size[v] <= cap and held[p] + ends[v] <= most_ends
+
+    def move(v: int, to: int) -> None:
+        if v in part:
+            load[part[v]] -= size[v]
+            held[part[v]] -= ends[v]
+        part[v] = to
+        load[to] += size[v]
+        held[to] += ends[v]
+
     for v in sorted(size, key=lambda x: (-size[x], x)):
         pull = [0.0] * n
         for x, w in near[v]:
             if x in part:
                 pull[part[x]] += w
-        fits = [p for p in range(n) if load[p] + size[v] <= cap] or [min(range(n), key=lambda p: load[p])]
-        part[v] = max(fits, key=lambda p: (pull[p], -load[p], -p))
-        load[part[v]] += size[v]
+        open_ = [p for p in range(n) if fits(v, p)] or [min(range(n), key=lambda p: load[p])]
+        move(v, max(open_, key=lambda p: (pull[p], -load[p], -p)))
     for _ in range(refine):
         for v in sorted(size):
             pull = [0.0] * n
             for x, w in near[v]:
                 pull[part[x]] += w
             best = max(range(n), key=lambda p: (pull[p], -p))
-            if pull[best] > pull[part[v]] and load[best] + size[v] <= cap:
-                load[part[v]] -= size[v]
-                load[best] += size[v]
-                part[v] = best
+            if pull[best] > pull[part[v]] and fits(v, best):
+                move(v, best)
     return [(int(v), int(p)) for v, p in part.items()]

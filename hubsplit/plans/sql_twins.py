@@ -30,6 +30,14 @@ def pagerank_sql(view: str, rounds: int, damping: float = 0.85) -> str:
     return text + " "
 
 
+def pagerank_limit_sql(view: str, rounds: int, damping: float = 0.85) -> str:
+    """WITH RECURSIVE ... pr(vid, rank): the same after many rounds."""
+    return f"""WITH RECURSIVE {ctes(view)}, vv AS MATERIALIZED (SELECT DISTINCT vid FROM v), nn AS MATERIALIZED (SELECT CAST(count(*) AS DOUBLE) AS n FROM vv), od AS MATERIALIZED (SELECT src, count(*) AS d FROM e GROUP BY src),
+        a AS MATERIALIZED (SELECT e.src, e.dst, {damping}e0 / d AS share FROM e JOIN od USING (src)), pk AS (SELECT 0 AS k, vid, 1 / n AS rank FROM vv, nn UNION ALL
+        SELECT k + 1, vv.vid, (1 - {damping}e0) / n + coalesce(s, 0) FROM nn, (SELECT DISTINCT k FROM pk) kk, vv LEFT JOIN (SELECT a.dst, sum(pk.rank * a.share) AS s FROM pk JOIN a ON a.src = pk.vid GROUP BY a.dst) t ON t.dst = vv.vid
+        WHERE k < {rounds}), pr AS (SELECT vid, rank FROM pk WHERE k = {rounds}) """
+
+
 def fixedpoint_sql(view: str, rounds: int, scale: int = 10**12) -> str:
     """The same in integers: rank in units of 1 / scale, damping 85 %, whole divisions."""
     text = f"WITH {ctes(view)}, vv AS MATERIALIZED (SELECT DISTINCT vid FROM v), nn AS MATERIALIZED (SELECT count(*) AS n FROM vv), od AS MATERIALIZED (SELECT src, count(*) AS d FROM e GROUP BY src), p0 AS MATERIALIZED (SELECT vid, CAST({scale} // n AS BIGINT) AS rank FROM vv, nn)"

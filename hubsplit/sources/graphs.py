@@ -107,14 +107,14 @@ def _road(spark, d):
 
 
 def _copurchase(spark, d):
-    lines = table(spark, d, "lineitem", "l_orderkey", "l_partkey", "l_suppkey", "l_linenumber", "l_quantity").where("l_quantity >= 32")
+    lines = table(spark, d, "lineitem", "l_orderkey", "l_partkey", "l_suppkey", "l_linenumber")
     w = Window.partitionBy("l_orderkey").orderBy("l_linenumber", "l_partkey", "l_suppkey")
     e = lines.select(F.col("l_partkey").alias("src"), F.lead("l_partkey").over(w).alias("dst")).where("dst is not null and src <> dst").distinct()
     return Graph(e.select("src", "dst", F.lit(1).cast("long").alias("w")), table(spark, d, "part", "p_partkey", "p_type").select(F.col("p_partkey").alias("vid"), F.col("p_type").alias("label")))
 
 
 def _returns(spark, d):
-    lines = table(spark, d, "lineitem", "l_orderkey", "l_partkey", "l_quantity", "l_returnflag").where("l_returnflag = 'R' and l_quantity >= 45")
+    lines = table(spark, d, "lineitem", "l_orderkey", "l_partkey", "l_quantity", "l_returnflag").where("l_returnflag = 'R'")
     e = lines.groupBy((2 * F.col("l_orderkey")).alias("src"), (2 * F.col("l_partkey") + 1).alias("dst")).agg(F.sum(F.col("l_quantity").cast("long")).alias("w"))
     return Graph(e, _ends(e, "order", "part"), directed=False)
 
@@ -130,15 +130,11 @@ def _transition(spark, d):
     return Graph(e, _ends(e, "user", "user"))
 
 
-KRON_SCALE = {"sf0.001": 10, "sf0.01": 11, "sf0.1": 15}
+KRON_SCALE = 11  # of the registered view; ``kron_graph`` takes any
 # The public Graph500 initiator, as running sums of the first three quadrants, and edges per vertex.
 KRON_CUTS, KRON_FACTOR = (0.57, 0.76, 0.95), 16
 
 
-def kron_scale(sf_dir: str) -> int:
-    return KRON_SCALE.get(sf_dir.rstrip("/").rsplit("/", 1)[-1], 12)
-
-
 def kron_edges(spark: SparkSession, scale: int, factor: int = KRON_FACTOR, cuts: tuple[float, float, float] = KRON_CUTS) -> DataFrame:
     """Kronecker arcs by hashing (edge, bit): no state, any order, any number of tasks. Loops and repeats are dropped."""
     a, b, c = cuts
@@ -151,12 +147,16 @@ def kron_edges(spark: SparkSession, scale: int, factor: int = KRON_FACTOR, cuts:
     return e.select("src", "dst", (1 + hash32("src", "dst") % 10).alias("w"))
 
 
-def _kron(spark, d):
-    e = kron_edges(spark, kron_scale(d))
+def kron_graph(spark: SparkSession, scale: int = KRON_SCALE) -> Graph:
+    e = kron_edges(spark, scale)
     ends = e.select(F.col("src").alias("vid")).union(e.select("dst")).distinct()
     return Graph(e, ends.select("vid", F.concat(F.lit("K"), F.bit_count("vid").cast("string")).alias("label")))
 
 
+def _kron(spark, d):
+    return kron_graph(spark)
+
+
 BUILDERS = {
     "commerce": _commerce, "docword": _docword, "near_copy": _near_copy, "pagelink": _pagelink, "pagelink_sym": _pagelink_sym, "road": _road, "userchain": _userchain,
     "copurchase": _copurchase, "returns": _returns, "transition": _transition, "kron": _kron,
@@ -189,9 +189,9 @@ EDGE_SQL = {
     "userchain": _chain_sql("user_id"),
     "road": f"SELECT DISTINCT * FROM ({_chain_sql('user_id')} UNION ALL {_chain_sql('event_type, k % 10')})",
     "copurchase": """SELECT DISTINCT src, dst, CAST(1 AS BIGINT) AS w FROM (SELECT l_partkey AS src, lead(l_partkey) OVER (PARTITION BY l_orderkey ORDER BY l_linenumber, l_partkey, l_suppkey) AS dst
-        FROM lineitem WHERE l_quantity >= 32) WHERE dst IS NOT NULL AND src <> dst""",
+        FROM lineitem) WHERE dst IS NOT NULL AND src <> dst""",
     "returns": """SELECT 2 * l_orderkey AS src, 2 * l_partkey + 1 AS dst, CAST(sum(CAST(l_quantity AS BIGINT)) AS BIGINT) AS w FROM lineitem
-        WHERE l_returnflag = 'R' AND l_quantity >= 45 GROUP BY ALL""",
+        WHERE l_returnflag = 'R' GROUP BY ALL""",
     "transition": """SELECT src, dst, CAST(count(*) AS BIGINT) AS w FROM (SELECT user_id AS src, lead(user_id) OVER (ORDER BY ts, event_id) AS dst FROM events)
         WHERE dst IS NOT NULL AND src <> dst GROUP BY ALL""",
 }
@@ -207,7 +207,7 @@ def kron_sql(scale: int) -> str:
         FROM ({' UNION ALL '.join(bits)}) GROUP BY i) WHERE src <> dst"""
 
 
-EDGE_SQL["kron"] = kron_sql(KRON_SCALE["sf0.01"])
+EDGE_SQL["kron"] = kron_sql(KRON_SCALE)
 
 VERTEX_SQL = {
     "commerce": """SELECT 4 * c_custkey AS vid, c_mktsegment AS label FROM customer UNION ALL SELECT 4 * o_orderkey + 1, o_orderpriority FROM orders

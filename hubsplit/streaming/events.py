@@ -18,11 +18,15 @@ from hubsplit.registry import query
 from hubsplit.shared_dir import fresh_path, staged
 from hubsplit.sources.graphs import build, ctes, table
 
+ROWS_PER_FILE = 100_000
 SCHEMA = "event_id long, ts timestamp, user_id long, event_type string, value double, props string"
 
 
 def replay(spark: SparkSession, d: str, batches: int = 5, late: bool = False) -> DataFrame:
-    """The events as a stream of one file per trigger, in time order; with ``late``, a last file repeats the first hour's events."""
+    """The events as a stream of one slot of time per trigger, in order; with ``late``, a last slot repeats the first hour's events.
+
+    A slot is written by as many tasks as keep files at ``ROWS_PER_FILE`` rows, the same number for every slot.
+    """
     path = fresh_path(spark, "event-files")
     ev = table(spark, d, "events", *[c.split()[0] for c in SCHEMA.split(", ")])
     ends = ev.agg(F.min(F.unix_timestamp("ts")).alias("a"), F.max(F.unix_timestamp("ts")).alias("b")).first()
@@ -30,11 +34,13 @@ def replay(spark: SparkSession, d: str, batches: int = 5, late: bool = False) ->
         ends = {"a": 0, "b": 0}
     width = (ends["b"] - ends["a"]) // batches + 1
     slot = F.floor((F.unix_timestamp("ts") - ends["a"]) / width)
+    sizes = [r["n"] for r in ev.groupBy(slot.alias("slot")).agg(F.count("*").alias("n")).collect()]  # a row per slot
+    files = max(1, min(sizes, default=0) // ROWS_PER_FILE)
     for k in range(batches):  # the source takes files by age: they are written one after another, in time order
-        ev.where(slot == k).coalesce(1).write.parquet(f"{path}/{k}")
+        ev.where(slot == k).repartition(files).write.parquet(f"{path}/{k}")
     if late:
-        ev.where(F.unix_timestamp("ts") < ends["a"] + 3600).coalesce(1).write.parquet(f"{path}/late")
-    return spark.readStream.schema(SCHEMA).option("maxFilesPerTrigger", 1).option("recursiveFileLookup", "true").option("pathGlobFilter", "*.parquet").parquet(path)
+        ev.where(F.unix_timestamp("ts") < ends["a"] + 3600).repartition(files).write.parquet(f"{path}/late")
+    return spark.readStream.schema(SCHEMA).option("maxFilesPerTrigger", files).option("recursiveFileLookup", "true").option("pathGlobFilter", "*.parquet").parquet(path)
 
 
 def settle(df: DataFrame, mode: str = "append") -> DataFrame:

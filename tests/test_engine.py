@@ -2,14 +2,16 @@
 
 import random
 
+import numpy as np
+import pyarrow as pa
 import pytest
 from pyspark.sql import functions as F
 
 from hubsplit import sequential
 from hubsplit.components import star_components
-from hubsplit.plans import ledger, metrics, programs, rivals
+from hubsplit.plans import ledger, metrics, programs, rivals, runtime
 from hubsplit.plans import partition as P
-from hubsplit.plans.runtime import make_layout, run
+from hubsplit.plans.runtime import make_layout, open_layout, run
 from hubsplit.sources.graphs import Graph
 
 
@@ -164,30 +166,84 @@ def test_odd_graphs(spark):
         run(make_layout(chain, P.CUTS["ueh"], 4), programs.ShortestPaths((0,)), max_rounds=1)
 
 
-def test_resume_from_a_round(spark):
+def test_resume_from_a_stored_round(spark):
+    """Another driver opens the layout's folder and a run's manifest, and goes on with the rounds that are left."""
     chain, _ = graph(spark, [(k, k + 1) for k in range(12)])
     layout = make_layout(chain, P.CUTS["ueh"], 4)
-    kept = {}
-
-    def keep(round_, state, inbox):
-        kept[round_] = (state, inbox, round_)
-
+    folder = layout.save()
+    whole = programs.shortest_paths(layout, 0, snapshots="first")
+    assert whole.rounds > 3
+    again = programs.shortest_paths(open_layout(spark, folder), 0, snapshots="first", resume_from=1)
+    assert pairs(again.values, "vid", "dist") == pairs(whole.values, "vid", "dist") == {k: k for k in range(13)}
+    assert [x["pairs_up"] for x in again.ledger] == [x["pairs_up"] for x in whole.ledger] and again.rounds == whole.rounds
+
+
+def same(key: tuple, t: pa.Table) -> pa.Table:
+    return t
+
+
+def test_sleeping_parts_are_neither_read_nor_moved_nor_written(spark):
+    """Only parts that are told something leave a new state, and a round's plan reads inbox and routes alone."""
+    chain, _ = graph(spark, [(k, k + 1) for k in range(40)])
+    where = {(k, k + 1): k // 10 for k in range(40)}
+    layout = make_layout(chain, FixedCut(where), 4)
+    r = programs.shortest_paths(layout, 0)
+    assert [[p[0] for p in x["parts"]] for x in r.ledger] == [[0], [0, 1], [1, 2], [2, 3], [3]] or [x["active"] for x in r.ledger][0] == 1
+    assert all(x["active"] <= 2 for x in r.ledger) and sum(x["edges_visited"] for x in r.ledger) == 40
     program = programs.ShortestPaths((0,))
-    whole = run(layout, program, on_round=keep)
-    assert whole.rounds > 2
-    again = run(layout, program, resume_from=kept[2])
-    state = lambda r: {x["vid"]: x["a"] for x in r.values.collect()}
-    assert state(again) == state(whole) and again.rounds == whole.rounds
+    out = spark.createDataFrame([(0, 10, 1, 5)], "pid int, vid long, master_pid int, value long")
+    told = runtime.spread(runtime.fold(out, program), layout, program)
+    plan = told.repartitionById(4, F.col("pid")).groupBy("pid").applyInArrow(same, told.schema)._jdf.queryExecution().executedPlan().toString()
+    below = plan.split("InMemoryTableScan")[0]
+    assert "InMemoryTableScan" in plan and "FileScan" not in below and below.count("REPARTITION_BY_NUM") == 1
+    assert "ENSURE_REQUIREMENTS" not in plan.split("FlatMapGroupsInArrow")[1].split("REPARTITION_BY_NUM")[0]  # groups use the placement as it is
 
 
-def test_edges_are_not_shuffled_again(spark, mixed):
-    """Once placed and kept, the edges' side of a round has no exchange."""
+def test_routes_stay_where_a_fold_leaves_its_rows(spark, mixed):
+    (g, _), _, _ = mixed
+    layout = make_layout(g, P.CUTS["ldch"], 3)
+    program = programs.Components()
+    out = spark.range(1000).selectExpr("cast(id % 3 AS int) AS pid", "id AS vid", "0 AS master_pid", "id AS value")
+    old = spark.conf.get("spark.sql.autoBroadcastJoinThreshold")
+    spark.conf.set("spark.sql.autoBroadcastJoinThreshold", "-1")
+    try:
+        plan = runtime.spread(runtime.fold(out, program), layout, program)._jdf.queryExecution().executedPlan().toString()
+    finally:
+        spark.conf.set("spark.sql.autoBroadcastJoinThreshold", old)
+    assert plan.split("InMemoryRelation")[0].count("Exchange") == 1  # the fold's own
+
+
+def test_halting_and_waking(spark):
+    """A part halts when nothing is pending and runs again when told; with nothing on its way the run ends."""
+    g, _ = graph(spark, [(0, 1), (1, 2), (2, 3), (3, 4)])
+    where = {(0, 1): 0, (1, 2): 1, (2, 3): 0, (3, 4): 1}
+    r = programs.shortest_paths(make_layout(g, FixedCut(where), 3), 0)
+    ran = [[p[0] for p in x["parts"]] for x in r.ledger]
+    assert 2 not in {p for x in ran for p in x}  # an empty part never wakes
+    assert sum(0 in x for x in ran) >= 2 and sum(1 in x for x in ran) >= 2
+    assert r.ledger[-1]["pairs_up"] == 0
+
+
+def test_programming_surface(spark):
+    g, _ = graph(spark, [(0, 1, 5), (0, 2, 6), (1, 2, 7), (2, 0, 8)])
+
+    def look(part):
+        v = part.vids
+        rows = [(int(v[i]), [int(v[x]) for x in part.children(i)], [int(v[x]) for x in part.parents(i)], part.degree(i)) for i in range(len(v))]
+        i, j = part.index_of(np.array([1, 2]))
+        return {"vid": [r[0] for r in rows], "children": [r[1] for r in rows], "parents": [r[2] for r in rows], "degree": [list(r[3]) for r in rows], "w12": [part.edge(i, j)] * 3, "w21": pa.array([part.edge(j, i)] * 3, pa.int64())}
+
+    rows = runtime.each_part(make_layout(g, P.CUTS["ldch"], 1), look, "vid long, children array<long>, parents array<long>, degree array<long>, w12 long, w21 long").collect()
+    assert sorted(map(tuple, rows)) == [(0, [1, 2], [2], [2, 1], 7, None), (1, [2], [0], [1, 1], 7, None), (2, [0], [0, 1], [1, 2], 7, None)]
+
+
+def test_all_replicas_are_treated_alike(spark, mixed):
+    """After a run every replica holds its master's value: nothing tells a master from a mirror but who folds."""
     (g, _), _, _ = mixed
     layout = make_layout(g, P.CUTS["ldch"], 3)
-    rows = layout.replicas.select("pid", "vid").repartitionById(3, F.col("pid"))
-    plan = layout.edges.groupBy("pid").cogroup(rows.groupBy("pid")).applyInArrow(lambda k, a, b: b, "pid int, vid long")._jdf.queryExecution().executedPlan().toString()
-    edge_side = plan.split("InMemoryTableScan")[0]
-    assert "hashpartitioning" not in edge_side
+    r = run(layout, programs.Components())
+    held = runtime.part_values(layout, programs.Components(), r.states, lambda part, s: {"vid": part.vids, "label": s["low"][s["root"]]}, "vid long, label long")
+    assert held.groupBy("vid").agg(F.countDistinct("label").alias("k")).where("k > 1").count() == 0
 
 
 def test_star_components(spark):
