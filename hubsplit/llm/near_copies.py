@@ -237,6 +237,7 @@ def near_copies(docs: DataFrame) -> tuple[DataFrame, DataFrame]:
     roots = staged(star_components(near.union(rest).toDF("src", "dst")).toDF("_hs_class", "root"), "roots")
     for done in (shared, near, rest):
         drop_path(docs.sparkSession, staged_path(done))
-    ids = classed.select("doc_id", "_hs_class").distinct().join(roots, "_hs_class", "left").withColumn("root", F.coalesce("root", "_hs_class"))
-    names = ids.groupBy("root").agg(F.min("doc_id").alias("first"))
+    # Staged, so that the last join is dealt by itself: a group of thousands of copies is split among tasks like any skewed key.
+    ids = staged(classed.select("doc_id", "_hs_class").distinct().join(roots, "_hs_class", "left").withColumn("root", F.coalesce("root", "_hs_class")), "members")
+    names = staged(ids.groupBy("root").agg(F.min("doc_id").alias("first"), F.count("*").alias("many")).where("many > 1").select("root", "first"), "firsts")
     return classed, ids.join(names, "root").where(F.col("doc_id") != F.col("first")).select("doc_id", "_hs_class")

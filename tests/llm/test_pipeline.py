@@ -68,3 +68,82 @@ def test_near_dedup_of_rows_without_or_with_the_same_doc_id(spark, no_docs):
     docs = spark.createDataFrame([(1, a), (2, a), (2, b), (None, b)], "doc_id long, text string")
     assert sorted(map(str, stages.simhash_dedup(spark, docs, "").collect())) == sorted(map(str, docs.where("doc_id is null or doc_id = 1 or text = '%s'" % b).collect()))
     assert stages.simhash_dedup(spark, no_docs, "").count() == 0
+
+
+def test_mixing_takes_the_same_of_tied_rows_on_every_run(spark):
+    docs = spark.createDataFrame([(1, f"tie {k} {'x ' * 9}", "en", "a" if k % 2 else "b", k) for k in range(90)], "doc_id long, text string, lang string, source string, n_chars long")
+    runs = [sorted(map(tuple, stages.mixing(spark, docs.repartition(k), "").collect())) for k in (1, 3, 7)]
+    assert runs[0] == runs[1] == runs[2] != []
+
+
+def test_near_dedup_goes_through_the_simhash_operator(spark, monkeypatch):
+    """Pairs that fingerprints reach are linked by the tiled comparison, before any prefix is looked at."""
+    asked = []
+    whole = simhash.link_tiles
+    monkeypatch.setattr(simhash, "link_tiles", lambda *a: asked.append(1) or whole(*a))
+    text = " ".join(f"w{k}" for k in range(300))
+    docs = spark.createDataFrame([(1, text), (2, text + " end"), (3, "other words that nobody shares with them at all")], "doc_id long, text string")
+    classed = near_copies.with_classes(docs).cache()
+    assert near_copies.by_fingerprint(classed).count() == 1 and asked
+    assert sorted(r["doc_id"] for r in stages.simhash_dedup(spark, docs, "").collect()) == [1, 3]
+
+
+def test_pipeline_against_stages_by_hand(spark, saved):
+    """Every row of a run, from brute-force versions of the five stages' decisions."""
+    import re
+
+    from hubsplit.llm import mixing, packing, quality
+    from tests.llm.test_dedup import slow_removal
+    from tests.llm.test_tokens import check_packing, reference
+
+    rng = random.Random(12)
+    word = lambda: "".join(rng.choice("abcdefghijk") for _ in range(rng.randrange(3, 9)))
+    passage = " ".join(word() for _ in range(20))
+    rows = []
+    for k in range(40):
+        text = " ".join(word() for _ in range(rng.randrange(10, 90)))
+        text = f"{text} {passage} {word()}" if k % 6 == 0 else text
+        rows.append((k, text, "en", "ab"[k % 2], len(text)))
+        if k % 7 == 0:
+            rows.append((100 + k, text + (" tail" if k % 2 else ""), "en", "a", 0))
+    docs = spark.createDataFrame(rows, "doc_id long, text string, lang string, source string, n_chars long")
+    d = saved(documents=docs, labels=labels(spark))
+    out = corpus_pipeline.run(spark, d).collect()
+    kept = [r for r in rows if len(r[1].split()) >= quality.MIN_WORDS]
+    sets = [shingle_set(r[1]) for r in kept]
+    links = [(i, j) for i in range(len(kept)) for j in range(i) if 9 * len(sets[i] & sets[j]) >= 4 * (len(sets[i]) + len(sets[j]))]
+    label = components(len(kept), links)
+    least = {}
+    for r, c in zip(kept, label, strict=True):
+        least[c] = min(least.get(c, r[0]), r[0])
+    kept = [r for r, c in zip(kept, label, strict=True) if r[0] == least[c]]
+    owner, cut = {}, []
+    for r in kept:
+        b = r[1].encode()
+        for i in range(len(b) - 49):
+            owner[b[i : i + 50]] = min(owner.get(b[i : i + 50], r[0]), r[0])
+    for r in kept:
+        b = r[1].encode()
+        gone = [False] * len(b)
+        for i in range(len(b) - 49):
+            if owner[b[i : i + 50]] < r[0]:
+                gone[i : i + 50] = [True] * 50
+        cut.append((r[0], bytes(c for c, g in zip(b, gone, strict=True) if not g).decode(), r[3]))
+    assert sum(removed for _, _, removed, _, _ in slow_removal([(r[0], r[1]) for r in kept])) > 0
+    size = {i: len(re.findall(mixing.WORD, t)) for i, t, _ in cut}
+    words, total = {}, sum(size.values())
+    for i, _, s in cut:
+        words[s] = words.get(s, 0) + size[i]
+    target = {s: min(3 * words[s], total * w / 3) for s, w in (("a", 1), ("b", 2))}
+    copies = {}
+    for r in out:
+        if r["piece"] == 0:
+            copies[r["doc_id"]] = copies.get(r["doc_id"], 0) + 1
+    texts = {i: (t, s) for i, t, s in cut}
+    assert set(copies) <= set(texts) and all(n <= 3 for n in copies.values())
+    for s in words:
+        taken = sum(n * size[i] for i, n in copies.items() if texts[i][1] == s)
+        assert abs(taken - target[s]) <= max(size.values())
+    ids = dict(zip(copies, reference([texts[i][0] for i in copies]), strict=True))
+    assert sum(r["length"] for r in out) == sum(copies[i] * len(ids[i]) // 4 for i in copies)
+    assert check_packing(out, packing.CAPACITY) <= -(-sum(r["length"] for r in out) // packing.CAPACITY) + 1
