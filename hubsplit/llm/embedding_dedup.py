@@ -94,7 +94,7 @@ def celled(classes: DataFrame, axes: dict[int, np.ndarray], delta: float, tile:
     # A label uses as many axes as leave about a tile in a cell, so that small labels are one cell and large ones many.
     sizes = classes.groupBy("label", "dim").agg(F.count("*").alias("n"))
     axes_used = F.least(F.lit(AXES), F.greatest(F.lit(0), F.ceil(F.log(F.col("n") / tile) / F.log(F.lit(4.0))))).cast("int")
-    sizes = sizes.select("label", "dim", axes_used.alias("used"))
+    sizes = staged(sizes.select("label", "dim", axes_used.alias("used")), "label-sizes")  # a row for each label
     cut = F.transform("cell", lambda x, k: F.when(k < F.col("used"), x).otherwise(0))
     return points.join(sizes, ["label", "dim"]).withColumn("cell", cut).drop("used")
 
@@ -161,7 +161,8 @@ def links(points: DataFrame, axes: dict[int, np.ndarray], threshold: float = THR
     pairs = staged(tile_pairs(points, tile).withColumn("pair", F.monotonically_increasing_id()), "tile-pairs")
     sides = pairs.select("label", "dim", F.col("ca").alias("cell"), F.col("i").alias("sub"), "pair", F.when((F.col("ca") == F.col("cb")) & (F.col("i") == F.col("j")), 2).otherwise(0).alias("side")).union(
         pairs.where("ca <> cb or i <> j").select("label", "dim", "cb", "j", "pair", F.lit(1)))
-    cells = points.groupBy("label", "dim", "cell").agg(F.ceil(F.count("*") / tile).alias("subs"))
+    # Staged: a row for each cell, whose size is known when the join is planned.
+    cells = staged(points.groupBy("label", "dim", "cell").agg(F.ceil(F.count("*") / tile).alias("subs")), "cells")
     cut = points.join(cells, ["label", "dim", "cell"]).withColumn("sub", F.pmod(F.xxhash64("class"), F.col("subs")).cast("int"))
     sent = cut.join(sides, ["label", "dim", "cell", "sub"]).select("pair", "side", "class", "many", "embedding")
     dealt = sent.repartition("pair").sortWithinPartitions("pair", "side", "class")
