@@ -79,17 +79,17 @@ def _below(shape: Column, level: int) -> Column:
 def template_tree(shapes: DataFrame) -> DataFrame:
     """Adds ``template`` to a staged table (host, shape, n, m, b): pages, labelled ones and blocked ones of each distinct shape.
 
-    A level for each segment, as long as some node with two pages or more has paths that go on.
+    A level for each segment, as long as some node with two shapes or more has paths that go on; one shape alone has no siblings.
     """
     rows = shapes.withColumn("template", F.lit(""))
     level, node = 0, ["host", "template"]
     while True:
         segment = F.get("shape", F.lit(level))
         below = [F.sum(F.when(_below(F.col("shape"), level) == k, F.col("n")).otherwise(0)).alias(f"c{k}") for k in range(len(_BELOW))]
-        children = rows.where(F.size("shape") > level).groupBy(*node, segment.alias("_segment")).agg(F.sum("n").alias("n"), F.sum("m").alias("m"), F.sum("b").alias("b"), *below)
-        whole = children.groupBy(*node).agg(
-            F.sum("n").alias("all_n"), F.sum("m").alias("all_m"), F.sum("b").alias("all_b"), F.count("*").alias("kinds"), *[F.sum(f"c{k}").alias(f"all_c{k}") for k in range(len(_BELOW))])
-        joined = children.join(whole.where("all_n > 1"), node)
+        children = rows.groupBy(*node, segment.alias("_segment")).agg(F.count("*").alias("shapes"), F.sum("n").alias("n"), F.sum("m").alias("m"), F.sum("b").alias("b"), *below)
+        on = lambda c: F.sum(F.when(F.col("_segment").isNotNull(), F.col(c))).alias(f"all_{c}")  # noqa: E731  paths that go on
+        whole = children.groupBy(*node).agg(F.sum("shapes").alias("all_shapes"), F.count("_segment").alias("kinds"), *[on(c) for c in ("n", "m", "b", *(f"c{k}" for k in range(len(_BELOW))))])
+        joined = children.where("_segment is not null").join(whole.where("all_shapes > 1"), node)
         values = (F.col("kinds") >= MANY_CHILDREN) & (F.col("kinds") >= DISTINCT_SHARE * F.col("all_n"))
         # Like its siblings by structure: what stands below it fits the pooled shares.
         chi, kinds = F.lit(0.0), F.lit(0)

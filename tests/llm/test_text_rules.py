@@ -59,6 +59,45 @@ def test_quality_query(spark, odd_docs, no_docs, saved):
     assert quality.op3_quality_rules(spark, saved(documents=odd_docs, labels=labels.where("false"))).where("not base_failed and not kept").count() == 0
 
 
+def test_kept_is_the_list_applied_by_hand(spark, saved):
+    """The verdict of every row from statistics and rules taken one by one; the rules come from rows that pass the base rule."""
+    rng = random.Random(4)
+    word = lambda: "".join(rng.choice("abcdefgh") for _ in range(rng.randrange(3, 8)))
+    rows, labels = [], []
+    for i in range(240):
+        bad = i % 5 == 0
+        words = [word() + ("###" if bad and rng.random() < 0.6 else "") for _ in range(rng.randrange(5, 60))]
+        rows.append((i, " ".join(words)))
+        labels.append((i, 0 if bad else 1, 0))
+    d = saved(documents=spark.createDataFrame(rows, "doc_id long, text string"), labels=spark.createDataFrame(labels, "doc_id long, quality int, toxic int"))
+    docs, labelled = (spark.read.parquet(f"{d}/{t}.parquet") for t in ("documents", "labels"))
+    rules = quality.fit(docs, labelled)
+    assert rules
+    got = {r["doc_id"]: r for r in quality.op3_quality_rules(spark, d).collect()}
+    for i, text in rows:
+        n, chars, symbols, dup, repeated = slow_stats(text)
+        lines = sum(bool(WORD.search(x)) for x in text.split("\n"))
+        solid = WORD.findall(text)
+        count = lambda f: sum(f(c) for w in solid for c in w)
+        marks = set("!?.,;:'\"()-_/\\@~^`=+[]{}")
+        x = [n, chars / n, symbols / n, dup / max(lines, 1), repeated / n, count(lambda c: "A" <= c <= "Z") / chars, count(lambda c: "0" <= c <= "9") / chars, count(lambda c: c in marks) / chars, n / max(lines, 1)]
+        base = n < 20 or 100 * repeated > 30 * n
+        rejected = any(all((x[f] > t) if above else (x[f] <= t) for f, above, t in rule) for rule in rules)
+        assert (got[i]["base_failed"], got[i]["kept"]) == (base, not base and not rejected)
+    passing = [i for i, _ in rows if not got[i]["base_failed"]]
+    assert sum(not got[i]["kept"] for i in passing if i % 5 == 0) > 0.9 * sum(i % 5 == 0 for i in passing)
+    assert all(got[i]["kept"] for i in passing if i % 5)
+
+
+def test_rules_are_learned_on_the_small_tables(spark):
+    d = "/root/testdata/sf0.01"
+    assert quality.fit(*(spark.read.parquet(f"{d}/{t}.parquet") for t in ("documents", "labels")))
+
+
+def test_chance():
+    assert quality.chance_of(10, 4, 4, 4) == 1 / 210 and quality.chance_of(10, 4, 3, 0) == 1
+
+
 def test_paths_are_best():
     rng = np.random.default_rng(0)
 
@@ -75,6 +114,66 @@ def test_paths_are_best():
             at += n
 
 
+def slow_language(model, text):
+    """Word scores one word at a time, and the best path by trying every switch."""
+    words = [m for m in re.finditer(r"[^\W\d_]+", text)]
+    if not words:
+        return None
+    score = np.stack([model.word_scores([m.group().lower()])[0] for m in words]).astype(np.float64)
+    best, back = score[0].copy(), []
+    for row in score[1:]:
+        step = best[None, :] - language.SWITCH * (1 - np.eye(len(best)))
+        back.append(step.argmax(axis=1))
+        best = step.max(axis=1) + row
+    path = [int(best.argmax())]
+    for b in reversed(back):
+        path.append(int(b[path[-1]]))
+    return words, path[::-1], score
+
+
+def worth_of(score, path):
+    return sum(score[i, k] for i, k in enumerate(path)) - language.SWITCH * sum(a != b for a, b in itertools.pairwise(path))
+
+
+def test_languages_against_brute_force(spark):
+    """Spans on real texts: as good a path as any, the label from its letters, and the scripts' languages alone."""
+    docs = spark.read.parquet("/root/testdata/sf0.001/documents.parquet")
+    model = language.train(docs)
+    rows = docs.where("text is not null and length(text) < 1500").limit(60).collect()
+    texts = [r["text"] for r in rows] + [rows[0]["text"] + " " + rows[1]["text"], "12 !", ""]
+    for text, (lang, share, spans) in zip(texts, language.label_batch(model, texts), strict=True):
+        slow = slow_language(model, text)
+        if slow is None:
+            assert (lang, share, spans) == ("und", 0.0, [])
+            continue
+        words, path, score = slow
+        own, k = [], 0
+        for m in words:
+            while spans[k]["end"] < m.end():
+                k += 1
+            assert spans[k]["start"] <= m.start()
+            own.append(model.languages.index(spans[k]["lang"]))
+        assert abs(worth_of(score, own) - worth_of(score, path)) < 1e-3
+        letters = np.bincount(own, weights=[len(m.group()) for m in words], minlength=len(model.languages))
+        assert lang == model.languages[int(letters.argmax())] and abs(share - letters.max() / letters.sum()) < 1e-9
+
+
+def test_scripts_narrow_the_candidates(spark):
+    rows = [(i, t, x) for i, (t, x) in enumerate([("lamina posuit keta", "aa"), ("жук мир дом", "bb")] * 30)]
+    model = language.train(spark.createDataFrame(rows, "doc_id long, text string, lang string"))
+    scores = model.word_scores(["lami", "мир", "жук"])
+    assert scores[0, 1] < -1000 and scores[1, 0] < -1000 and scores[2, 0] < -1000
+
+
+def test_a_text_of_megabytes(spark):
+    """One text far longer than the rest: a word's step each, bounded memory."""
+    docs = spark.createDataFrame([(i, t, x) for i, (t, x) in enumerate([("lami posu keta", "aa"), ("wrzk schn tvor", "bb")] * 20)], "doc_id long, text string, lang string")
+    model = language.train(docs)
+    long = "lami posu keta " * 60_000 + "wrzk schn tvor " * 60_000
+    (lang, share, spans), short = language.label_batch(model, [long, "keta"])
+    assert [s["lang"] for s in spans] == ["aa", "bb"] and spans[1]["start"] == 15 * 60_000 and short[0] == "aa" and 0.5 <= share < 0.6
+
+
 def test_language_spans_and_accuracy(spark, odd_docs, no_docs, saved):
     rng = random.Random(1)
     stems = {"aa": ["lami", "posu", "keta"], "bb": ["wrzk", "schn", "tvor"], "cc": ["жук", "мир", "дом"]}
@@ -153,3 +252,92 @@ def test_url_rules_and_tree(spark, saved):
     got = {r["page_id"]: r["verdict"] for r in url_filter.judge(spark.createDataFrame(pages, "page_id long, url string"), labelled=truth).collect()}
     assert all(v == ("block" if k % 2 else "allow") for k, v in got.items())
     assert url_filter.judge(spark.createDataFrame([], "page_id long, url string")).count() == 0
+
+
+def slow_shape(segment):
+    m = re.search(r"(\.[A-Za-z]{1,5})$", segment)
+    ending = m.group(1) if m else ""
+    stem = segment[: len(segment) - len(ending)]
+    value = re.fullmatch(r"[0-9]+", stem) or re.fullmatch(r"[0-9A-Fa-f-]{8,}", stem) or re.search(r"[0-9]{4,}", stem)
+    return "*" + ending if value else segment
+
+
+def slow_tree(rows):
+    """(host, path, blocked or None) of each page: its template and the tree's verdict, node by node."""
+    shapes = [[slow_shape(x) for x in path.split("/") if x] for _, path, _ in rows]
+    template, level, grew = [""] * len(rows), 0, True
+
+    def below(shape):
+        if len(shape) <= level + 1:
+            return 0
+        x = shape[level + 1]
+        file = bool(re.search(r"\.[A-Za-z]{1,5}$", x))
+        return (2 if file else 1) if x.startswith("*") else (4 if file else 3)
+
+    while grew:
+        grew, nodes = False, {}
+        for i, (host, _, _) in enumerate(rows):
+            if len(shapes[i]) > level:
+                nodes.setdefault((host, template[i]), {}).setdefault(shapes[i][level], []).append(i)
+        held = {}
+        for i, (host, _, _) in enumerate(rows):
+            held.setdefault((host, template[i]), set()).add(tuple(shapes[i]))
+        for node, children in nodes.items():
+            every = [i for c in children.values() for i in c]
+            if len(held[node]) < 2:
+                continue
+            grew = True
+            many = [i for i in every if rows[i][2] is not None]
+            pooled = sum(rows[i][2] for i in many) / max(1, len(many))
+            for segment, own in children.items():
+                values = len(children) >= 8 and len(children) >= 0.5 * len(every)
+                chi, kinds = 0.0, 0
+                for k in range(5):
+                    expected = len(own) * sum(below(shapes[i]) == k for i in every) / len(every)
+                    if expected > 0:
+                        chi, kinds = chi + (sum(below(shapes[i]) == k for i in own) - expected) ** 2 / expected, kinds + 1
+                alike = chi <= kinds - 1 + 2.0 * (2.0 * (kinds - 1)) ** 0.5 + 1e-9
+                known = [i for i in own if rows[i][2] is not None]
+                error = (max(pooled * (1 - pooled), 1e-6) / max(1, len(known))) ** 0.5
+                agrees = not known or abs(sum(rows[i][2] for i in known) / len(known) - pooled) <= 2.0 * error
+                name = "*" if values and not segment.startswith("*") else "**" if len(children) > 1 and alike and agrees else segment
+                for i in own:
+                    template[i] += "/" + name
+        level += 1
+    labelled = [r[2] for r in rows if r[2] is not None]
+    prior = sum(labelled) / max(1, len(labelled))
+    leaves = {}
+    for (host, _, blocked), t in zip(rows, template, strict=True):
+        if blocked is not None:
+            leaves.setdefault((host, t), []).append(blocked)
+    out = []
+    for (host, _, _), t in zip(rows, template, strict=True):
+        own = leaves.get((host, t), [])
+        out.append((t, "block" if own and (sum(own) + 4.0 * prior) / (len(own) + 4.0) >= 0.8 else "allow"))
+    return out
+
+
+def test_tree_against_brute_force(spark):
+    """All pages of a small folder and an invented site with deep, mixed and unlabelled branches: the tree does reject some."""
+    rng = random.Random(8)
+    urls = [r["url"] for r in spark.read.parquet("/root/testdata/sf0.01/pages.parquet").select("url").collect()]
+    for k in range(300):
+        top = rng.choice(["es", "fr", "en", "blog", "shop"])
+        urls.append(f"http://deep.net/{top}/" + {"blog": f"2024/{k}/post.html", "shop": f"item{k}"}.get(top, f"{k}/{rng.choice(['a', 'b'])}/{k % 7}") + rng.choice(["", "/", "?q=1"]))
+    df = spark.createDataFrame(list(enumerate(urls)), "page_id long, url string")
+    got = {r["page_id"]: r for r in url_filter.judge(df).collect()}
+    rows = [(got[i]["host"], got[i]["path"], None if got[i]["rule"] is None else got[i]["verdict"] == "block") for i in range(len(urls))]
+    rejected = 0
+    for i, (template, verdict) in enumerate(slow_tree(rows)):
+        assert got[i]["template"] == template, (urls[i], template, got[i]["template"])
+        if got[i]["rule"] is None:
+            assert got[i]["verdict"] == verdict
+            rejected += verdict == "block"
+    assert rejected > 10
+
+
+def test_url_query_on_odd_pages(spark, saved):
+    pages = spark.createDataFrame([(1, None, "x"), (1, None, "x"), (None, "http://net/fr/1", None), (3, "http://x.net/" + "a/" * 300, "y"), (3, "http://x.net/" + "a/" * 300, "y"), (4, "", "")], "page_id long, url string, html string").withColumn("template", F.lit("clash"))
+    rows = url_filter.op10_url_filter(spark, saved(pages=pages)).collect()
+    assert len(rows) == 6 and {r["verdict"] for r in rows} == {"allow", "block"}
+    assert url_filter.op10_url_filter(spark, saved(pages=pages.where("false"))).count() == 0
