@@ -71,13 +71,16 @@ def text_stats(text: str | None) -> tuple[int, ...]:
 def with_stats(docs: DataFrame, carry: list[str]) -> DataFrame:
     """The carried columns and the statistics, named ``_hs_<statistic>``, of each row's text."""
 
+    at = carry.index("text") if "text" in carry else len(carry)
+
     def measured(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for batch in batches:
-            rows = np.array([text_stats(t.as_py()) for t in batch.column(len(carry))], np.int64).reshape(-1, len(STATS))
+        for batch in (b.slice(k, 1000) for b in batches for k in range(0, b.num_rows, 1000)):
+            rows = np.array([text_stats(t.as_py()) for t in batch.column(at)], np.int64).reshape(-1, len(STATS))
             yield pa.RecordBatch.from_arrays([*batch.columns[: len(carry)], *(pa.array(rows[:, k]) for k in range(len(STATS)))], names=[*carry, *(f"_hs_{s}" for s in STATS)])
 
     fields = [f"`{c}` {docs.schema[c].dataType.simpleString()}" for c in carry] + [f"_hs_{s} long" for s in STATS]
-    return docs.select(*carry, F.col("text").alias("_hs_text_in")).mapInArrow(measured, ", ".join(fields))
+    sent = docs.select(*carry) if "text" in carry else docs.select(*carry, F.col("text").alias("_hs_text_in"))
+    return sent.mapInArrow(measured, ", ".join(fields))
 
 
 def features() -> dict[str, Column]:

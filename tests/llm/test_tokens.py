@@ -3,6 +3,7 @@ import zlib
 from array import array
 
 import pytest
+from pyspark.sql import functions as F
 
 from hubsplit.llm import packing, token_counts, token_output
 from hubsplit.llm.encoder import Encoder, default_tokenizer
@@ -136,3 +137,37 @@ def test_histogram_plan_places_every_piece_once():
         large = sum(c for n, c in counts.items() if 2 * n > capacity)
         assert opened <= max(large, -(-sum(n * c for n, c in counts.items()) * 11 // (9 * capacity)) + 2)
 
+
+
+def test_queries_on_odd_documents(spark, odd_docs, saved):
+    """The registered queries over nulls, repeated rows, clashing names, and a text of some megabytes."""
+    from hubsplit.llm import embedding_dedup
+
+    huge = spark.createDataFrame([(50, "alpha beta, gamma. " * 150_000)], "doc_id long, text string")
+    docs = odd_docs.unionByName(huge, allowMissingColumns=True)
+    d = saved(documents=docs)
+    rows = docs.select("doc_id", "text").collect()
+    want = reference([r["text"] for r in rows])
+    key = lambda x: (x[0] is not None, x[0] or 0, x[1:])
+    got = [(r["doc_id"], r["n_tokens"], r["ids_crc32"]) for r in token_output.op5_token_output(spark, d).collect()]
+    assert sorted(got, key=key) == sorted([(r["doc_id"], len(x) // 4, zlib.crc32(x)) for r, x in zip(rows, want, strict=True)], key=key)
+    pieces = packing.op2_best_fit_packing(spark, d).collect()
+    assert sum(r["length"] for r in pieces) == sum(len(x) // 4 for x in want)
+    check_packing(pieces, 1024)
+    counts = [(r["doc_id"], r["n_tokens"]) for r in token_counts.op8_token_counts(spark, d).collect()]
+    assert sorted(counts, key=key) == sorted([(r["doc_id"], len(x) // 4) for r, x in zip(rows, want, strict=True)], key=key)
+    vectors = spark.createDataFrame([(1, [1.0, 0.0], 1), (2, [1.0, 0.01], 1), (2, [1.0, 0.01], 1), (3, None, 1), (None, [0.0, 1.0], None)], "vec_id long, embedding array<float>, label int").withColumn("kept", F.lit("clash"))
+    out = embedding_dedup.op7_embedding_dedup(spark, saved(embeddings=vectors)).collect()
+    assert sorted((r["vec_id"] or 0, r["n_links"], r["component_id"] or 0, r["kept"]) for r in out) == [(0, 0, 0, True), (1, 2, 1, True), (2, 2, 1, False), (2, 2, 1, False), (3, 0, 3, True)]
+
+
+def test_running_sums_in_two_levels(spark):
+    from hubsplit.llm.prefix import running_bases
+
+    rng = random.Random(2)
+    rows = [(f"g{k % 5}", f"g{k % 5}-{k:04d}", rng.randrange(9)) for k in range(200)]
+    got = {r["name"]: r["before_n"] for r in running_bases(spark.createDataFrame(rows, "part string, name string, n long"), "part", "name", ["n"]).collect()}
+    at = 0
+    for _, name, n in sorted(rows):
+        assert got[name] == at
+        at += n
