@@ -273,3 +273,137 @@ def test_hash_parity(spark):
 
     r = spark.range(5).select("id", hash32("id", F.lit(7)).alias("h")).collect()
     assert all(x["h"] == hash32_py(x["id"], 7) for x in r)
+
+
+def test_state_of_every_round_of_the_walk_through(spark):
+    """Seven vertices in three parts: hubs D and G learn A in round 0's fold, and the other two parts relabel in round 1."""
+    A, B, C, D, E, FF, G = range(7)
+    where = {(A, D): 0, (A, G): 0, (B, D): 1, (B, G): 1, (D, E): 1, (C, G): 2, (C, FF): 2, (FF, G): 2}
+    g, _ = graph(spark, list(where), directed=False)
+    layout = make_layout(g, FixedCut(where), 3, symmetric=False)
+    held = []
+    for rounds in (1, 2):
+        program = programs.Components()
+        r = run(layout, program, rounds=rounds)
+        rows = runtime.part_values(layout, program, r.states, lambda part, s: {"pid": np.full(len(part.vids), part.pid, np.int32), "vid": part.vids, "label": s["low"][s["root"]]}, "pid int, vid long, label long").collect()
+        held.append({(x["pid"], x["vid"]): x["label"] for x in rows})
+    first = {(0, A): A, (0, D): A, (0, G): A, (1, B): B, (1, D): B, (1, E): B, (1, G): B, (2, C): C, (2, FF): C, (2, G): C}
+    assert held[0] == first and held[1] == dict.fromkeys(first, A)
+    out = run(layout, programs.Components(), rounds=1).out.where("sent")
+    assert pairs(runtime.fold(out, programs.Components()), "vid", "folded") == {D: A, G: A}
+
+
+def test_no_shuffle_meets_the_edges_of_a_hub(spark, monkeypatch):
+    """A hub with a third of all edges decides them by broadcast; only the rest is joined by key. The rule is the plain one."""
+    monkeypatch.setattr(P, "HUB_FLOOR", 20)
+    rng = random.Random(1)
+    edges = sorted({(0, k) for k in range(1, 101)} | {(200 + rng.randrange(150), 400 + rng.randrange(150)) for _ in range(200)} | {(k, 200 + k) for k in range(1, 30)})
+    g, _ = graph(spark, edges)
+    degree = {}
+    for e in edges:
+        for v in e:
+            degree[v] = degree.get(v, 0) + 1
+    for canonical in (True, False):
+        got = {(r["src"], r["dst"]): r["owner"] for r in P.LowDegreeHash(canonical=canonical).owner_end(g.edges).collect()}
+        want = {}
+        for s, d in edges:
+            a, b = (min(s, d), max(s, d)) if canonical else (s, d)
+            want[s, d] = a if degree[a] <= degree[b] else b
+        assert got == want
+    old = spark.conf.get("spark.sql.autoBroadcastJoinThreshold")
+    spark.conf.set("spark.sql.autoBroadcastJoinThreshold", "-1")
+    try:
+        df = P.LowDegreeHash().owner_end(g.edges)
+        plan = df._jdf.queryExecution().executedPlan().toString()
+        df.collect()
+    finally:
+        spark.conf.set("spark.sql.autoBroadcastJoinThreshold", old)
+    hub_side, rest = plan.split("SortMergeJoin", 1)
+    assert "BroadcastHashJoin" in hub_side and "Exchange hashpartitioning" not in hub_side
+    assert "isnull" in rest.lower()  # only edges without a hub reach the exchange
+
+
+def test_blocks_by_several_passes(spark):
+    """Every vertex is in one connected block, with one pass or many, and a block's name is one of its vertices."""
+    rng = random.Random(4)
+    edges = sorted({(a, b) for a, b in ((rng.randrange(80), rng.randrange(80)) for _ in range(110)) if a != b})
+    g, vids = graph(spark, edges, directed=False, more=range(80, 84))
+    for passes in (1, 3):
+        block = pairs(rivals.partition_bfs(g, 0.05, max_passes=passes), "vid", "block")
+        assert set(block) == set(vids) and all(block[b] == b for b in block.values())
+        inner = sequential.cc(vids, [(s, d) for s, d in edges if block[s] == block[d]])
+        assert all(len({inner[v] for v in vids if block[v] == b}) == 1 for b in set(block.values()))
+
+
+def test_blocks_to_workers(spark):
+    blocks = spark.createDataFrame([(v, v % 7 if v < 70 else 100 + v % 3) for v in range(130)], "vid long, block long")
+    for how in ("hash", "largest_first"):
+        part = pairs(rivals.assign_blocks(blocks, 3, how), "vid", "part")
+        assert len(part) == 130 and set(part.values()) <= {0, 1, 2}
+        assert all(len({part[v] for v in part if (v % 7 if v < 70 else 100 + v % 3) == b}) == 1 for b in (0, 3, 100, 102))
+    sizes = [sum(p == k for p in part.values()) for k in range(3)]
+    assert max(sizes) - min(sizes) <= 20
+
+
+def test_block_programs_agree(spark, mixed):
+    """Blocks as units of their own give the same answers as the sequential programs."""
+    (g, vids), edges, labels = mixed
+    layout = rivals.block_layout(g, 2, 3)
+    assert layout.n >= 3
+    assert pairs(programs.shortest_paths(layout, 3).values, "vid", "dist") == sequential.sssp(edges, 3)
+    pattern = programs.Pattern({"u": "a", "v": "b"}, [("u", "v"), ("v", "u")])
+    want = {(u, v) for u, vs in sequential.gsim(labels | {v: "x" for v in range(60, 64)}, [(s, d) for s, d, _ in edges], pattern.nodes, pattern.arcs).items() for v in vs}
+    assert {(r["u"], r["vid"]) for r in programs.graph_simulation(layout, pattern).values.collect()} == want
+
+
+def test_pagerank_with_few_messages_a_round(spark, mixed):
+    """The largest receipts alone travel, and the limit is the same; rounds rise and pairs a round fall."""
+    (g, vids), edges, _ = mixed
+    want = sequential.pagerank(vids, [(s, d) for s, d, _ in edges], damping=0.5)
+    layout = make_layout(g, P.CUTS["ldch"], 3)
+    whole, few = (programs.pagerank(layout, 0.5, 1e-4, None, top_k=k) for k in (None, 4))
+    for r in (whole, few):
+        got = pairs(r.values, "vid", "rank")
+        assert sum(abs(got[v] - want[v]) for v in want) <= 2e-4
+    assert few.rounds > whole.rounds and max(x["pairs_up"] for x in few.ledger) <= 12
+
+
+def test_diameter_and_tree(spark):
+    g, _ = graph(spark, [(k, k + 1, 2) for k in range(9)] + [(4, 20, 1), (20, 5, 1)], directed=False)
+    layout = make_layout(g, P.CUTS["ldch"], 2)
+    assert programs.diameter(layout, 4)[0] == 9
+    dist = programs.shortest_paths(layout, 0).values
+    assert pairs(programs.predecessors(layout.edges, dist), "vid", "parent") == {1: 0, 2: 1, 3: 2, 4: 3, 20: 4, 5: 4, 6: 5, 7: 6, 8: 7, 9: 8}
+
+
+def test_long_chains_have_no_round_limit(spark):
+    """More rounds than any default would allow per part, all of them counted."""
+    n = 60
+    chain, _ = graph(spark, [(k, k + 1) for k in range(n)])
+    r = programs.shortest_paths(make_layout(chain, FixedCut({(k, k + 1): k % 2 for k in range(n)}), 2), 0)
+    assert pairs(r.values, "vid", "dist") == {k: k for k in range(n + 1)} and r.rounds >= n
+
+
+def test_multilevel_balances_vertices_and_edges(spark):
+    rng = random.Random(2)
+    edges = sorted({(10 * (k % 8) + rng.randrange(10), 10 * (k % 8) + rng.randrange(10)) for k in range(400)} | {(k, k + 1) for k in range(79)})
+    g, vids = graph(spark, [e for e in edges if e[0] != e[1]], directed=False)
+    part = pairs(rivals.multilevel_cut(g, 2), "vid", "part")
+    assert set(part) == set(vids)
+    ends = [sum((part[s] == p) + (part[d] == p) for s, d in edges if s != d) for p in (0, 1)]
+    assert max(ends) <= 0.65 * sum(ends) and abs(sum(part.values()) - 40) <= 12
+    with pytest.raises(ValueError):
+        rivals.multilevel_cut(g, 2, levels=0, coarse_limit=3)
+
+
+def test_experiment_rows(spark, tmp_path):
+    """A row of every kind of contender on a toy folder, with ratios over the first."""
+    from hubsplit import experiments
+
+    d = "/root/testdata/sf0.001"
+    rows = experiments.with_ratios([experiments.contend(spark, d, "cc", "pagelink", c, 2) for c in ("hybrid-ldch", "twin-multilevel", "vc-bsp", "block")])
+    assert [r["contender"] for r in rows] == ["hybrid-ldch", "twin-multilevel", "vc-bsp", "block"]
+    assert rows[0]["ratios"]["run_s"] == 1.0 and rows[2]["ratios"]["published_s"] == 2.4
+    assert len(rows[0]["trace"]) == rows[0]["rounds"] and rows[0]["pairs"] == sum(x + y for x, y, _ in rows[0]["trace"])
+    assert {"compute_mean_s", "network_s", "sync_s", "work_imbalance", "peps", "copies", "imbalance"} <= set(rows[0])
+    assert experiments.statistics(spark, d, ("pagelink",))[0]["diameter_at_least"] > 0
