@@ -215,7 +215,7 @@ def pr_hybrid_pagelink_sym(spark, d):
 @query("adaptive_pagerank", _limit_sql("pagelink_sym"))
 def adaptive_pagerank(spark, d):
     """Each part sends its largest receipts only and holds tiny ones back; the limit is the same."""
-    return _limited(R.pagerank(_layout(spark, d, "pagelink_sym"), local_sweeps=None, min_delta=1e-14, top_k=48))
+    return _limited(R.pagerank(_layout(spark, d, "pagelink_sym"), local_sweeps=None, min_delta=1e-14, top_k=160))
 
 
 _AT_K = 20
