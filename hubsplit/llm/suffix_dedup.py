@@ -38,7 +38,9 @@ from pyspark.sql import functions as F
 from hubsplit.shared_dir import staged
 
 LENGTH, GRAM = 50, 20
-SLICE_BYTES = 4_000_000
+SLICE_BYTES = 2_000_000
+#: Rows hashed at once: eight bytes for each of their bytes, several times over.
+ROWS = 8192
 BLOCK = 1 << 16
 #: An anchor is hot when it has more entries than this, and than its task's divided by HOT_SHARE.
 HOT_FLOOR, HOT_SHARE = 20_000, 8
@@ -75,6 +77,13 @@ def gram_hashes(data: np.ndarray, n: int) -> np.ndarray:
         return out ^ (out >> np.uint64(29))
 
 
+def row_hashes(rows: np.ndarray, n: int) -> np.ndarray:
+    """``gram_hashes`` of every row, some rows at a time."""
+    if len(rows) <= ROWS:
+        return gram_hashes(rows, n)
+    return np.concatenate([gram_hashes(rows[a : a + ROWS], n) for a in range(0, len(rows), ROWS)])
+
+
 def anchor_positions(data: np.ndarray, starts: np.ndarray, ends: np.ndarray, length: int = LENGTH, gram: int = GRAM) -> tuple[np.ndarray, np.ndarray]:
     """Positions and hashes of the anchors of texts that stand one after another in ``data``; the last smallest gram of a string wins."""
     marked = np.zeros(len(data), bool)
@@ -415,7 +424,7 @@ def _joined(owner: np.ndarray, mark: np.ndarray, start: np.ndarray, end: np.ndar
 
 def _string_key(ctx: np.ndarray, anchor: np.ndarray) -> np.ndarray:
     """The key of a string that is dealt by itself."""
-    return gram_hashes(ctx, ctx.shape[1])[:, 0] ^ anchor
+    return row_hashes(ctx, ctx.shape[1])[:, 0] ^ anchor
 
 
 def _send(owner, mark, place, left, right, ctx) -> bytes:
@@ -435,7 +444,7 @@ def _receive(payload: bytes, width: int, flank: int, gram: int) -> tuple[np.ndar
     whose, marks = _unpack(payload[8 : 8 + n], "<i8", "<i8")
     which, place, left, right = _unpack(payload[8 + n : 8 + n + m], "<u4", "<i8", "u1", "u1")
     ctx = np.frombuffer(zstandard.ZstdDecompressor().decompress(payload[8 + n + m :]), np.uint8).reshape(-1, width)
-    key = gram_hashes(ctx[:, flank : flank + gram], gram)[:, 0]
+    key = row_hashes(ctx[:, flank : flank + gram], gram)[:, 0]
     alone = right >= 128
     if alone.any():
         key[alone] = _string_key(ctx[alone], key[alone])
@@ -471,13 +480,17 @@ def removed_spans(docs: DataFrame, anchors: DataFrame, hot: np.ndarray, parts: i
             ctx, owner, mark, place, left, right = (np.concatenate(c) for c in zip(*parts_of, strict=True))
             if not len(place):
                 continue
-            key = gram_hashes(ctx[:, flank : flank + gram], gram)[:, 0]
+            key = row_hashes(ctx[:, flank : flank + gram], gram)[:, 0]
             alone = np.zeros(len(key), np.uint8)
             wide = np.isin(_name(key, parts) * np.uint64(parts) + key % np.uint64(parts), hot)
             if wide.any():  # a hot anchor's strings are dealt one by one
                 pick, shift = np.nonzero(wide[:, None] & (np.arange(flank + 1) <= left[:, None]) & (flank - np.arange(flank + 1) <= right[:, None]))
                 column = np.arange(width)
-                single = np.where((column >= (flank - shift)[:, None]) & (column < (flank - shift + length)[:, None]), ctx[pick], 0).astype(np.uint8)
+                single = np.zeros((len(pick), width), np.uint8)
+                for r in range(0, len(pick), ROWS):
+                    some = slice(r, r + ROWS)
+                    inside = (column >= (flank - shift[some])[:, None]) & (column < (flank - shift[some] + length)[:, None])
+                    single[some] = ctx[pick[some]] * inside
                 keep = ~wide
                 ctx, key = np.concatenate([ctx[keep], single]), np.concatenate([key[keep], _string_key(single, key[pick])])
                 alone = np.r_[np.zeros(keep.sum(), np.uint8), np.full(len(pick), 128, np.uint8)]
@@ -485,7 +498,7 @@ def removed_spans(docs: DataFrame, anchors: DataFrame, hot: np.ndarray, parts: i
                 left, right = np.concatenate([left[keep], shift]), np.concatenate([right[keep], flank - shift])
             # of equal contexts, those in larger documents are settled here
             whole = np.concatenate([ctx, left[:, None].astype(np.uint8), right[:, None].astype(np.uint8)], axis=1)
-            order = np.lexsort((owner, gram_hashes(whole, width + 2)[:, 0]))
+            order = np.lexsort((owner, row_hashes(whole, width + 2)[:, 0]))
             same = np.r_[False, (whole[order][1:] == whole[order][:-1]).all(axis=1)]
             head = np.flatnonzero(~same)
             least = np.repeat(owner[order][head], np.diff(np.r_[head, len(order)]))
@@ -538,7 +551,7 @@ def _owned(key, owner, mark, place, left, right, ctx, length: int, gram: int) ->
     fits = (offsets <= left[first][:, None]) & (flank - offsets <= right[first][:, None])
     owners = np.where(fits, low[:, None], np.iinfo(np.int64).max)
     # An anchor with one context has nothing to order, and strings that occur in one context only, by their hash, have no equal.
-    strings = gram_hashes(ctx[first], length)[:, ::-1]  # column: offset
+    strings = row_hashes(ctx[first], length)[:, ::-1]  # column: offset
     r, o = np.nonzero(fits & (np.bincount(group) > 1)[group][:, None])
     value = strings[r, o] ^ (key[first[r]] * _M)
     order = np.argsort(value, kind="stable")
