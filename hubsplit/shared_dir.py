@@ -19,7 +19,7 @@ def shared_dir(spark: SparkSession) -> str:
     sc = spark.sparkContext
     named = sc.getConf().get("spark.checkpoint.dir") or spark.conf.get("spark.checkpoint.dir", None) or sc.getCheckpointDir()
     if named:
-        return named.rstrip("/")
+        return _qualified(spark, named)
     if not sc.master.startswith("local") or sc.master.startswith("local-cluster"):
         raise RuntimeError("set spark.checkpoint.dir to a folder that all executors share")
     app = sc.applicationId
@@ -29,6 +29,13 @@ def shared_dir(spark: SparkSession) -> str:
     return _LOCAL_FALLBACK[app]
 
 
+def _qualified(spark: SparkSession, path: str) -> str:
+    """The path with the scheme that Spark gives it, so that other readers of the folder find the same place."""
+    where = spark.sparkContext._jvm.org.apache.hadoop.fs.Path(path)
+    full = where.getFileSystem(spark.sparkContext._jsc.hadoopConfiguration()).makeQualified(where).toString()
+    return full.replace("file:/", "file:///", 1) if full.startswith("file:/") and not full.startswith("file://") else full
+
+
 def _forget_on_exit(spark: SparkSession, path: str) -> None:
     jvm = spark.sparkContext._jvm
     where = jvm.org.apache.hadoop.fs.Path(path)

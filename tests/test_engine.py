@@ -407,3 +407,10 @@ def test_experiment_rows(spark, tmp_path):
     assert len(rows[0]["trace"]) == rows[0]["rounds"] and rows[0]["pairs"] == sum(x + y for x, y, _ in rows[0]["trace"])
     assert {"compute_mean_s", "network_s", "sync_s", "work_imbalance", "peps", "copies", "imbalance"} <= set(rows[0])
     assert experiments.statistics(spark, d, ("pagelink",))[0]["diameter_at_least"] > 0
+
+
+def test_shared_folder_has_a_scheme(spark):
+    from hubsplit.shared_dir import _qualified, fresh_path
+
+    assert fresh_path(spark, "x").startswith("file:///")
+    assert _qualified(spark, "/tmp/a") == _qualified(spark, "file:///tmp/a/") == "file:///tmp/a"
