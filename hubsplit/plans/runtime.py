@@ -145,26 +145,27 @@ def make_layout(graph: Graph, cut: P.VertexCut | None, n: int | None = None, mod
     spark = graph.edges.sparkSession
     both = (not graph.directed) if symmetric is None else symmetric
     edges = staged(graph.symmetric() if both else graph.edges.select("src", "dst", F.col("w").cast("long").alias("w")), "edges")
+    codes = staged(graph.vertices.groupBy("vid").agg(F.min("label").alias("label")), "vertices")  # the view is evaluated once
     if n is None:
         n = P.choose_parts(edges.count(), spark.sparkContext.defaultParallelism, max_edges_per_part)
     if mode == "edge_cut":
-        placed = staged(placed if placed is not None else P.vertex_hash(graph.vertices, n), "placed")
+        placed = staged(placed if placed is not None else P.vertex_hash(codes, n), "placed")
         held = staged(P.edge_cut(edges, placed).select("pid", "src", "dst", "w"), "cut")
         owners = placed.select("vid", F.col("part").alias("master_pid"))
         replicas = P.replicas_of(held).union(owners.select("master_pid", "vid")).distinct().join(owners, "vid")
     else:
         held = staged(cut.assign(edges, n).select("pid", "src", "dst", "w"), "cut")
-        replicas = P.build_routing(P.replicas_of(held).union(P.place_isolated(Graph(held, graph.vertices), n)))
+        replicas = P.build_routing(P.replicas_of(held).union(P.place_isolated(Graph(held, codes), n)))
     largest = held.groupBy("pid").agg(F.count("*").alias("c")).agg(F.max("c")).first()[0] or 0
     if largest > max_edges_per_part:
         raise ValueError(f"a part holds {largest} edges, more than {max_edges_per_part}: raise the number of parts")
-    codes = graph.vertices.groupBy("vid").agg(F.min("label").alias("label"))
     counts = replicas.groupBy("vid").agg(F.count("*").alias("copies"))
     ends = P.degrees(edges).select("vid", "d_out", "d_in")
     replicas = replicas.join(counts, "vid").join(ends, "vid", "left").join(codes, "vid", "left")
     degree = lambda c: F.coalesce(c, F.lit(0)).cast("long").alias(c)
     replicas = staged(replicas.select("pid", "vid", "master_pid", (F.col("copies") > 1).alias("frontier"), degree("d_out"), degree("d_in"), "label"), "replicas")
-    drop_path(spark, staged_path(edges))
+    for done in (edges, codes):
+        drop_path(spark, staged_path(done))
     folder = fresh_path(spark, "parts")
     fs, root = _fs(folder)
     fs.create_dir(root, recursive=True)
